@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from deltamat.llm import simhash
+from deltamat.llm import chat, secrets, simhash, warc
 
-QUERIES = {f.__name__: f for f in (simhash.op4_simhash,)}
-ORACLES: dict[str, str] = {}
+QUERIES = {f.__name__: f for f in (simhash.op4_simhash, chat.op8_chat, secrets.op9_secrets, warc.op10_warc)}
+ORACLES: dict[str, str] = {"op9_secrets": secrets.oracle(), "op10_warc": warc.oracle()}
