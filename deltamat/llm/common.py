@@ -87,22 +87,43 @@ def forest(adjacent: np.ndarray) -> tuple[list[int], list[int]]:
     return a, b
 
 
-def shared_buckets(members: DataFrame, block: int) -> DataFrame:
-    """Of (key, node): the rows of buckets with two nodes or more, as cells (key, i, j, node).
+def bucket_stats(members: DataFrame) -> DataFrame:
+    """(key, n, least, xor) for buckets of two nodes or more of (key, node)."""
+    stats = members.groupBy("key").agg(F.count("*").alias("n"), F.min("node").alias("least"), F.bit_xor("node").alias("xor"))
+    return stats.where("n > 1")
+
+
+def cells_of(members: DataFrame, stats: DataFrame, block: int) -> DataFrame:
+    """The members of the buckets in ``stats`` (key, n), as cells (key, i, j, node).
 
     Of buckets that hold the same nodes only one is kept. A bucket of up to ``block`` nodes is one
     cell; a larger one is cut by hash, and each pair of its pieces is a cell, so that a cell holds
-    about two blocks however many nodes a bucket has.
+    about two blocks however many nodes a bucket has. The join is a merge join at every size: its
+    hot keys are split, and what it moves grows in proportion.
     """
     h = F.xxhash64("node")
-    stats = members.groupBy("key").agg(F.count("*").alias("n"), F.bit_xor(h).alias("x"), F.sum(F.shiftrightunsigned(h, 34)).alias("s"))
-    kept = stats.where("n > 1").groupBy("n", "x", "s").agg(F.min("key").alias("key")).select("key", F.ceil(F.col("n") / block).cast("int").alias("pieces"))
-    own = F.pmod(h, F.col("pieces")).cast("int")
+    own = materialize(members.join(stats.select("key").hint("merge"), "key").select("key", "node"), "members")
+    sums = F.count("*").alias("n"), F.bit_xor(h).alias("x"), F.sum(F.shiftrightunsigned(h, 34)).alias("s")
+    kept = own.groupBy("key").agg(*sums).groupBy("n", "x", "s").agg(F.min("key").alias("key")).select("key", F.ceil(F.col("n") / block).cast("int").alias("pieces"))
+    piece = F.pmod(h, F.col("pieces")).cast("int")
     cells = F.when(F.col("pieces") == 1, F.array(F.lit(0))).otherwise(F.sequence(F.lit(0), F.col("pieces") - 1))
-    dealt = members.join(kept, "key").select("key", "node", own.alias("own"), F.explode(cells).alias("other"))
+    dealt = own.join(kept, "key").select("key", "node", piece.alias("own"), F.explode(cells).alias("other"))
     return dealt.select("key", F.least("own", "other").alias("i"), F.greatest("own", "other").alias("j"), "node")
 
 
+def slices(texts: list[str], most: int) -> Iterator[list[str]]:
+    """Runs of texts of about ``most`` characters in all; a longer text is a run of its own."""
+    part, size = [], 0
+    for t in texts:
+        if part and size + len(t) > most:
+            yield part
+            part, size = [], 0
+        part.append(t)
+        size += len(t)
+    if part:
+        yield part
+
+
 def link(cells: DataFrame, linker: Linker) -> DataFrame:
     """Edges (a, b) that ``linker`` finds within each cell (key, i, j) of rows (node, payload).
 

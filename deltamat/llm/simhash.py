@@ -66,7 +66,7 @@ def fingerprints(docs: DataFrame) -> DataFrame:
 
 
 def variants(fps: DataFrame, radius: int) -> DataFrame:
-    """(key, node, fp) for every variant: one bit of one segment taken out of the fingerprint."""
+    """(key, node) for every variant of the fingerprint ``node``: one bit of one segment taken out."""
     segments = radius // 2 + 1
     edges = [64 * k // segments for k in range(segments + 1)]
     keys = []
@@ -75,13 +75,27 @@ def variants(fps: DataFrame, radius: int) -> DataFrame:
         for bit in range(lo, hi):
             rest = mask & ~(1 << bit)
             signed = rest - (1 << 64) if rest >> 63 else rest
-            keys.append(F.xxhash64(F.lit(bit), F.col("fp").bitwiseAND(F.lit(signed))))
-    return fps.select("node", "fp", F.explode(F.array(*keys)).alias("key"))
+            keys.append(F.xxhash64(F.lit(bit), F.col("node").bitwiseAND(F.lit(signed))))
+    return fps.select("node", F.explode(F.array(*keys)).alias("key"))
+
+
+def links(fps: DataFrame, radius: int, block: int) -> DataFrame:
+    """Edges (a, b) that connect the distinct fingerprints ``node`` within the radius.
+
+    The exclusive or of a bucket of two is their difference, so such buckets, which chance makes, are
+    verified while they are counted; only larger ones have their members brought together.
+    """
+    members = variants(fps, radius)
+    stats = common.bucket_stats(members).where((F.col("n") > 2) | (F.bit_count("xor") <= radius))
+    stats = materialize(stats, "stats")
+    pairs = stats.where("n = 2").select(F.col("least").alias("a"), F.col("least").bitwiseXOR(F.col("xor")).alias("b"))
+    cells = common.cells_of(members, stats.where("n > 2"), block)
+    return pairs.unionByName(common.link(cells, linker(radius)))
 
 
 def linker(radius: int) -> common.Linker:
     def run(t: pa.Table, starts: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
-        node, fp = (t.column(c).to_numpy() for c in ("node", "fp"))
+        node = fp = t.column("node").to_numpy()
         ends = np.r_[starts[1:], len(node)]
         near = lambda x, y: np.bitwise_count((x ^ y).view(np.uint64)) <= radius
         two = starts[ends - starts == 2]
@@ -109,11 +123,9 @@ def near_duplicates(docs: DataFrame, radius: int = 4, block: int = 512) -> DataF
     """
     fp = materialize(fingerprints(docs), "fingerprints")
     nodes = fp.groupBy("fp").agg(F.min("doc_id").alias("least"))
-    index = materialize(nodes.select("fp", F.col("fp").alias("node")), "nodes")
-    members = variants(index, radius)
-    cells = common.shared_buckets(members.select("key", "node"), block)
-    edges = common.link(cells.withColumn("fp", F.col("node")), linker(radius))
-    roots = common.components(edges)
+    spread = int(docs.sparkSession.conf.get("spark.sql.shuffle.partitions"))
+    index = nodes.select(F.col("fp").alias("node")).repartition(spread, F.xxhash64("node"))
+    roots = common.components(links(index, radius, block))
     grouped = nodes.join(roots, nodes.fp == roots.node, "left").select("fp", "least", F.coalesce("root", "fp").alias("root"))
     named = grouped.groupBy("root").agg(F.min("least").alias("component_id"))
     classes = grouped.join(named, "root").select("fp", "component_id")
