@@ -4,18 +4,45 @@ from __future__ import annotations
 
 from pyspark.sql import DataFrame, SparkSession
 
-from deltamat.llm import common, simhash
+from deltamat.llm import common, decontaminate, lines, pieces, quality, simhash
 from deltamat.sources.scratch import materialize
 
+#: No stage's decisions can be written in SQL (fitted vectors, MinHash, XXH64, WAND, a tokenizer).
 ORACLE_SQL = None
 
 
+def good_only(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """Documents that the quality classifier predicts 0 go; it learns from the table labels."""
+    return quality.keep_good(docs, quality.fit(docs, common.table(spark, sf_dir, "labels")))
+
+
+def line_dedup(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """Of similar lines over all documents one stays; text and n_chars follow."""
+    return lines.dedup_lines(docs)
+
+
 def near_dedup(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """One document of each SimHash component stays: that of the smallest doc_id."""
     return simhash.drop_near_duplicates(docs)
 
 
-STAGES = [("simhash_near_dedup", near_dedup)]
+def clean_of_benchmark(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """Documents that hold a test item go."""
+    return decontaminate.drop_contaminated(docs, common.table(spark, sf_dir, "benchmark"))
+
+
+def tokens(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """Token ids of every document that is left."""
+    return pieces.encode(docs)
+
+
+STAGES = [
+    ("quality_classifier", good_only),
+    ("line_dedup", line_dedup),
+    ("simhash_near_dedup", near_dedup),
+    ("benchmark_decontamination", clean_of_benchmark),
+    ("sentencepiece", tokens),
+]
 
 
 def run(spark: SparkSession, sf_dir: str) -> DataFrame:
