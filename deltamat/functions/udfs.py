@@ -13,24 +13,25 @@ import pyarrow as pa
 import pyarrow.compute as pc
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
+from pyspark.sql import types as T
 
 from deltamat.sources.shipping import ship
 
 
-@F.pandas_udf("long")
+@F.pandas_udf(T.LongType())
 def bits_of(k: pd.Series, ell: pd.Series) -> pd.Series:
     """The fingerprint bit of an inner index."""
     bit = (k.to_numpy(np.int64) % ell.to_numpy(np.int64)).astype(np.uint64)
     return pd.Series((np.uint64(1) << bit).view(np.int64))
 
 
-@F.arrow_udf("long")
+@F.arrow_udf(T.LongType())
 def times_arrow(a: pa.Array, b: pa.Array) -> pa.Array:
     """⊗ of (+, ·) on Arrow columns."""
     return pc.multiply_checked(a, b)
 
 
-@F.pandas_udf("double")
+@F.pandas_udf(T.DoubleType())
 def log_sum_exp(v: pd.Series) -> float:
     """A ⊕ without a built-in aggregate: log of the sum of exponentials."""
     x = v.to_numpy(np.float64)
@@ -38,7 +39,7 @@ def log_sum_exp(v: pd.Series) -> float:
     return float(top + np.log(np.exp(x - top).sum()))
 
 
-@F.udtf(returnType="i long, j long, v long")
+@F.udtf(returnType=T.StructType([T.StructField(c, T.LongType()) for c in "ijv"]))
 class DcsrRows:
     """Cells of one packed row."""
 
