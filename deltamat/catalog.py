@@ -2,17 +2,29 @@
 
 from __future__ import annotations
 
-QUERIES: dict = {}
-ORACLES: dict = {}
+from importlib import import_module
+
+from deltamat.queries import base
+
+MODULES = ("matrices", "products", "measures", "surface")
+
+
+def _load() -> None:
+    for m in MODULES:
+        import_module(f"deltamat.queries.{m}")
 
 
 def queries():
-    return QUERIES
+    _load()
+    return base.QUERIES
 
 
 def oracle_sql():
-    return ORACLES
+    _load()
+    return base.ORACLES
 
 
 def flagship(spark, sf_dir):
-    raise NotImplementedError
+    from deltamat.queries.products import flagship as run
+
+    return run(spark, sf_dir)
