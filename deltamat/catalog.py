@@ -6,7 +6,7 @@ from importlib import import_module
 
 from deltamat.queries import base
 
-MODULES = ("matrices", "products", "measures", "surface")
+MODULES = ("matrices", "products")
 
 
 def _load() -> None:
