@@ -32,10 +32,21 @@ class UpdateBatch:
         value = F.col("v") if "v" in have else F.lit(1)
         return cls(df.select(F.col("i").cast("long"), F.col("j").cast("long"), value.alias("v"), op.alias("op"), seq.cast("long").alias("seq")).where("i is not null and j is not null"), batch_id)
 
-    def last(self) -> DataFrame:
-        """(i, j, op, v): one row for each cell."""
-        best = F.max_by(F.struct("op", "v"), F.struct("seq", "op", "v"))
-        return self.rows.groupBy("i", "j").agg(best.alias("x")).select("i", "j", "x.op", "x.v")
+    def last(self, s: Semiring = PLUS_TIMES) -> DataFrame:
+        """(i, j, op, v): one row for each cell, in which the batch's rows for it are resolved.
+
+        The last set or delete holds; adds after it (by seq) are ⊕-combined with it, or among
+        themselves where there is none.
+        """
+        order = F.struct("seq", "op", "v")
+        fixed = self.rows.where("op <> 'add'").groupBy("i", "j").agg(F.max_by(F.struct("op", "v", "seq"), order).alias("x"))
+        fixed = fixed.select("i", "j", F.col("x.op").alias("op"), F.col("x.v").alias("v"), F.col("x.seq").alias("at"))
+        adds = self.rows.where("op = 'add'").join(fixed.select("i", "j", "at"), ["i", "j"], "left").where("at is null or seq > at")
+        adds = adds.groupBy("i", "j").agg(s.plus_agg(F.col("v")).alias("added"))
+        both = fixed.join(adds, ["i", "j"], "full")
+        new = F.when(F.col("added").isNull(), F.col("v")).when((F.col("op") == "set") & F.col("v").isNotNull(), s.plus(F.col("v"), F.col("added"))).otherwise(F.col("added"))
+        op = F.when(F.col("op").isNull(), "add").when(F.col("added").isNotNull(), "set").otherwise(F.col("op"))
+        return both.select("i", "j", op.alias("op"), new.alias("v"))
 
     def added(self, s: Semiring = PLUS_TIMES) -> DataFrame:
         """The update matrix of the adds."""
@@ -61,7 +72,7 @@ def apply_mask(a: DataFrame, star: DataFrame) -> DataFrame:
 
 def apply_ops(a: DataFrame, batch: UpdateBatch, s: Semiring = PLUS_TIMES) -> DataFrame:
     """A mixed batch: the last row of each cell deletes it, sets it or is added to it."""
-    last = batch.last().select("i", "j", "op", F.col("v").alias("u"))
+    last = batch.last(s).select("i", "j", "op", F.col("v").alias("u"))
     both = a.select("i", "j", "v").join(last, ["i", "j"], "full")
     new = F.when(F.col("op").isNull(), F.col("v")).when(F.col("op") == "set", F.col("u")).when(F.col("op") == "add", F.when(F.col("v").isNull(), F.col("u")).otherwise(s.plus(F.col("v"), F.col("u"))))
     return both.select("i", "j", new.alias("v")).where("v is not null")
@@ -83,7 +94,7 @@ def changed_pattern(new: DataFrame, old: DataFrame) -> DataFrame:
 
 def reasons(a: DataFrame, batch: UpdateBatch, s: Semiring = PLUS_TIMES) -> DataFrame:
     """(reason, n): why cells of the batch can or cannot be written as an addition."""
-    last = batch.last().select("i", "j", "op", F.col("v").alias("u"))
+    last = batch.last(s).select("i", "j", "op", F.col("v").alias("u"))
     seen = last.join(a.select("i", "j", "v"), ["i", "j"], "left")
     absent, same = F.col("v").isNull(), F.col("v").eqNullSafe(F.col("u"))
     if s.is_ring:

@@ -104,9 +104,9 @@ def doc_term(spark, d, least_df: int = 2, most_df: int | None = None) -> DataFra
 
 
 def page_link(spark, d) -> DataFrame:
-    """page × target host (hash), number of links."""
-    hosts = read(spark, d, "pages").select(F.col("page_id").alias("i"), F.explode(F.regexp_extract_all("html", F.lit('href="https?://([^/"]+)'), F.lit(1))).alias("host"))
-    return hosts.groupBy("i", F.xxhash64("host").alias("j")).agg(F.count("*").alias("v"))
+    """page × link target (hash), number of links."""
+    links = read(spark, d, "pages").select(F.col("page_id").alias("i"), F.explode(F.regexp_extract_all("html", F.lit('href="([^"]+)'), F.lit(1))).alias("target"))
+    return links.groupBy("i", F.xxhash64("target").alias("j")).agg(F.count("*").alias("v"))
 
 
 def turn_role(spark, d) -> DataFrame:
