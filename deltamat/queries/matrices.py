@@ -312,6 +312,7 @@ def _store(kind):
 
 VERSIONS = f"WITH {A_DRAWN} SELECT i, j, v, 0 AS version FROM a WHERE u < 500000 UNION ALL SELECT *, 1 FROM ({MIXED})"
 query(VERSIONS, "store_versions")(_store(store.MatrixStore))
+query(VERSIONS, "store_delta_versions")(_store(store.DeltaStore))
 query(VERSIONS, "store_rebuild_baseline")(_store(store.StaticStore))
 
 

@@ -24,7 +24,7 @@ from deltamat.plans import cost
 from deltamat.queries.base import MAKE
 from deltamat.sources import instances as inst
 from deltamat.sources.scratch import materialize, new_path
-from deltamat.sources.store import MatrixStore, StaticStore
+from deltamat.sources.store import DeltaStore, MatrixStore, StaticStore
 
 FRACTIONS = (0.001, 0.005, 0.01, 0.05)
 BATCHES = 10
@@ -69,7 +69,7 @@ def construction(spark, d, names=("order_part", "part_supp", "user_succ")) -> li
 def _stores(spark, d, name: str, batch: Callable[[DataFrame, float, int], DataFrame], start: str, fractions, batches: int) -> list[dict]:
     m, g, rows = drawn(spark, d, name), grid(spark, d, name), []
     for fraction in fractions:
-        for kind in (MatrixStore, StaticStore):
+        for kind in (DeltaStore, MatrixStore, StaticStore):
             s = kind.create(m.where(start).select("i", "j", "v"), new_path(spark, "w"), g)
             for k in range(batches):
                 u = materialize(batch(m, fraction, k), "batch")
