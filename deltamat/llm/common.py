@@ -87,6 +87,41 @@ def forest(adjacent: np.ndarray) -> tuple[list[int], list[int]]:
     return a, b
 
 
+def cell_edges(near: np.ndarray, side: np.ndarray) -> tuple[list[int], list[int]]:
+    """Edges that connect a cell's rows: within one piece a spanning forest.
+
+    Between two pieces only edges that join what each piece has linked by itself (in the cell of its
+    own), so a large group costs an edge for each row and each pair of pieces.
+    """
+    if not side.any():
+        return forest(near)
+    inner = near & (side[:, None] == side[None, :])
+    root = np.arange(len(near))
+    for a, b in zip(*forest(inner), strict=True):  # parents come before children
+        root[b] = root[a]
+    first = np.flatnonzero(side == 0)
+    second = np.flatnonzero(side == 1)
+    i, j = np.nonzero(near[np.ix_(first, second)])
+    i, j = first[i], second[j]
+    _, one = np.unique(root[i] * len(near) + root[j], return_index=True)
+    up = list(range(len(near)))
+
+    def find(x: int) -> int:
+        while up[x] != x:
+            up[x] = up[up[x]]
+            x = up[x]
+        return x
+
+    a_out, b_out = [], []
+    for a, b in zip(i[one].tolist(), j[one].tolist(), strict=True):
+        x, y = find(int(root[a])), find(int(root[b]))
+        if x != y:
+            up[x] = y
+            a_out.append(a)
+            b_out.append(b)
+    return a_out, b_out
+
+
 def bucket_stats(members: DataFrame) -> DataFrame:
     """(key, n, least, xor) for buckets of two nodes or more of (key, node)."""
     stats = members.groupBy("key").agg(F.count("*").alias("n"), F.min("node").alias("least"), F.bit_xor("node").alias("xor"))
@@ -94,7 +129,7 @@ def bucket_stats(members: DataFrame) -> DataFrame:
 
 
 def cells_of(members: DataFrame, stats: DataFrame, block: int) -> DataFrame:
-    """The members of the buckets in ``stats`` (key, n), as cells (key, i, j, node).
+    """The members of the buckets in ``stats`` (key, n), as cells (key, i, j, side, node).
 
     Of buckets that hold the same nodes only one is kept. A bucket of up to ``block`` nodes is one
     cell; a larger one is cut by hash, and each pair of its pieces is a cell, so that a cell holds
@@ -108,7 +143,7 @@ def cells_of(members: DataFrame, stats: DataFrame, block: int) -> DataFrame:
     piece = F.pmod(h, F.col("pieces")).cast("int")
     cells = F.when(F.col("pieces") == 1, F.array(F.lit(0))).otherwise(F.sequence(F.lit(0), F.col("pieces") - 1))
     dealt = own.join(kept, "key").select("key", "node", piece.alias("own"), F.explode(cells).alias("other"))
-    return dealt.select("key", F.least("own", "other").alias("i"), F.greatest("own", "other").alias("j"), "node")
+    return dealt.select("key", F.least("own", "other").alias("i"), F.greatest("own", "other").alias("j"), (F.col("own") > F.col("other")).cast("int").alias("side"), "node")
 
 
 def slices(texts: list[str], most: int) -> Iterator[list[str]]:

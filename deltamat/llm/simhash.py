@@ -96,6 +96,7 @@ def links(fps: DataFrame, radius: int, block: int) -> DataFrame:
 def linker(radius: int) -> common.Linker:
     def run(t: pa.Table, starts: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
         node = fp = t.column("node").to_numpy()
+        side = t.column("side").to_numpy()
         ends = np.r_[starts[1:], len(node)]
         near = lambda x, y: np.bitwise_count((x ^ y).view(np.uint64)) <= radius
         two = starts[ends - starts == 2]
@@ -104,7 +105,7 @@ def linker(radius: int) -> common.Linker:
         for s, e in zip(starts.tolist(), ends.tolist(), strict=True):
             if e - s > 2:
                 f = fp[s:e]
-                i, j = common.forest(near(f[:, None], f[None, :]))
+                i, j = common.cell_edges(near(f[:, None], f[None, :]), side[s:e])
                 a.append(node[s:e][i])
                 b.append(node[s:e][j])
         return np.concatenate(a), np.concatenate(b)
