@@ -16,6 +16,7 @@ from dataclasses import dataclass
 
 import numpy as np
 import pyarrow as pa
+import pyarrow.compute as pc
 import xxhash
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
@@ -25,7 +26,7 @@ from deltamat.sources.scratch import discard, materialize
 
 BLANK = " \t\r"
 SEED = 42
-SLICE_CHARS = 1 << 20
+SLICE_CHARS = 1 << 19
 _M, _N = np.array([0x9E3779B97F4A7C15]), np.array([0xC2B2AE3D27D4EB4F])  # uint64; arrays wrap around in silence
 
 
@@ -139,6 +140,20 @@ def distinct(h: np.ndarray) -> np.ndarray:
 
 def linker(s: Settings) -> common.Linker:
     def run(t: pa.Table, starts: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+        """Cells are taken in runs of about SLICE_CHARS characters, which bounds the hashes held."""
+        ends = np.r_[starts[1:], t.num_rows]
+        chars = np.r_[0, np.cumsum(pc.utf8_length(t.column("line")).to_numpy())]
+        run_of = (chars[starts] // SLICE_CHARS).astype(np.int64)
+        a_out, b_out = [], []
+        for k in np.unique(run_of).tolist():
+            own = np.flatnonzero(run_of == k)
+            lo, hi = int(starts[own[0]]), int(ends[own[-1]])
+            a, b = compared(t.slice(lo, hi - lo), starts[own] - lo)
+            a_out.append(a)
+            b_out.append(b)
+        return np.concatenate(a_out), np.concatenate(b_out)
+
+    def compared(t: pa.Table, starts: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
         node = t.column("node").to_numpy()
         h, counts = shingle_hashes(t.column("line").to_pylist(), s.shingle)
         cuts = np.r_[0, np.cumsum(counts)].tolist()
