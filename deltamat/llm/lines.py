@@ -32,14 +32,14 @@ _M, _N = np.array([0x9E3779B97F4A7C15]), np.array([0xC2B2AE3D27D4EB4F])  # uint6
 
 @dataclass(frozen=True)
 class Settings:
-    """With 9 bands of 4 rows, lines at Jaccard 0.8 meet with probability 0.991, at 0.85 with 0.9987.
+    """With 12 bands of 4 rows, lines at Jaccard 0.8 meet with probability 0.998, at 0.85 with 0.9999.
 
     Unrelated lines share few 7-character shingles, and four rows keep their chance meetings, which
     grow with the square of the lines, far below the lines that are alike.
     """
 
     shingle: int = 7
-    bands: int = 9
+    bands: int = 12
     rows: int = 4
     similarity: float = 0.8
     long_from: int = 128

@@ -182,6 +182,26 @@ def test_both_kinds_of_signature_meet():
             assert keys[0] & keys[1]
 
 
+def test_lines_at_the_threshold_meet():
+    """Pairs of 0.80 Jaccard, long ones and short ones: all but 3 in 1,000 share a band."""
+    s = lines.Settings()
+    assert 1 - (1 - s.similarity**s.rows) ** s.bands >= 0.997
+    rng = random.Random(11)
+    for n in (84, 336):
+        pairs = []
+        for _ in range(3000):
+            a = [chr(rng.randrange(0x4E00, 0x9FFF)) for _ in range(n + 6)]
+            b, cut = list(a), n // 9  # n shingles, a ninth of them replaced: (8/9) / (10/9) = 0.8
+            b[-cut:] = [chr(rng.randrange(0x3400, 0x4DBF)) for _ in range(cut)]
+            pairs += ["".join(a), "".join(b)]
+        keys = [set() for _ in pairs]
+        for kind, which, k in lines.signatures(pairs, s):
+            for row, at in enumerate(which.tolist()):
+                keys[at] |= {(kind, x) for x in k[row].tolist()}
+        missed = sum(not keys[k] & keys[k + 1] for k in range(0, len(pairs), 2))
+        assert missed <= 15, (n, missed)  # 9 bands of 4 rows would miss 27 on average, 12 miss 5
+
+
 # ---- 4: SimHash ------------------------------------------------------------------------------
 
 
