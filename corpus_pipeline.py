@@ -4,7 +4,7 @@ from __future__ import annotations
 
 from pyspark.sql import DataFrame, SparkSession
 
-from deltamat.llm import common, decontaminate, lines, pieces, quality, simhash
+from deltamat.llm import common, decontaminate, lines, pieces, quality, simhash, wordsets
 from deltamat.sources.scratch import materialize
 
 #: No stage's decisions can be written in SQL (fitted vectors, MinHash, XXH64, WAND, a tokenizer).
@@ -22,8 +22,11 @@ def line_dedup(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 
 
 def near_dedup(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """One document of each SimHash component stays: that of the smallest doc_id."""
-    return simhash.drop_near_duplicates(docs)
+    """Of each component one document stays, that of the smallest doc_id.
+
+    Documents link at four differing bits of their fingerprints, and at Jaccard 0.8 of five-word shingles.
+    """
+    return simhash.drop_near_duplicates(docs, words=wordsets.SETTINGS)
 
 
 def clean_of_benchmark(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:

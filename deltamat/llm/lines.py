@@ -11,7 +11,7 @@ length between carry both, so that two similar lines always have one kind in com
 
 from __future__ import annotations
 
-from collections.abc import Iterator
+from collections.abc import Callable, Iterator
 from dataclasses import dataclass
 
 import numpy as np
@@ -27,6 +27,7 @@ from deltamat.sources.scratch import discard, materialize
 BLANK = " \t\r"
 SEED = 42
 SLICE_CHARS = 1 << 19
+COLUMNS = 1 << 15
 _M, _N = np.array([0x9E3779B97F4A7C15]), np.array([0xC2B2AE3D27D4EB4F])  # uint64; arrays wrap around in silence
 
 
@@ -52,6 +53,9 @@ def mixed(h: np.ndarray) -> np.ndarray:
     return h ^ (h >> np.uint64(32))
 
 
+Hashes = Callable[[list[str], int], tuple[np.ndarray, np.ndarray]]
+
+
 def shingle_hashes(lines: list[str], k: int) -> tuple[np.ndarray, np.ndarray]:
     """64-bit hashes of all k-character shingles and the number of them for each line (1 at least)."""
     padded = [s if len(s) >= k else s.ljust(k, "\0") for s in lines]
@@ -77,9 +81,9 @@ def band_keys(values: np.ndarray, kind: int, s: Settings) -> np.ndarray:
     return key.view(np.int64)
 
 
-def signatures(lines: list[str], s: Settings) -> Iterator[tuple[int, np.ndarray, np.ndarray]]:
+def signatures(lines: list[str], s: Settings, hashes: Hashes = shingle_hashes) -> Iterator[tuple[int, np.ndarray, np.ndarray]]:
     """(kind, numbers of lines, their band keys) for the kinds of signature."""
-    h, counts = shingle_hashes(lines, s.shingle)
+    h, counts = hashes(lines, s.shingle)
     places = s.bands * s.rows
     of = np.repeat(np.arange(len(lines)), counts)
     long = counts >= s.long_from
@@ -113,18 +117,18 @@ def nodes_of(lines: list[str]) -> np.ndarray:
     return np.fromiter((xxhash.xxh64_intdigest(x.encode("utf-8", "surrogatepass"), SEED) for x in lines), np.uint64, len(lines)).view(np.int64)
 
 
-def signature_table(docs: DataFrame, s: Settings) -> DataFrame:
-    """(node, kind, b0, b1, ...) for every distinct line; blank lines are no nodes."""
+def signature_table(docs: DataFrame, s: Settings, units: Callable[[list[str]], list[str]] = distinct_lines, hashes: Hashes = shingle_hashes) -> DataFrame:
+    """(node, kind, b0, b1, ...) for every distinct line (or other unit); blank lines are no nodes."""
     names = [f"b{k}" for k in range(s.bands)]
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
             for part in common.slices(common.texts_of(b.column(0)), SLICE_CHARS):
-                lines = distinct_lines(part)
+                lines = units(part)
                 if not lines:
                     continue
                 nodes = nodes_of(lines)
-                for kind, which, keys in signatures(lines, s):
+                for kind, which, keys in signatures(lines, s, hashes):
                     cols = [pa.array(nodes[which]), pa.array(np.full(len(which), kind, np.int32)), *(pa.array(keys[:, k].copy()) for k in range(s.bands))]
                     yield pa.record_batch(cols, names=["node", "kind", *names])
 
@@ -138,7 +142,7 @@ def distinct(h: np.ndarray) -> np.ndarray:
     return h[np.concatenate(([True], h[1:] != h[:-1]))]
 
 
-def linker(s: Settings) -> common.Linker:
+def linker(s: Settings, hashes: Hashes = shingle_hashes) -> common.Linker:
     def run(t: pa.Table, starts: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
         """Cells are taken in runs of about SLICE_CHARS characters, which bounds the hashes held."""
         ends = np.r_[starts[1:], t.num_rows]
@@ -155,7 +159,7 @@ def linker(s: Settings) -> common.Linker:
 
     def compared(t: pa.Table, starts: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
         node = t.column("node").to_numpy()
-        h, counts = shingle_hashes(t.column("line").to_pylist(), s.shingle)
+        h, counts = hashes(t.column("line").to_pylist(), s.shingle)
         cuts = np.r_[0, np.cumsum(counts)].tolist()
         side = t.column("side").to_numpy()
         sets = [distinct(h[a:b]) for a, b in zip(cuts, cuts[1:], strict=False)]
@@ -177,9 +181,13 @@ def linker(s: Settings) -> common.Linker:
                 _, at, n = np.unique(np.concatenate(own), return_inverse=True, return_counts=True)
                 column = np.cumsum(n > 1) - 1
                 shared = (n > 1)[at]
-                m = np.zeros((hi - lo, int((n > 1).sum())), np.float32)
-                m[np.repeat(np.arange(hi - lo), sizes)[shared], column[at[shared]]] = 1
-                both = m @ m.T
+                row, column = np.repeat(np.arange(hi - lo), sizes)[shared], column[at[shared]]
+                both = np.zeros((hi - lo, hi - lo), np.float32)
+                for k in range(0, int((n > 1).sum()), COLUMNS):  # bounds the matrix, however many shingles are shared
+                    now = (column >= k) & (column < k + COLUMNS)
+                    m = np.zeros((hi - lo, COLUMNS), np.float32)
+                    m[row[now], column[now] - k] = 1
+                    both += m @ m.T
                 near = both >= s.similarity * (sizes[:, None] + sizes[None, :] - both) - 1e-4
                 i, j = common.cell_edges(near, side[lo:hi])
                 a_out += node[lo:hi][i].tolist()

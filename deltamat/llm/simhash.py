@@ -16,11 +16,10 @@ import xxhash
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from deltamat.llm import common
+from deltamat.llm import common, lines, wordsets
+from deltamat.llm.wordsets import SPACE
 from deltamat.sources.scratch import materialize
 
-SPACE = np.zeros(256, bool)
-SPACE[[0x20, *range(0x09, 0x0E)]] = True
 SEED = 42
 CHUNK = 1 << 16
 
@@ -55,14 +54,14 @@ def fingerprint(text: str | None, words: int = 4) -> int:
 
 
 def fingerprints(docs: DataFrame) -> DataFrame:
-    """(doc_id, fp): the fingerprint as a signed long, for every row of docs."""
+    """(doc_id, fp, text_hash): the fingerprint as a signed long, for every row of docs."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
             fp = np.array([fingerprint(t.as_py()) for t in b.column(1)], np.uint64)
-            yield pa.record_batch({"doc_id": b.column(0), "fp": pa.array(fp.view(np.int64))})
+            yield pa.record_batch({"doc_id": b.column(0), "fp": pa.array(fp.view(np.int64)), "text_hash": b.column(2)})
 
-    return docs.select(F.col("doc_id").cast("long"), "text").mapInArrow(run, "doc_id long, fp long")
+    return docs.select(F.col("doc_id").cast("long"), "text", F.xxhash64("text").alias("text_hash")).mapInArrow(run, "doc_id long, fp long, text_hash long")
 
 
 def variants(fps: DataFrame, radius: int) -> DataFrame:
@@ -113,11 +112,20 @@ def linker(radius: int) -> common.Linker:
     return run
 
 
-def near_duplicates(docs: DataFrame, radius: int = 4, block: int = 512) -> DataFrame:
+def alike(docs: DataFrame, fp: DataFrame, s: lines.Settings) -> DataFrame:
+    """Edges (a, b) between the fingerprints of texts whose word shingles are alike enough."""
+    of = fp.select("text_hash", "fp").distinct()
+    ends = [of.select(F.col("text_hash").alias(x), F.col("fp").alias(f"{x}_fp")) for x in "ab"]
+    found = wordsets.links(docs, s).join(ends[0], "a").join(ends[1], "b")
+    return found.where("a_fp <> b_fp").select(F.col("a_fp").alias("a"), F.col("b_fp").alias("b"))
+
+
+def near_duplicates(docs: DataFrame, radius: int = 4, block: int = 512, words: lines.Settings | None = None) -> DataFrame:
     """(doc_id, fingerprint, component_id) for every row of docs.
 
-    Fingerprints link at ``radius`` or fewer differing bits; component_id is the smallest doc_id
-    reachable. Equal fingerprints are one node, so copies never meet each other as pairs. Repeated
+    Fingerprints link at ``radius`` or fewer differing bits and, where ``words`` is given, also where
+    two of their texts have that Jaccard similarity of word shingles; component_id is the smallest
+    doc_id reachable. Equal fingerprints are one node, so copies never meet each other as pairs. Repeated
     rows give repeated results; rows without doc_id get their fingerprint and the component's id,
     which is null if no row of the component has a doc_id. Other columns are not looked at; an
     empty table gives an empty result.
@@ -126,7 +134,10 @@ def near_duplicates(docs: DataFrame, radius: int = 4, block: int = 512) -> DataF
     nodes = fp.groupBy("fp").agg(F.min("doc_id").alias("least"))
     spread = int(docs.sparkSession.conf.get("spark.sql.shuffle.partitions"))
     index = nodes.select(F.col("fp").alias("node")).repartition(spread, F.xxhash64("node"))
-    roots = common.components(links(index, radius, block))
+    edges = links(index, radius, block)
+    if words:
+        edges = edges.unionByName(alike(docs, fp, words))
+    roots = common.components(edges)
     grouped = nodes.join(roots, nodes.fp == roots.node, "left").select("fp", "least", F.coalesce("root", "fp").alias("root"))
     named = grouped.groupBy("root").agg(F.min("least").alias("component_id"))
     classes = grouped.join(named, "root").select("fp", "component_id")
@@ -134,13 +145,13 @@ def near_duplicates(docs: DataFrame, radius: int = 4, block: int = 512) -> DataF
     return fp.join(classes, "fp").select("doc_id", hexed, "component_id")
 
 
-def drop_near_duplicates(docs: DataFrame, radius: int = 4) -> DataFrame:
+def drop_near_duplicates(docs: DataFrame, radius: int = 4, words: lines.Settings | None = None) -> DataFrame:
     """docs with one row of each component: that of the smallest doc_id (repeated rows of it once).
 
     Rows without doc_id stay only where their whole component has none, once for each fingerprint.
     """
     cols = docs.columns
-    kept = near_duplicates(docs, radius).where("doc_id <=> component_id").select("doc_id").distinct()
+    kept = near_duplicates(docs, radius, words=words).where("doc_id <=> component_id").select("doc_id").distinct()
     once = docs.join(kept, docs.doc_id.eqNullSafe(kept.doc_id), "left_semi")
     return once.select(cols).dropDuplicates(["doc_id"])
 

@@ -247,6 +247,38 @@ def test_simhash_edges(spark, odd):
     assert simhash.drop_near_duplicates(odd).columns == odd.columns
 
 
+def test_near_dedup_stage_reaches_jaccard_of_five_words(spark, sf):
+    """The pipeline's stage links what brute force finds at Jaccard 0.8, however far the fingerprints are."""
+    import corpus_pipeline
+
+    rng = random.Random(12)
+    texts = [words(rng, n) for n in (40, 120, 300, 900, 2000) for _ in range(4)]
+    for x in list(texts):
+        for share in (0.01, 0.02, 0.03):
+            w = x.split(" ")
+            for _ in range(max(1, round(share * len(w)))):
+                w[rng.randrange(len(w))] = words(rng, 1)
+            texts.append(" ".join(w))
+    texts += ["Three short WORDS", " three\tshort words", None, ""]
+    sets = []
+    for t in texts:
+        w = re.findall(r"[^\x20\x09-\x0D]+", re.sub("[A-Z]", lambda m: m[0].lower(), t or ""))
+        sets.append({tuple(w[k : k + 5]) for k in range(max(1, len(w) - 4))})
+    fps = [simhash_by_force(t) for t in texts]
+    root, far = list(range(len(texts))), 0
+    for a in range(len(texts)):
+        for b in range(a):
+            alike = len(sets[a] & sets[b]) >= 0.8 * len(sets[a] | sets[b])
+            near = (fps[a] ^ fps[b]).bit_count() <= 4
+            far += alike and not near
+            if alike or near:
+                root = [root[b] if x == root[a] else x for x in root]
+    assert far >= 20
+    first = {r: root.index(r) for r in root}
+    kept = {r.doc_id for r in corpus_pipeline.near_dedup(spark, docs_of(spark, texts), sf).collect()}
+    assert kept == set(first.values())
+
+
 def test_components_of_paths_stars_and_negative_ids(spark):
     rng = random.Random(0)
     edges = [(k, k + 1) for k in range(-40, 40)] + [(100, 200 + k) for k in range(30)] + [(7, 7), (500, 501), (501, 500)]
