@@ -5,8 +5,9 @@ band; bands that agree bring nodes together, their shingle sets are compared exa
 distributed components decide: of each component the first line (by doc_id, text, line number) stays.
 
 Long lines take one hash of each shingle and share the shingles out over the signature's places;
-short lines, whose places would stay empty, take one hash function for each place. Lines of a
-length between carry both, so that two similar lines always have one kind in common.
+short lines, whose places would stay empty, take one hash function for each place. Lines
+between carry both. Length is the number of distinct shingles, since sets are compared: two similar
+lines always have one kind in common, however often they repeat themselves.
 """
 
 from __future__ import annotations
@@ -28,6 +29,7 @@ BLANK = " \t\r"
 SEED = 42
 SLICE_CHARS = 1 << 19
 COLUMNS = 1 << 15
+SEEN = 1 << 10
 _M, _N = np.array([0x9E3779B97F4A7C15]), np.array([0xC2B2AE3D27D4EB4F])  # uint64; arrays wrap around in silence
 
 
@@ -81,12 +83,31 @@ def band_keys(values: np.ndarray, kind: int, s: Settings) -> np.ndarray:
     return key.view(np.int64)
 
 
+def distinct(h: np.ndarray) -> np.ndarray:
+    h = np.sort(h)
+    return h[np.concatenate(([True], h[1:] != h[:-1]))]
+
+
+def set_sizes(h: np.ndarray, counts: np.ndarray, s: Settings) -> np.ndarray:
+    """Distinct shingles of each line; a lower bound where that alone makes the line long only."""
+    out, ends = counts.copy(), np.cumsum(counts)
+    many = counts >= s.long_from
+    which = np.flatnonzero(many)
+    seen = np.zeros((len(which), SEEN), bool)
+    seen[np.repeat(np.arange(len(which)), counts[which]), (h[np.repeat(many, counts)] & np.uint64(SEEN - 1)).astype(np.int64)] = True
+    out[which] = seen.sum(1)
+    for k in which[out[which] < s.long_from / s.similarity].tolist():
+        out[k] = len(distinct(h[ends[k] - counts[k] : ends[k]]))
+    return out
+
+
 def signatures(lines: list[str], s: Settings, hashes: Hashes = shingle_hashes) -> Iterator[tuple[int, np.ndarray, np.ndarray]]:
     """(kind, numbers of lines, their band keys) for the kinds of signature."""
     h, counts = hashes(lines, s.shingle)
     places = s.bands * s.rows
     of = np.repeat(np.arange(len(lines)), counts)
-    long = counts >= s.long_from
+    sizes = set_sizes(h, counts, s)
+    long = sizes >= s.long_from
     if long.any():
         inside = long[of]
         v, rank = h[inside], (np.cumsum(long) - 1)[of[inside]]
@@ -94,7 +115,7 @@ def signatures(lines: list[str], s: Settings, hashes: Hashes = shingle_hashes) -
         least = np.full(int(long.sum()) * places, 0xFFFFFFFF, np.uint32)
         np.minimum.at(least, rank * places + place, v.astype(np.uint32))
         yield 1, np.flatnonzero(long), band_keys(least, 1, s)
-    short = counts < s.long_from / s.similarity
+    short = sizes < s.long_from / s.similarity
     if short.any():
         v, n = h[short[of]].astype(np.uint32), counts[short]
         starts = np.r_[0, np.cumsum(n)[:-1]]
@@ -137,11 +158,6 @@ def signature_table(docs: DataFrame, s: Settings, units: Callable[[list[str]], l
     return sigs.groupBy("node", "kind").agg(*[F.min(n).alias(n) for n in names])
 
 
-def distinct(h: np.ndarray) -> np.ndarray:
-    h = np.sort(h)
-    return h[np.concatenate(([True], h[1:] != h[:-1]))]
-
-
 def linker(s: Settings, hashes: Hashes = shingle_hashes) -> common.Linker:
     def run(t: pa.Table, starts: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
         """Cells are taken in runs of about SLICE_CHARS characters, which bounds the hashes held."""

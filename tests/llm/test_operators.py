@@ -182,6 +182,16 @@ def test_both_kinds_of_signature_meet():
             assert keys[0] & keys[1]
 
 
+def test_repetitive_lines_of_unlike_lengths_meet(spark):
+    """Sets decide, not lengths: equal sets from under 128 and from over 160 shingles with repeats."""
+    phrase = "".join(chr(97 + k % 26) for k in range(11)) + ". "
+    rows = [(0, "-" * 100), (1, "-" * 300), (2, phrase * 8), (3, phrase * 20), (4, "a " * 40), (5, "a " * 5000), (6, words(random.Random(1), 90))]
+    df = spark.createDataFrame(rows, "doc_id long, text string")
+    got = {r.doc_id: r.text for r in lines.dedup_lines(df).collect()}
+    assert got == lines_by_force(rows)
+    assert not any(got[k] for k in (1, 3, 5)) and all(got[k] for k in (0, 2, 4, 6))
+
+
 def test_lines_at_the_threshold_meet():
     """Pairs of 0.80 Jaccard, long ones and short ones: all but 3 in 1,000 share a band."""
     s = lines.Settings()
