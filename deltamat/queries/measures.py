@@ -141,6 +141,13 @@ def app_bfs_levels(spark, d):
     return graphs.bfs(m, m.where("i <> j").select("i").distinct(), 6)
 
 
+@query()
+def app_bfs_levels_whole(spark, d):
+    """app_bfs_levels over all edges, those seen once among them."""
+    m = succ(spark, d)[0]
+    return graphs.bfs(m, m.where("i <> j").select("i").distinct(), 6)
+
+
 @query(f"WITH a AS (SELECT i, j, v FROM ({SQL['order_part']})), s AS ({SQL['cust_nation']}) SELECT c.n AS i, a.j % 10 AS j, sum(a.v)::BIGINT AS v FROM a JOIN (SELECT o_orderkey AS i, c_nationkey::BIGINT AS n FROM orders JOIN customer ON o_custkey = c_custkey) c USING (i) GROUP BY 1, 2")
 def app_contract_nation(spark, d):
     orders = inst.read(spark, d, "orders").join(inst.read(spark, d, "customer"), F.col("o_custkey") == F.col("c_custkey")).select(F.col("o_orderkey").alias("i"), F.col("c_nationkey").cast("long").alias("j"), F.lit(1).cast("long").alias("v"))
@@ -184,15 +191,25 @@ def app_copurchase_dynamic(spark, d):
 DOC = "w AS (SELECT doc_id AS i, unnest(regexp_extract_all(lower(text), '([a-z0-9]+)', 1)) AS w FROM documents), m AS (SELECT i, w, count(*) AS v FROM w GROUP BY 1, 2), f AS (SELECT w FROM m GROUP BY 1 HAVING count(*) BETWEEN 2 AND 20)"
 
 
-@query(f"WITH {DOC} SELECT a.i, b.i AS j, sum(a.v * b.v)::BIGINT AS v FROM m a JOIN m b USING (w) JOIN f USING (w) WHERE a.i < b.i GROUP BY 1, 2 HAVING sum(a.v * b.v) >= 3")
-def app_doc_similarity(spark, d):
+def doc_terms(spark, d):
     docs = inst.read(spark, d, "documents")
     w = docs.select(F.col("doc_id").alias("i"), F.explode(F.regexp_extract_all(F.lower("text"), F.lit("([a-z0-9]+)"), F.lit(1))).alias("w"))
-    m = w.groupBy("i", F.xxhash64("w").alias("j")).agg(F.count("*").alias("v"))
+    return w.groupBy("i", F.xxhash64("w").alias("j")).agg(F.count("*").alias("v"))
+
+
+@query(f"WITH {DOC} SELECT a.i, b.i AS j, sum(a.v * b.v)::BIGINT AS v FROM m a JOIN m b USING (w) JOIN f USING (w) WHERE a.i < b.i GROUP BY 1, 2 HAVING sum(a.v * b.v) >= 3")
+def app_doc_similarity(spark, d):
+    m = doc_terms(spark, d)
     rare = m.groupBy("j").agg(F.count("*").alias("n")).where("n between 2 and 20").select("j")
     return graphs.similarity(m.join(rare, "j", "left_semi").select("i", "j", "v"), 3)
 
 
+@query()
+def app_doc_similarity_whole(spark, d):
+    """app_doc_similarity with all terms, however many documents hold them."""
+    return graphs.similarity(doc_terms(spark, d), 3)
+
+
 @query("WITH c AS (SELECT date_trunc('day', ts) AS s, user_id AS i, json_extract_string(props, '$.k')::BIGINT AS k, count(*) AS n FROM events GROUP BY 1, 2, 3) SELECT s::TIMESTAMP AS start, a.i, b.i AS j, sum(a.n * b.n)::BIGINT AS v FROM c a JOIN c b USING (s, k) WHERE a.i < b.i GROUP BY 1, 2, 3")
 def app_two_hop_daily(spark, d):
     out = graphs.two_hop_by_window(inst.read(spark, d, "events"))

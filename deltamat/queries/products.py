@@ -106,6 +106,13 @@ def closure_reachability(spark, d):
     return multiply.closure(m, sr.OR_AND)
 
 
+@query()
+def closure_reachability_whole(spark, d):
+    """closure_reachability over all edges, backward ones and loops among them."""
+    m = succ(spark, d)[0].select("i", "j", F.lit(True).alias("v"))
+    return multiply.closure(m, sr.OR_AND)
+
+
 @query(AB + product_sql("a", "b"))
 def op_sql_text(spark, d):
     a, b = order_supp(spark, d)
