@@ -2,7 +2,7 @@
 
 Links between near copies are found bucket by bucket. A bucket's members are compared where they
 meet, but only a spanning forest of the links found there leaves the task, so a group of n copies
-costs n - 1 rows and not n * n. Buckets over ``block`` members are dealt as pairs of blocks.
+costs n - 1 rows and not n * n. Buckets over ``block`` members are cut, see link_buckets().
 """
 
 from __future__ import annotations
@@ -122,10 +122,76 @@ def cell_edges(near: np.ndarray, side: np.ndarray) -> tuple[list[int], list[int]
     return a_out, b_out
 
 
-def bucket_stats(members: DataFrame) -> DataFrame:
-    """(key, n, least, xor) for buckets of two nodes or more of (key, node)."""
-    stats = members.groupBy("key").agg(F.count("*").alias("n"), F.min("node").alias("least"), F.bit_xor("node").alias("xor"))
-    return stats.where("n > 1")
+def bucket_stats(members: DataFrame, *more: Column) -> DataFrame:
+    """(key, n, least, most, xor, ...) of the buckets of two nodes or more in (key, node).
+
+    Of buckets that hold the same nodes only one is kept, before any member is looked up.
+    """
+    h = F.xxhash64("node")
+    marks = F.bit_xor(h).alias("x"), F.sum(F.shiftrightunsigned(h, 34)).alias("s")
+    stats = members.groupBy("key").agg(F.count("*").alias("n"), F.min("node").alias("least"), F.max("node").alias("most"), F.bit_xor("node").alias("xor"), *marks, *more).where("n > 1")
+    rest = [c for c in stats.columns if c not in ("n", "x", "s")]
+    return stats.groupBy("n", "x", "s").agg(*[F.min(c).alias(c) for c in rest]).drop("x", "s")
+
+
+def members_of(members: DataFrame, stats: DataFrame) -> DataFrame:
+    """(key, node) of the buckets in ``stats``; those of two or three nodes follow from the sums alone.
+
+    The join for larger ones is a merge join at every size: its hot keys are split.
+    """
+    third = F.col("xor").bitwiseXOR(F.col("least")).bitwiseXOR(F.col("most"))
+    few = F.when(F.col("n") == 2, F.array("least", "most")).otherwise(F.array(F.col("least"), third, F.col("most")))
+    small = stats.where("n <= 3").select("key", F.explode(few).alias("node"))
+    large = members.join(stats.where("n > 3").select("key").hint("merge"), "key").select("key", "node")
+    return small.unionByName(large)
+
+
+#: Characters of the payloads that meet in one piece of a bucket.
+PIECE_CHARS = 1 << 21
+
+
+def link_buckets(own: DataFrame, stats: DataFrame, block: int, linker: Linker, dress: Callable[[DataFrame], DataFrame] = lambda cells: cells) -> DataFrame:
+    """Edges (a, b) that connect what ``linker`` links in the buckets own(key, node); stats: (key, n, least[, chars]).
+
+    ``own`` is read twice and best written. ``dress`` adds the linker's payload to the cells. A bucket of up to ``block`` nodes is one cell. A
+    larger one is cut by hash, and each piece meets one node of the bucket as well, so that what is near
+    that node becomes one component in one linear pass. Only buckets that are still several components
+    go on: in them nodes outside the main component meet each other and the main component, piece by
+    piece, and the main component's nodes are not compared again among themselves. All pairs are thus
+    compared or known to be connected.
+    """
+    pieces = F.ceil(F.col("n") / block)
+    if "chars" in stats.columns:
+        pieces = F.greatest(pieces, F.ceil(F.col("chars") / PIECE_CHARS))
+    sized = materialize(stats.select("key", "least", pieces.cast("int").alias("pieces")), "sizes")
+    piece = lambda count: F.pmod(F.xxhash64("node"), count).cast("int")
+    no_side = F.lit(0).alias("side")
+    whole = own.join(sized.select("key", "pieces").hint("merge"), "key").select("key", piece(F.col("pieces")).alias("i"), "node")
+    heads = sized.where("pieces > 1").select("key", F.explode(F.sequence(F.lit(0), F.col("pieces") - 1)).alias("i"), F.col("least").alias("node"))
+    first = whole.unionByName(heads).select("key", "i", F.col("i").alias("j"), no_side, "node")
+    edges = materialize(link(dress(first), linker), "links")
+    large = sized.where("pieces > 1")
+    if large.isEmpty():
+        discard(sized)
+        return edges
+    roots = components(edges)
+    open_ = own.join(large.select("key", "pieces"), "key").join(roots, "node", "left").select("key", "node", "pieces", F.coalesce("root", "node").alias("root"))
+    open_ = materialize(open_, "open")
+    per = open_.groupBy("key").agg(F.min("root").alias("lo"), F.max("root").alias("hi"), F.max_by("root", F.xxhash64("node")).alias("main")).where("lo <> hi").select("key", "main")
+    told = open_.join(per, "key").withColumn("apart", F.col("root") != F.col("main"))
+    share = told.groupBy("key").agg(F.count_if("apart").alias("n_apart"), F.count("*").alias("n"), F.max("pieces").alias("pieces"))
+    cuts = lambda n: F.greatest(F.lit(1), F.ceil(F.col("pieces") * n / F.col("n"))).cast("int")
+    share = share.select("key", cuts(F.col("n_apart")).alias("pa"), cuts(F.col("n") - F.col("n_apart")).alias("pm"))
+    dealt = told.join(share, "key").withColumn("own", piece(F.when(F.col("apart"), F.col("pa")).otherwise(F.col("pm"))))
+    cell = lambda i, j, side: F.struct(i.cast("int").alias("i"), j.cast("int").alias("j"), side.cast("int").alias("side"))
+    mine, others, mains = F.col("own"), F.sequence(F.lit(0), F.col("pa") - 1), F.sequence(F.lit(0), F.col("pm") - 1)
+    among = F.transform(others, lambda o: cell(F.least(mine, o), F.greatest(mine, o), mine > o))
+    across = F.transform(mains, lambda m: cell(mine, F.col("pa") + m, F.lit(0)))
+    visited = F.transform(others, lambda o: cell(o, F.col("pa") + mine, F.lit(1)))
+    cells = dealt.select("key", "node", F.explode(F.when(F.col("apart"), F.concat(among, across)).otherwise(visited)).alias("c"))
+    more = materialize(link(dress(cells.select("key", "c.i", "c.j", "c.side", "node")), linker), "links")
+    discard(sized, open_)
+    return edges.unionByName(more)
 
 
 def cells_of(members: DataFrame, stats: DataFrame, block: int) -> DataFrame:

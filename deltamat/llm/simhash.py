@@ -2,7 +2,7 @@
 
 A 64-bit fingerprint is cut into fewer segments than the radius would ask for if segments had to
 be equal: with k differing bits and more than k / 2 segments, one segment differs in at most one
-bit. Every segment is indexed once for each of its bits with that bit taken out, so equality of
+bit. Every segment value is indexed once for each of its bits with that bit taken out, so equality of
 such a variant stands for "at most one bit apart here"; pairs that meet are verified on all bits.
 """
 
@@ -18,7 +18,7 @@ from pyspark.sql import functions as F
 
 from deltamat.llm import common, lines, wordsets
 from deltamat.llm.wordsets import SPACE
-from deltamat.sources.scratch import materialize
+from deltamat.sources.scratch import discard, materialize
 
 SEED = 42
 CHUNK = 1 << 16
@@ -64,32 +64,74 @@ def fingerprints(docs: DataFrame) -> DataFrame:
     return docs.select(F.col("doc_id").cast("long"), "text", F.xxhash64("text").alias("text_hash")).mapInArrow(run, "doc_id long, fp long, text_hash long")
 
 
-def variants(fps: DataFrame, radius: int) -> DataFrame:
-    """(key, node) for every variant of the fingerprint ``node``: one bit of one segment taken out."""
-    segments = radius // 2 + 1
-    edges = [64 * k // segments for k in range(segments + 1)]
-    keys = []
-    for lo, hi in zip(edges, edges[1:], strict=False):
-        mask = ((1 << hi) - 1) ^ ((1 << lo) - 1)
-        for bit in range(lo, hi):
-            rest = mask & ~(1 << bit)
-            signed = rest - (1 << 64) if rest >> 63 else rest
-            keys.append(F.xxhash64(F.lit(bit), F.col("node").bitwiseAND(F.lit(signed))))
-    return fps.select("node", F.explode(F.array(*keys)).alias("key"))
+def segments(radius: int) -> list[tuple[int, int]]:
+    """(first bit, last bit + 1) of each segment: more than radius / 2 of them."""
+    n = radius // 2 + 1
+    edges = [64 * k // n for k in range(n + 1)]
+    return list(zip(edges, edges[1:], strict=False))
+
+
+def signed(bits: int) -> int:
+    return bits - (1 << 64) if bits >> 63 else bits
+
+
+def cut(fps: DataFrame, radius: int) -> DataFrame:
+    """(s, u, node): each fingerprint's segments, by number and by value (in place)."""
+    parts = [F.struct(F.lit(k).alias("s"), F.col("node").bitwiseAND(F.lit(signed((1 << hi) - (1 << lo)))).alias("u")) for k, (lo, hi) in enumerate(segments(radius))]
+    return fps.select(F.explode(F.array(*parts)).alias("p"), "node").select("p.s", "p.u", "node")
+
+
+def variants(groups: DataFrame, radius: int) -> DataFrame:
+    """(s, bit, rest, n, least): every segment value with one of its bits taken out, for each bit.
+
+    Two values share a variant if and only if they are equal but for that bit, so a variant has at
+    most two values: ``rest`` itself and rest with the bit.
+    """
+    out = None
+    for k, (lo, hi) in enumerate(segments(radius)):
+        own = [F.struct(F.lit(bit).alias("bit"), F.col("u").bitwiseAND(F.lit(~signed(1 << bit))).alias("rest")) for bit in range(lo, hi)]
+        part = groups.where(F.col("s") == k).select("s", F.explode(F.array(*own)).alias("v"), "n", "least").select("s", "v.bit", "v.rest", "n", "least")
+        out = part if out is None else out.unionByName(part)
+    return out
 
 
 def links(fps: DataFrame, radius: int, block: int) -> DataFrame:
     """Edges (a, b) that connect the distinct fingerprints ``node`` within the radius.
 
-    The exclusive or of a bucket of two is their difference, so such buckets, which chance makes, are
-    verified while they are counted; only larger ones have their members brought together.
+    Fingerprints with one segment value are a group. The one-wildcard variants of the values tell
+    which groups are one bit apart; of two such groups the smaller visits the larger, so a fingerprint
+    stands in its own groups and in a few others, however many variants a large group shares. Lone
+    fingerprints that meet, which chance makes, are verified by their exclusive or while counted.
     """
-    members = variants(fps, radius)
-    stats = common.bucket_stats(members).where((F.col("n") > 2) | (F.bit_count("xor") <= radius))
-    stats = materialize(stats, "stats")
-    pairs = stats.where("n = 2").select(F.col("least").alias("a"), F.col("least").bitwiseXOR(F.col("xor")).alias("b"))
-    cells = common.cells_of(members, stats.where("n > 2"), block)
-    return pairs.unionByName(common.link(cells, linker(radius)))
+    h = F.xxhash64("node")
+    parts = cut(fps, radius)
+    sums = F.count("*").alias("n"), F.min("node").alias("least"), F.bit_xor("node").alias("xor"), F.bit_xor(h).alias("x"), F.sum(F.shiftrightunsigned(h, 34)).alias("y")
+    groups = materialize(parts.groupBy("s", "u").agg(*sums), "groups")
+    met = variants(groups, radius).groupBy("s", "bit", "rest").agg(F.count("*").alias("c"), F.max("n").alias("n"), F.min("least").alias("least"), F.bit_xor("least").alias("xor")).where("c = 2")
+    met = materialize(met.where((F.col("n") > 1) | (F.bit_count("xor") <= radius)), "met")
+    lone = met.where("n = 1").select(F.col("least").alias("a"), F.col("least").bitwiseXOR(F.col("xor")).alias("b"))
+
+    one_bit = F.call_function("shiftleft", F.lit(1).cast("long"), F.col("bit"))
+    ends = met.where("n > 1").select("s", F.col("rest").alias("u"), F.col("rest").bitwiseOR(one_bit).alias("v"))
+    of = lambda name: groups.select("s", F.col("u").alias(name), *[F.col(c).alias(f"{name}_{c}") for c in ("n", "x", "y")])
+    both = ends.join(of("u"), ["s", "u"]).join(of("v"), ["s", "v"])
+    up = F.struct("u_n", "u") < F.struct("v_n", "v")
+    pick = lambda c, small: F.when(up if small else ~up, F.col(f"u{c}")).otherwise(F.col(f"v{c}"))
+    visits = materialize(both.select("s", pick("", True).alias("u"), pick("", False).alias("to"), *[pick(f"_{c}", True).alias(f"v{c}") for c in ("n", "x", "y")]), "visits")
+    came = visits.groupBy("s", F.col("to").alias("u")).agg(F.sum("vn").alias("vn"), F.bit_xor("vx").alias("vx"), F.sum("vy").alias("vy"))
+    zero = F.lit(0).cast("long")
+    total = groups.where("n > 1").join(came, ["s", "u"], "left").select("s", "u", (F.col("n") + F.coalesce("vn", zero)).alias("n"), "least", "xor", F.col("x").bitwiseXOR(F.coalesce("vx", zero)).alias("x"), (F.col("y") + F.coalesce("vy", zero)).alias("y"))
+    two = total.where((F.col("n") == 2) & (F.bit_count("xor") <= radius)).select(F.col("least").alias("a"), F.col("least").bitwiseXOR(F.col("xor")).alias("b"))
+
+    # Of buckets with the same fingerprints one is compared.
+    key = lambda u: F.xxhash64("s", u)
+    stats = total.where("n > 2").select(key("u").alias("key"), "n", "least", "x", "y").groupBy("n", "x", "y").agg(F.min("key").alias("key"), F.min("least").alias("least"))
+    stats = materialize(stats.select("key", "n", "least"), "stats")
+    routes = groups.where("n > 1").select("s", "u", key("u").alias("key")).unionByName(visits.select("s", "u", key("to").alias("key"))).join(stats.select("key"), "key", "left_semi")
+    own = materialize(parts.join(routes.hint("merge"), ["s", "u"]).select("key", "node"), "own")
+    edges = common.link_buckets(own, stats, block, linker(radius))
+    discard(own, stats)
+    return lone.unionByName(two).unionByName(edges)
 
 
 def linker(radius: int) -> common.Linker:
@@ -137,12 +179,14 @@ def near_duplicates(docs: DataFrame, radius: int = 4, block: int = 512, words: l
     edges = links(index, radius, block)
     if words:
         edges = edges.unionByName(alike(docs, fp, words))
-    roots = common.components(edges)
-    grouped = nodes.join(roots, nodes.fp == roots.node, "left").select("fp", "least", F.coalesce("root", "fp").alias("root"))
-    named = grouped.groupBy("root").agg(F.min("least").alias("component_id"))
-    classes = grouped.join(named, "root").select("fp", "component_id")
+    # Only linked fingerprints have a component to look up; its smallest id is written, so that the
+    # join by root is one that a giant component does not hold up.
+    linked = materialize(nodes.join(common.components(edges), nodes.fp == F.col("node")).select("fp", "least", "root"), "linked")
+    named = materialize(linked.groupBy("root").agg(F.min("least").alias("component_id")), "named")
+    classes = linked.join(named.hint("merge"), "root").select("fp", F.lit(True).alias("linked"), "component_id")
+    single = nodes.join(classes, "fp", "left").select("fp", F.when(F.col("linked"), F.col("component_id")).otherwise(F.col("least")).alias("component_id"))
     hexed = F.lower(F.lpad(F.hex("fp"), 16, "0")).alias("fingerprint")
-    return fp.join(classes, "fp").select("doc_id", hexed, "component_id")
+    return fp.join(single, "fp").select("doc_id", hexed, "component_id")
 
 
 def drop_near_duplicates(docs: DataFrame, radius: int = 4, words: lines.Settings | None = None) -> DataFrame:
