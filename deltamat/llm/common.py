@@ -122,28 +122,36 @@ def cell_edges(near: np.ndarray, side: np.ndarray) -> tuple[list[int], list[int]
     return a_out, b_out
 
 
-def bucket_stats(members: DataFrame, *more: Column) -> DataFrame:
-    """(key, n, least, most, xor, ...) of the buckets of two nodes or more in (key, node).
+def bitmap(keys: DataFrame, column: str, bits: int) -> np.ndarray:
+    """A bit for each remainder of the column's values modulo ``bits``, as bytes for marked()."""
+    place = (F.pmod(F.col(column), F.lit(bits)) + 1).alias("p")  # Spark numbers bits from 1
+    maps = keys.select(place).groupBy(F.bitmap_bucket_number("p").alias("k")).agg(F.bitmap_construct_agg(F.bitmap_bit_position("p")).alias("m")).collect()
+    field = np.zeros((bits // 32768 + 1, 4096), np.uint8)
+    for k, m in maps:
+        field[k - 1] = np.frombuffer(m, np.uint8)
+    return field.reshape(-1)
 
-    Of buckets that hold the same nodes only one is kept, before any member is looked up.
-    """
-    h = F.xxhash64("node")
-    marks = F.bit_xor(h).alias("x"), F.sum(F.shiftrightunsigned(h, 34)).alias("s")
-    stats = members.groupBy("key").agg(F.count("*").alias("n"), F.min("node").alias("least"), F.max("node").alias("most"), F.bit_xor("node").alias("xor"), *marks, *more).where("n > 1")
-    rest = [c for c in stats.columns if c not in ("n", "x", "s")]
-    return stats.groupBy("n", "x", "s").agg(*[F.min(c).alias(c) for c in rest]).drop("x", "s")
+
+def marked(field: np.ndarray, values: np.ndarray, bits: int) -> np.ndarray:
+    """Which values may be among those of the bitmap; those that are not may be left out."""
+    p = values % bits
+    return (field[p >> 3] >> (p & 7).astype(np.uint8) & 1).astype(bool)
 
 
-def members_of(members: DataFrame, stats: DataFrame) -> DataFrame:
-    """(key, node) of the buckets in ``stats``; those of two or three nodes follow from the sums alone.
+def bits_for(n: int) -> int:
+    """Bits of a bitmap for n keys, 16 for each, of 16 MB at most."""
+    return 1 << min(27, max(20, (16 * n).bit_length()))
 
-    The join for larger ones is a merge join at every size: its hot keys are split.
+
+def bucket_stats(own: DataFrame) -> DataFrame:
+    """(key, n, least, chars) of the buckets of two nodes or more in own(key, node, size).
+
+    Of buckets that hold the same nodes only one is kept.
     """
-    third = F.col("xor").bitwiseXOR(F.col("least")).bitwiseXOR(F.col("most"))
-    few = F.when(F.col("n") == 2, F.array("least", "most")).otherwise(F.array(F.col("least"), third, F.col("most")))
-    small = stats.where("n <= 3").select("key", F.explode(few).alias("node"))
-    large = members.join(stats.where("n > 3").select("key").hint("merge"), "key").select("key", "node")
-    return small.unionByName(large)
+    h = F.xxhash64("node")
+    marks = F.bit_xor(h).alias("x"), F.sum(F.shiftrightunsigned(h, 34)).alias("s")
+    stats = own.groupBy("key").agg(F.count("*").alias("n"), F.min("node").alias("least"), F.sum("size").alias("chars"), *marks).where("n > 1")
+    return stats.groupBy("n", "x", "s").agg(*[F.min(c).alias(c) for c in ("key", "least", "chars")]).drop("x", "s")
 
 
 #: Characters of the payloads that meet in one piece of a bucket.
@@ -194,24 +202,6 @@ def link_buckets(own: DataFrame, stats: DataFrame, block: int, linker: Linker, d
     return edges.unionByName(more)
 
 
-def cells_of(members: DataFrame, stats: DataFrame, block: int) -> DataFrame:
-    """The members of the buckets in ``stats`` (key, n), as cells (key, i, j, side, node).
-
-    Of buckets that hold the same nodes only one is kept. A bucket of up to ``block`` nodes is one
-    cell; a larger one is cut by hash, and each pair of its pieces is a cell, so that a cell holds
-    about two blocks however many nodes a bucket has. The join is a merge join at every size: its
-    hot keys are split, and what it moves grows in proportion.
-    """
-    h = F.xxhash64("node")
-    own = materialize(members.join(stats.select("key").hint("merge"), "key").select("key", "node"), "members")
-    sums = F.count("*").alias("n"), F.bit_xor(h).alias("x"), F.sum(F.shiftrightunsigned(h, 34)).alias("s")
-    kept = own.groupBy("key").agg(*sums).groupBy("n", "x", "s").agg(F.min("key").alias("key")).select("key", F.ceil(F.col("n") / block).cast("int").alias("pieces"))
-    piece = F.pmod(h, F.col("pieces")).cast("int")
-    cells = F.when(F.col("pieces") == 1, F.array(F.lit(0))).otherwise(F.sequence(F.lit(0), F.col("pieces") - 1))
-    dealt = own.join(kept, "key").select("key", "node", piece.alias("own"), F.explode(cells).alias("other"))
-    return dealt.select("key", F.least("own", "other").alias("i"), F.greatest("own", "other").alias("j"), (F.col("own") > F.col("other")).cast("int").alias("side"), "node")
-
-
 def slices(texts: list[str], most: int) -> Iterator[list[str]]:
     """Runs of texts of about ``most`` characters in all; a longer text is a run of its own."""
     part, size = [], 0

@@ -12,7 +12,7 @@ lines always have one kind in common, however often they repeat themselves.
 
 from __future__ import annotations
 
-from collections.abc import Callable, Iterator
+from collections.abc import Callable, Iterable, Iterator
 from dataclasses import dataclass
 
 import numpy as np
@@ -125,37 +125,87 @@ def signatures(lines: list[str], s: Settings, hashes: Hashes = shingle_hashes) -
         yield 0, np.flatnonzero(short), band_keys(least, 0, s)
 
 
-def distinct_lines(texts: list[str]) -> list[str]:
-    found: dict[str, None] = {}
-    for t in texts:
-        found.update(dict.fromkeys(x.strip(BLANK) for x in t.split("\n")))
+Units = Callable[[list[str]], dict[str, tuple[int, int]]]
+
+
+def distinct_lines(texts: list[str]) -> dict[str, tuple[int, int]]:
+    """Each trimmed line that is not blank, with the number of the text and of the line where it is first."""
+    found: dict[str, tuple[int, int]] = {}
+    put = found.setdefault
+    for k, t in enumerate(texts):
+        for no, x in enumerate(t.split("\n")):
+            put(x.strip(BLANK), (k, no))
     found.pop("", None)
-    return list(found)
+    return found
 
 
-def nodes_of(lines: list[str]) -> np.ndarray:
+def nodes_of(lines: Iterable[str]) -> np.ndarray:
     """The numbers that Spark's xxhash64 gives the lines."""
-    return np.fromiter((xxhash.xxh64_intdigest(x.encode("utf-8", "surrogatepass"), SEED) for x in lines), np.uint64, len(lines)).view(np.int64)
+    digest = xxhash.xxh64_intdigest
+    return np.array([digest(x.encode("utf-8", "surrogatepass"), SEED) for x in lines], np.uint64).view(np.int64)
+
+
+AT = "at struct<_doc:long,_text:long,no:int>"
 
 
-def signature_table(docs: DataFrame, s: Settings, units: Callable[[list[str]], list[str]] = distinct_lines, hashes: Hashes = shingle_hashes) -> DataFrame:
-    """(node, kind, b0, b1, ...) for every distinct line (or other unit); blank lines are no nodes."""
+def signature_table(docs: DataFrame, s: Settings, units: Units = distinct_lines, hashes: Hashes = shingle_hashes) -> DataFrame:
+    """(node, kind, size, at, b0, b1, ...) for the distinct lines (or other units) of docs(_doc, _text, text).
+
+    size: a line's characters; at: the first place where it stands. Lines are told apart slice by slice
+    of the documents, so one that many slices hold has a row for each. Blank lines are no nodes.
+    """
     names = [f"b{k}" for k in range(s.bands)]
+    place = pa.struct([("_doc", pa.int64()), ("_text", pa.int64()), ("no", pa.int32())])
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
-            for part in common.slices(common.texts_of(b.column(0)), SLICE_CHARS):
-                lines = units(part)
-                if not lines:
-                    continue
-                nodes = nodes_of(lines)
-                for kind, which, keys in signatures(lines, s, hashes):
-                    cols = [pa.array(nodes[which]), pa.array(np.full(len(which), kind, np.int32)), *(pa.array(keys[:, k].copy()) for k in range(s.bands))]
-                    yield pa.record_batch(cols, names=["node", "kind", *names])
+            docs_, hashes_ = (b.column(k).to_numpy() for k in (0, 1))
+            order = np.lexsort((hashes_, docs_))  # the first place in a batch is then the first that is met
+            texts, at = common.texts_of(b.column(2).take(pa.array(order))), 0
+            docs_, hashes_ = docs_[order], hashes_[order]
+            for part in common.slices(texts, SLICE_CHARS):
+                found = units(part)
+                if found:
+                    lines, nodes = list(found), nodes_of(found)
+                    row, no = np.array(list(found.values()), np.int64).T
+                    sizes = np.fromiter(map(len, lines), np.int64, len(lines))
+                    for kind, which, keys in signatures(lines, s, hashes):
+                        r = row[which] + at
+                        first = pa.StructArray.from_arrays([pa.array(docs_[r]), pa.array(hashes_[r]), pa.array(no[which].astype(np.int32))], fields=list(place))
+                        cols = [pa.array(nodes[which]), pa.array(np.full(len(which), kind, np.int32)), pa.array(sizes[which]), first, *(pa.array(keys[:, k].copy()) for k in range(s.bands))]
+                        yield pa.record_batch(cols, names=["node", "kind", "size", "at", *names])
+                at += len(part)
+
+    schema = f"node long, kind int, size long, {AT}, " + ", ".join(f"{n} long" for n in names)
+    return docs.select("_doc", "_text", "text").mapInArrow(run, schema)
+
+
+def buckets(sigs: DataFrame, s: Settings) -> tuple[DataFrame, DataFrame]:
+    """(own, stats) of the bands for common.link_buckets().
+
+    Most bands are a line's alone. Those of several nodes are counted first; a bitmap of fixed size of
+    them leaves out most others where the signatures stand, and a join the rest, at any size.
+    """
+    names = [f"b{k}" for k in range(s.bands)]
+    bands = sigs.select("node", F.explode(F.array(*names)).alias("key"))
+    several = bands.groupBy("key").agg(F.min("node").alias("lo"), F.max("node").alias("hi")).where("lo <> hi").select("key")
+    several = materialize(several, "several")
+    bits = common.bits_for(several.count())
+    sent = sigs.sparkSession.sparkContext.broadcast(common.bitmap(several, "key", bits))
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for b in batches:
+            for k in range(2, 2 + len(names)):
+                keys = b.column(k).to_numpy()
+                hit = pa.array(np.flatnonzero(common.marked(sent.value, keys, bits)))
+                if len(hit):
+                    yield pa.record_batch([b.column(k).take(hit), b.column(0).take(hit), b.column(1).take(hit)], names=["key", "node", "size"])
 
-    schema = "node long, kind int, " + ", ".join(f"{n} long" for n in names)
-    sigs = docs.select("text").mapInArrow(run, schema)
-    return sigs.groupBy("node", "kind").agg(*[F.min(n).alias(n) for n in names])
+    near = sigs.select("node", "size", *names).mapInArrow(run, "key long, node long, size long").distinct()
+    own = materialize(near.join(several.hint("merge"), "key"), "own")
+    stats = materialize(common.bucket_stats(own), "stats")
+    discard(several)
+    return own.select("key", "node"), stats
 
 
 def linker(s: Settings, hashes: Hashes = shingle_hashes) -> common.Linker:
@@ -219,21 +269,14 @@ def line_texts(docs: DataFrame, wanted: DataFrame, bits: int) -> DataFrame:
     A bitmap of fixed size (one bit for each remainder of a node) is broadcast to leave out most
     other lines before they are shuffled; the join then leaves out the rest.
     """
-    place = (F.pmod(F.col("node"), F.lit(bits)) + 1).alias("p")  # Spark numbers bits from 1
-    maps = wanted.select(place).groupBy(F.bitmap_bucket_number("p").alias("k")).agg(F.bitmap_construct_agg(F.bitmap_bit_position("p")).alias("m")).collect()
-    field = np.zeros((bits // 32768 + 1, 4096), np.uint8)
-    for k, m in maps:
-        field[k - 1] = np.frombuffer(m, np.uint8)
-    sent = docs.sparkSession.sparkContext.broadcast(field.reshape(-1))
+    sent = docs.sparkSession.sparkContext.broadcast(common.bitmap(wanted, "node", bits))
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        seen = sent.value
         for b in batches:
             for part in common.slices(common.texts_of(b.column(0)), SLICE_CHARS):
-                lines = distinct_lines(part)
+                lines = list(distinct_lines(part))
                 nodes = nodes_of(lines)
-                p = nodes % bits
-                hit = np.flatnonzero(seen[p >> 3] >> (p & 7).astype(np.uint8) & 1)
+                hit = np.flatnonzero(common.marked(sent.value, nodes, bits))
                 if len(hit):
                     yield pa.record_batch({"node": pa.array(nodes[hit]), "line": pa.array([lines[k] for k in hit.tolist()])})
 
@@ -241,19 +284,14 @@ def line_texts(docs: DataFrame, wanted: DataFrame, bits: int) -> DataFrame:
     return found.join(wanted, "node", "left_semi").groupBy("node").agg(F.min("line").alias("line"))
 
 
-def similar_lines(docs: DataFrame, s: Settings = Settings()) -> DataFrame:
+def similar_lines(docs: DataFrame, sigs: DataFrame, s: Settings = Settings()) -> DataFrame:
     """(node, root) for every line (by its hash) that has a similar, different line."""
-    sigs = materialize(signature_table(docs, s), "signatures")
-    members = sigs.select("node", F.explode(F.array(*[f"b{k}" for k in range(s.bands)])).alias("key"))
-    several = members.groupBy("key").agg(F.count("*").alias("n")).where("n > 1").select("key")
-    cells = materialize(common.cells_of(members, several, s.block), "cells")
-    discard(sigs)
-    wanted = cells.select("node").distinct()
-    n = wanted.count()
-    texts = line_texts(docs, wanted, 1 << min(27, max(20, (16 * n).bit_length())))
-    edges = common.link(cells.join(texts, "node"), linker(s))
-    roots = common.components(edges)
-    discard(cells)
+    own, stats = buckets(sigs, s)
+    wanted = materialize(own.select("node").distinct(), "wanted")
+    texts = materialize(line_texts(docs, wanted, common.bits_for(wanted.count())), "texts")
+    edges = common.link_buckets(own, stats, s.block, linker(s), lambda cells: cells.join(texts, "node"))
+    roots = materialize(common.components(edges), "roots")
+    discard(own, stats, texts, wanted)
     return roots
 
 
@@ -261,14 +299,13 @@ def key_columns(docs: DataFrame) -> tuple[Column, Column]:
     return F.coalesce(F.col("doc_id").cast("long"), F.lit(-(1 << 63))).alias("_doc"), F.xxhash64("text").alias("_text")
 
 
-def keepers(docs: DataFrame, roots: DataFrame) -> DataFrame:
+def keepers(sigs: DataFrame, roots: DataFrame) -> DataFrame:
     """(_doc, _text, kept): numbers of the lines that stay, blank ones not among them."""
-    split = docs.select(*key_columns(docs), F.posexplode(F.split("text", "\n")).alias("no", "line"))
-    trimmed = F.btrim("line", F.lit(BLANK))
-    at = split.where(trimmed != "").select(F.xxhash64(trimmed).alias("node"), F.struct("_doc", "_text", "no").alias("at"))
-    first = at.groupBy("node").agg(F.min("at").alias("at"))
-    grouped = first.join(roots, "node", "left").groupBy(F.coalesce("root", "node").alias("root")).agg(F.min("at").alias("at"))
-    return grouped.select("at.*").groupBy("_doc", "_text").agg(F.collect_list("no").alias("kept"))
+    first = sigs.groupBy("node").agg(F.min("at").alias("at")).join(roots, "node", "left").select("root", "at")
+    first = materialize(first, "first")
+    best = first.where("root is not null").groupBy("root").agg(F.min("at").alias("at")).select("at")
+    alone = first.where("root is null").select("at")
+    return alone.unionByName(best).select("at.*").groupBy("_doc", "_text").agg(F.collect_list("no").alias("kept"))
 
 
 def dedup_lines(docs: DataFrame, s: Settings = Settings()) -> DataFrame:
@@ -282,7 +319,9 @@ def dedup_lines(docs: DataFrame, s: Settings = Settings()) -> DataFrame:
     where there is such a column, follows the text.
     """
     names = docs.columns
-    kept = keepers(docs, similar_lines(docs, s))
+    plain = docs.select(*key_columns(docs), "text")
+    sigs = materialize(signature_table(plain, s), "signatures")
+    kept = keepers(sigs, similar_lines(plain, sigs, s))
     # The caller's columns travel inside a struct, where no name can clash with those used here.
     carried = F.struct(F.lit(True).alias("_"), *[F.col(f"`{c}`") for c in names if c != "text"])
     keyed = docs.select(carried.alias("carried"), F.split("text", "\n").alias("lines"), *key_columns(docs)).join(kept.hint("shuffle_hash"), ["_doc", "_text"], "left")

@@ -47,19 +47,23 @@ def word_hashes(texts: list[str], k: int) -> tuple[np.ndarray, np.ndarray]:
     return h, counts
 
 
-def whole_texts(texts: list[str]) -> list[str]:
-    return list(dict.fromkeys(t for t in texts if t))
+def whole_texts(texts: list[str]) -> dict[str, tuple[int, int]]:
+    out: dict[str, tuple[int, int]] = {}
+    for k, t in enumerate(texts):
+        if t:
+            out.setdefault(t, (k, 0))
+    return out
 
 
 def links(docs: DataFrame, s: lines.Settings = SETTINGS) -> DataFrame:
     """Edges (a, b) that connect the texts (by xxhash64) of Jaccard ``s.similarity`` or more."""
-    sigs = materialize(lines.signature_table(docs, s, whole_texts, word_hashes), "signatures")
-    members = sigs.select("node", F.explode(F.array(*[f"b{k}" for k in range(s.bands)])).alias("key"))
-    several = members.groupBy("key").agg(F.count("*").alias("n")).where("n > 1").select("key")
-    cells = materialize(common.cells_of(members, several, s.block), "cells")
-    discard(sigs)
-    wanted = cells.select("node").distinct()
+    plain = docs.select(*lines.key_columns(docs), "text")
+    sigs = lines.signature_table(plain, s, whole_texts, word_hashes).drop("at")
+    sigs = materialize(sigs.groupBy("node", "kind").agg(*[F.min(c).alias(c) for c in sigs.columns[2:]]), "signatures")
+    own, stats = lines.buckets(sigs, s)
+    wanted = own.select("node").distinct()
     texts = docs.select(F.xxhash64("text").alias("node"), F.col("text").alias("line")).join(wanted, "node", "left_semi").groupBy("node").agg(F.min("line").alias("line"))
-    edges = materialize(common.link(cells.join(texts, "node"), lines.linker(s, word_hashes)).distinct(), "edges")
-    discard(cells)
+    texts = materialize(texts, "texts")
+    edges = materialize(common.link_buckets(own, stats, s.block, lines.linker(s, word_hashes), lambda cells: cells.join(texts, "node")).distinct(), "edges")
+    discard(sigs, own, stats, texts)
     return edges
