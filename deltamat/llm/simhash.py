@@ -162,6 +162,17 @@ def alike(docs: DataFrame, fp: DataFrame, s: lines.Settings) -> DataFrame:
     return found.where("a_fp <> b_fp").select(F.col("a_fp").alias("a"), F.col("b_fp").alias("b"))
 
 
+def classes(docs: DataFrame, radius: int, block: int, words: lines.Settings | None) -> tuple[DataFrame, DataFrame]:
+    """The written fingerprints() of docs, and (fp, root) for each fingerprint that is linked to another."""
+    fp = materialize(fingerprints(docs), "fingerprints")
+    spread = int(docs.sparkSession.conf.get("spark.sql.shuffle.partitions"))
+    index = fp.select(F.col("fp").alias("node")).distinct().repartition(spread, F.xxhash64("node"))
+    edges = links(index, radius, block)
+    if words:
+        edges = edges.unionByName(alike(docs, fp, words))
+    return fp, materialize(common.components(edges).select(F.col("node").alias("fp"), "root"), "roots")
+
+
 def near_duplicates(docs: DataFrame, radius: int = 4, block: int = 512, words: lines.Settings | None = None) -> DataFrame:
     """(doc_id, fingerprint, component_id) for every row of docs.
 
@@ -172,32 +183,36 @@ def near_duplicates(docs: DataFrame, radius: int = 4, block: int = 512, words: l
     which is null if no row of the component has a doc_id. Other columns are not looked at; an
     empty table gives an empty result.
     """
-    fp = materialize(fingerprints(docs), "fingerprints")
+    fp, roots = classes(docs, radius, block, words)
     nodes = fp.groupBy("fp").agg(F.min("doc_id").alias("least"))
-    spread = int(docs.sparkSession.conf.get("spark.sql.shuffle.partitions"))
-    index = nodes.select(F.col("fp").alias("node")).repartition(spread, F.xxhash64("node"))
-    edges = links(index, radius, block)
-    if words:
-        edges = edges.unionByName(alike(docs, fp, words))
     # Only linked fingerprints have a component to look up; its smallest id is written, so that the
     # join by root is one that a giant component does not hold up.
-    linked = materialize(nodes.join(common.components(edges), nodes.fp == F.col("node")).select("fp", "least", "root"), "linked")
+    linked = materialize(nodes.join(roots, "fp").select("fp", "least", "root"), "linked")
     named = materialize(linked.groupBy("root").agg(F.min("least").alias("component_id")), "named")
-    classes = linked.join(named.hint("merge"), "root").select("fp", F.lit(True).alias("linked"), "component_id")
-    single = nodes.join(classes, "fp", "left").select("fp", F.when(F.col("linked"), F.col("component_id")).otherwise(F.col("least")).alias("component_id"))
+    ids = linked.join(named.hint("merge"), "root").select("fp", F.lit(True).alias("linked"), "component_id")
+    single = nodes.join(ids, "fp", "left").select("fp", F.when(F.col("linked"), F.col("component_id")).otherwise(F.col("least")).alias("component_id"))
+    single = materialize(single, "single")  # the last join is then one whose hot fingerprints are split
     hexed = F.lower(F.lpad(F.hex("fp"), 16, "0")).alias("fingerprint")
-    return fp.join(single, "fp").select("doc_id", hexed, "component_id")
+    return fp.join(single.hint("merge"), "fp").select("doc_id", hexed, "component_id")
 
 
 def drop_near_duplicates(docs: DataFrame, radius: int = 4, words: lines.Settings | None = None) -> DataFrame:
-    """docs with one row of each component: that of the smallest doc_id (repeated rows of it once).
+    """docs with one row of each component: that of the smallest doc_id.
 
-    Rows without doc_id stay only where their whole component has none, once for each fingerprint.
+    Rows of one doc_id and different texts are told apart: of equal ids the smaller fingerprint and
+    then the smaller text hash stays. Rows without doc_id come after all others, so one stays where
+    its whole component has no id. Of rows repeated with one doc_id and text any one stays.
     """
-    cols = docs.columns
-    kept = near_duplicates(docs, radius, words=words).where("doc_id <=> component_id").select("doc_id").distinct()
-    once = docs.join(kept, docs.doc_id.eqNullSafe(kept.doc_id), "left_semi")
-    return once.select(cols).dropDuplicates(["doc_id"])
+    fp, roots = classes(docs, radius, 512, words)
+    place = F.struct(F.col("doc_id").isNull().alias("none"), "doc_id", "fp", "text_hash")
+    best = fp.groupBy("fp").agg(F.min(place).alias("at")).join(roots, "fp", "left")
+    best = best.groupBy(F.coalesce("root", "fp").alias("root")).agg(F.min("at").alias("at"))
+    kept = best.select(F.coalesce("at.doc_id", F.lit(-(1 << 63))).alias("_doc"), F.col("at.none").alias("_none"), F.coalesce("at.text_hash", F.lit(0).cast("long")).alias("_text"))
+    # The caller's columns travel inside a struct, where no name can clash with those used here.
+    doc = F.col("doc_id").cast("long")
+    keyed = docs.select(F.struct(*[F.col(f"`{c}`") for c in docs.columns]).alias("row"), F.coalesce(doc, F.lit(-(1 << 63))).alias("_doc"), doc.isNull().alias("_none"), F.xxhash64("text").alias("_text"))
+    once = keyed.join(kept, ["_doc", "_none", "_text"], "left_semi").dropDuplicates(["_doc", "_none", "_text"])
+    return once.select("row.*")
 
 
 def op4_simhash(spark: SparkSession, sf_dir: str) -> DataFrame:
