@@ -9,6 +9,7 @@ compared as whole numbers (millionths of a bit), so that engines agree on ties.
 from __future__ import annotations
 
 import math
+from collections.abc import Callable
 
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
@@ -23,7 +24,7 @@ ASSIGN_LEAST = 6
 
 # Fixed values of the entropy pass: class name, its characters, run pattern, window, least bits.
 CLASSES = (
-    ("entropy_hex", "0123456789abcdefABCDEF", r"[0-9a-fA-F]{32,}", 24, 3.0),
+    ("entropy_hex", "0123456789abcdefABCDEF", r"[0-9a-fA-F]{24,}", 24, 3.0),
     ("entropy_base64", "ABCDEFGHIJKLMNOPQRSTUVWXYZabcdefghijklmnopqrstuvwxyz0123456789+/_=-", r"[A-Za-z0-9+/_=-]{24,}", 24, 4.0),
 )
 #: Runs that look random and are not secrets: words, UUIDs, placeholders, runs of the alphabet.
@@ -33,7 +34,11 @@ ALLOW = (
     r"|[Ee][Xx][Aa][Mm][Pp][Ll][Ee]|[Pp]laceholder|PLACEHOLDER|[Dd]ummy|DUMMY|[Xx]{8}"
     r"|0123456789|abcdefghij|ABCDEFGHIJ"
 )
+#: The one pattern of ALLOW that repeats a group, which the JVM's engine would walk by recursion.
+SNAKE = r"^[a-z]+([_-][a-z]+)+$"
 MICRO, BLOCK = 1_000_000, 512
+#: Counts of a window, packed: bits of a count and counts in a number.
+BITS, PACK = 6, 10
 
 
 def weight(count: int) -> int:
@@ -46,28 +51,48 @@ def limit(window: int, bits: float) -> int:
     return math.floor(window * (math.log2(window) - bits) * MICRO)
 
 
-def starts(text: Column, pattern: str, found: Column) -> Column:
-    """Start of each match, in code points: lengths of gaps and matches, summed block by block."""
-    gaps = F.transform(F.split(text, pattern, -1), F.length)
-    size = F.size(found)
-    pairs = F.transform(found, lambda m, k: F.struct(F.element_at(gaps, k + 1).alias("gap"), F.length(m).alias("len")))
+def let(value: Column, body: Callable[[Column], Column]) -> Column:
+    """body(value), with value computed once however often the body names it."""
+    return F.element_at(F.transform(F.array(value), body), 1)
+
+
+def running(items: Column, zero: Column, fold: Callable[[Column, Column], Column], merge: Callable[[Column, Column], Column], out: Callable[[Column, Column], Column], kind: str) -> Column:
+    """out(what came before, item) for each item of an array, in time that grows with its length.
+
+    fold takes up an item, merge joins two totals. Blocks are folded by themselves first, so that no
+    array is appended to beyond a block's length; kind is the type of out.
+    """
+    last = lambda x: F.greatest(F.floor((F.size(x) - 1) / BLOCK), F.lit(0)).cast("int")
+    none = F.array().cast(f"array<{kind}>")
 
-    def block(b: Column) -> Column:
-        before = F.aggregate(F.slice(pairs, F.lit(1), b * BLOCK), F.lit(0), lambda a, p: a + p["gap"] + p["len"])
-        state = F.struct(before.alias("at"), F.array().cast("array<int>").alias("out"))
-        step = lambda a, p: F.struct((a["at"] + p["gap"] + p["len"]).alias("at"), F.array_append(a["out"], a["at"] + p["gap"]).alias("out"))
-        return F.aggregate(F.slice(pairs, b * BLOCK + 1, F.lit(BLOCK)), state, step, lambda a: a["out"])
+    def walk(block: Column, start: Column) -> Column:
+        step = lambda a, x: F.struct(fold(a["acc"], x).alias("acc"), F.array_append(a["out"], out(a["acc"], x)).alias("out"))
+        return F.aggregate(block, F.struct(start.alias("acc"), none.alias("out")), step, lambda a: a["out"])
 
-    return F.flatten(F.transform(F.sequence(F.lit(0), F.greatest(F.floor((size - 1) / BLOCK), F.lit(0)).cast("int")), block))
+    def whole(blocks: Column) -> Column:
+        totals = F.transform(blocks, lambda b: F.aggregate(b, zero, fold))
+        empty = F.struct(zero.alias("acc"), F.array().cast("array<int>").alias("out"))
+        before = F.aggregate(totals, empty, lambda a, t: F.struct(merge(a["acc"], t).alias("acc"), F.array_append(a["out"], a["acc"]).alias("out")), lambda a: a["out"])
+        return F.flatten(F.zip_with(blocks, before, walk))
+
+    cut = lambda x: F.transform(F.sequence(F.lit(0), last(x)), lambda k: F.slice(x, k * BLOCK + 1, F.lit(BLOCK)))
+    return let(items, lambda x: let(cut(x), whole))
 
 
 def located(text: Column, pattern: str) -> Column:
-    """array<struct<text, start>> of the leftmost non-overlapping matches."""
-    found = F.regexp_extract_all(text, F.lit(pattern), F.lit(0))
-    at = starts(text, pattern, found)
-    kind = "array<struct<text:string,start:int>>"
-    hits = F.zip_with(found, at, lambda m, s: F.struct(m.alias("text"), s.alias("start")))
-    return F.when(text.rlike(pattern), hits).otherwise(F.array().cast(kind)).cast(kind)
+    """array<struct<text, start>> of the leftmost non-overlapping matches; starts are code points."""
+    kind = "struct<text:string,start:int>"
+    gaps = F.transform(F.split(text, pattern, -1), F.length)
+    pairs = let(F.regexp_extract_all(text, F.lit(pattern), F.lit(0)), lambda found: F.zip_with(found, F.slice(gaps, F.lit(1), F.size(found)), lambda m, g: F.struct(m.alias("text"), g.alias("gap"))))
+    hits = running(
+        pairs,
+        F.lit(0),
+        lambda at, p: at + p["gap"] + F.length(p["text"]),
+        lambda a, b: a + b,
+        lambda at, p: F.struct(p["text"].alias("text"), (at + p["gap"]).alias("start")),
+        kind,
+    )
+    return F.when(text.rlike(pattern), hits).otherwise(F.array().cast(f"array<{kind}>")).cast(f"array<{kind}>")
 
 
 def span(kind: str, rank: int, start: Column, end: Column) -> Column:
@@ -87,33 +112,50 @@ def base_spans(text: Column, kind: str, rank: int, pattern: str) -> Column:
 def dense_stretch(run: Column, alphabet: str, window: int, bits: float) -> Column:
     """struct<first, last>: first start and last end of windows that reach the entropy; -1: none.
 
-    The state holds a count for each character of the class; one step changes two of them.
+    The state holds a count for each character of the class, packed into a few numbers, and the
+    window's sum of weights. One step takes in a character and lets go the one that stood ``window``
+    places before; a window is judged when the next step, or the end, finds it complete.
     """
-    table = F.array(*[F.lit(weight(c)) for c in range(window + 2)])
-    f = lambda c: F.element_at(table, c + 1)
-    chars = F.transform(F.split(run, ""), lambda c: F.instr(F.lit(alphabet), c))
-    zero = F.struct(F.array_repeat(F.lit(0), len(alphabet)).alias("n"), F.lit(0).alias("sum"), F.lit(0).alias("i"), F.lit(-1).alias("first"), F.lit(-1).alias("last"))
-
-    def step(a: Column, c: Column) -> Column:
-        gone = F.when(a["i"] >= window, F.element_at(chars, F.greatest(a["i"] - window + 1, F.lit(1)))).otherwise(F.lit(0))
-        had = F.when(gone > 0, F.element_at(a["n"], F.greatest(gone, F.lit(1)))).otherwise(F.lit(0))
-        got = F.element_at(a["n"], c) - F.when(gone == c, 1).otherwise(0)
-        total = a["sum"] - f(had) + f(F.greatest(had - 1, F.lit(0))) - f(got) + f(got + 1)
-        hit = (a["i"] >= window - 1) & (total <= limit(window, bits))
+    if window >= 1 << BITS:
+        raise ValueError(f"windows go up to {(1 << BITS) - 1} characters")
+    gain = F.array(*[F.lit(weight(c + 1) - weight(c)) for c in range(window + 1)])
+    most, none = limit(window, bits), F.lit(-1)
+    shift = lambda c: F.pmod(c, F.lit(PACK)) * BITS
+    count = lambda n, c: F.call_function("shiftrightunsigned", F.element_at(n, F.floor(c / PACK).cast("int") + 1), shift(c)).bitwiseAND(F.lit((1 << BITS) - 1)).cast("int")
+    one = lambda c, k: F.when(F.floor(c / PACK) == k, F.call_function("shiftleft", F.lit(1).cast("long"), shift(c))).otherwise(F.lit(0).cast("long"))
+
+    def step(a: Column, e: Column) -> Column:
+        new, old = e["new"], e["old"]
+        gone = F.when(old >= 0, F.element_at(gain, count(a["n"], old))).otherwise(F.lit(0))
+        came = F.element_at(gain, count(a["n"], new) - F.when(old == new, 1).otherwise(0) + 1)
+        hit = (a["i"] >= window) & (a["sum"] <= most)
         return F.struct(
-            F.transform(a["n"], lambda x, k: x + F.when(k + 1 == c, 1).otherwise(0) - F.when(k + 1 == gone, 1).otherwise(0)).alias("n"),
-            total.alias("sum"),
+            F.transform(a["n"], lambda x, k: x + one(new, k) - F.when(old >= 0, one(old, k)).otherwise(F.lit(0).cast("long"))).alias("n"),
+            (a["sum"] - gone + came).alias("sum"),
             (a["i"] + 1).alias("i"),
-            F.when(hit & (a["first"] < 0), a["i"] - window + 1).otherwise(a["first"]).alias("first"),
-            F.when(hit, a["i"] + 1).otherwise(a["last"]).alias("last"),
+            F.when(hit & (a["first"] < 0), a["i"] - window).otherwise(a["first"]).alias("first"),
+            F.when(hit, a["i"]).otherwise(a["last"]).alias("last"),
         )
 
-    return F.aggregate(chars, zero, step, lambda a: F.struct(a["first"].alias("first"), a["last"].alias("last")))
+    def judged(a: Column) -> Column:
+        hit = (a["i"] >= window) & (a["sum"] <= most)
+        return F.struct(F.when(hit & (a["first"] < 0), a["i"] - window).otherwise(a["first"]).alias("first"), F.when(hit, a["i"]).otherwise(a["last"]).alias("last"))
+
+    zero = F.struct(F.array_repeat(F.lit(0).cast("long"), -(-len(alphabet) // PACK)).alias("n"), F.lit(0).alias("sum"), F.lit(0).alias("i"), none.alias("first"), none.alias("last"))
+    chars = F.transform(F.split(run, ""), lambda c: F.instr(F.lit(alphabet), c) - 1)
+    pairs = let(chars, lambda x: F.zip_with(x, F.slice(F.concat(F.array_repeat(F.lit(-1), window), x), F.lit(1), F.size(x)), lambda new, old: F.struct(new.alias("new"), old.alias("old"))))
+    return F.aggregate(pairs, zero, step, judged)
+
+
+def allowed(run: Column) -> Column:
+    """Whether a run is on the allow-list: ALLOW, with the pattern of joined words taken apart."""
+    snake = run.rlike("^[a-z][a-z_-]*[a-z]$") & run.rlike("[_-]") & ~run.rlike("[_-][_-]")
+    return snake | run.rlike(ALLOW.replace(f"|{SNAKE}", ""))
 
 
 def entropy_spans(text: Column, rank: int, spec: tuple) -> Column:
     kind, alphabet, pattern, window, bits = spec
-    runs = F.filter(located(text, pattern), lambda h: ~h["text"].rlike(ALLOW))
+    runs = F.filter(located(text, pattern), lambda h: ~allowed(h["text"]))
     scored = F.transform(runs, lambda h: F.struct(h["start"].alias("at"), dense_stretch(h["text"], alphabet, window, bits).alias("d")))
     dense = F.filter(scored, lambda s: s["d"]["first"] >= 0)
     return F.transform(dense, lambda s: span(kind, rank, s["at"] + s["d"]["first"], s["at"] + s["d"]["last"])).cast(SPANS)
@@ -135,8 +177,22 @@ def scan(docs: DataFrame) -> DataFrame:
     named = [("assign", ASSIGN), ("access", ACCESS), ("hex", HEX)]
     base = docs.select("doc_id", text.alias("text")).select("doc_id", "text", *[base_spans(F.col("text"), k, n, p).alias(k) for n, (k, p) in enumerate(named)], *[entropy_spans(F.col("text"), n + 3, c).alias(c[0]) for n, c in enumerate(CLASSES)])
     both = base.select("doc_id", *[k for k, _ in named], F.concat(*[k for k, _ in named]).alias("base"), F.concat(*[c[0] for c in CLASSES]).alias("dense"))
-    covered = lambda s: F.exists("base", lambda b: (b["start"] <= s["start"]) & (b["end"] >= s["end"]))
-    return both.select("doc_id", *[k for k, _ in named], "base", F.filter("dense", lambda s: ~covered(s)).alias("added"))
+    return both.select("doc_id", *[k for k, _ in named], "base", uncovered(F.col("base"), F.col("dense")).alias("added"))
+
+
+def uncovered(base: Column, dense: Column) -> Column:
+    """The dense spans that no base span covers: in order of start, no base span so far reaches their end."""
+    kind = "struct<start:int,rank:int,end:int,kind:string>"
+    is_base = lambda x: x["rank"] < 3
+    told = running(
+        F.array_sort(F.concat(base, dense)),
+        F.lit(0),
+        lambda far, x: F.greatest(far, F.when(is_base(x), x["end"]).otherwise(0)),
+        lambda a, b: F.greatest(a, b),
+        lambda far, x: F.when(~is_base(x) & (far < x["end"]), x).cast(kind),
+        kind,
+    )
+    return F.when(F.size(dense) > 0, F.filter(told, lambda x: x.isNotNull())).otherwise(F.array()).cast(SPANS)
 
 
 def op9_secrets(spark: SparkSession, sf_dir: str) -> DataFrame:
