@@ -1,7 +1,7 @@
 """A content-addressed WARC archive: payloads once, headers apart, records by a join.
 
-``payloads`` holds each distinct payload once under its SHA-256, verified by its length and a
-second, independent hash; ``headers`` holds the exact WARC and HTTP header bytes of every record
+``payloads`` holds each distinct payload once under its SHA-256, verified by a second strong digest
+(SHA-1, which the records carry as well); ``headers`` holds the exact WARC and HTTP header bytes of every record
 and the address of its payload. A record is its header followed by the payload, or the header alone
 where the record is a revisit.
 """
@@ -55,13 +55,13 @@ def write(pages: DataFrame, min_bytes: int = 0, date: str = NO_DATE) -> Archive:
     html = F.coalesce(F.col("html"), F.lit("")).cast("binary")
     rec = pages.select(F.col("page_id").cast("long"), F.col("url").cast("string"), html.alias("payload"))
     rec = rec.withColumns({"address": F.sha2("payload", 256), "bytes": F.octet_length("payload").cast("long")})
-    second = F.xxhash64("payload", "bytes")
+    second = F.sha1("payload")
     store = rec.groupBy("address").agg(F.first("payload").alias("payload"), F.max("page_id").alias("owner"), F.min(second).alias("lo"), F.max(second).alias("hi"))
     clash = F.raise_error(F.concat(F.lit("different payloads under one digest "), F.col("address")))
-    store = store.select(F.when(F.col("lo") == F.col("hi"), F.col("address")).otherwise(clash.cast("string")).alias("address"), "owner", "payload")
+    store = store.select(F.when(F.col("lo") == F.col("hi"), F.col("address")).otherwise(clash.cast("string")).alias("address"), "owner", base32(F.col("lo")).alias("digest"), "payload")
     payloads = materialize(store, "payloads")
 
-    thin = payloads.select("address", "owner", base32(F.sha1("payload")).alias("digest"))
+    thin = payloads.select("address", "owner", "digest")
     r = rec.select("page_id", "url", "bytes", "address").join(thin, "address")
     first = (F.col("bytes") < min_bytes) | F.col("page_id").eqNullSafe(F.col("owner"))
     name = lambda c: F.concat(F.lit("<urn:page:"), F.coalesce(F.col(c).cast("string"), F.lit("")), F.lit(">"))
@@ -95,7 +95,7 @@ def page(c: Column) -> Column:
 
 
 def index(archive: Archive) -> DataFrame:
-    """(page_id, record_type, refers_to, address, payload_digest) as the stored headers say."""
+    """(page_id, record_type, refers_to, address, payload_digest, header) as the stored headers say."""
     kind = field("WARC-Type")
     return archive.headers.select(
         page(field("WARC-Record-ID")).alias("page_id"),
@@ -103,24 +103,31 @@ def index(archive: Archive) -> DataFrame:
         F.when(kind == "revisit", page(field("WARC-Refers-To"))).alias("refers_to"),
         "address",
         F.regexp_replace(field("WARC-Payload-Digest"), "^sha1:", "").alias("payload_digest"),
+        "header",
     )
 
 
-def verified(archive: Archive) -> DataFrame:
-    """(address, payload_bytes, digest) computed from the stored payload bytes.
+def rebuilt(archive: Archive) -> DataFrame:
+    """index() with the header's bytes and the whole payload of every original record, revisits too.
 
-    A payload that no longer hashes to its address fails the query.
+    Each record is put together by a join on the payload's address and checked: a payload that does
+    not hash to its address or to the header's digest, or a block whose length is not the header's
+    Content-Length, fails the query. A payload that many records share is a hot key of a merge join.
     """
-    bad = F.raise_error(F.concat(F.lit("damaged payload "), F.col("address"))).cast("string")
-    sound = F.when(F.sha2("payload", 256) == F.col("address"), F.col("address")).otherwise(bad)
-    return archive.payloads.select(sound.alias("address"), F.octet_length("payload").cast("long").alias("payload_bytes"), base32(F.sha1("payload")).alias("digest"))
+    said = index(archive).select("page_id", "record_type", "refers_to", "address", "payload_digest", "header")
+    both = said.join(archive.payloads.hint("merge"), "address")
+    head = F.col("header").cast("string")
+    http = F.octet_length("header") - F.octet_length(F.substring_index(head, CRLF + CRLF, 1)) - 4
+    block = http + F.when(F.col("record_type") == "response", F.octet_length("payload")).otherwise(0)
+    sound = (F.sha2("payload", 256) == F.col("address")) & (base32(F.sha1("payload")) == F.col("payload_digest")) & (block == field("Content-Length").cast("long"))
+    bad = F.raise_error(F.concat(F.lit("a record does not fit its payload "), F.col("address"))).cast("string")
+    return both.select("page_id", "record_type", "refers_to", F.when(sound, F.col("payload_digest")).otherwise(bad).alias("payload_digest"), "header", "payload")
 
 
 def records(archive: Archive) -> DataFrame:
-    """(page_id, record): every original record, header and block and closing blank lines."""
-    kind = field("WARC-Type")
-    own = archive.headers.join(archive.payloads, "address").select(page(field("WARC-Record-ID")).alias("page_id"), "header", F.when(kind == "response", F.col("payload")).otherwise(F.lit(b"")).alias("body"))
-    return own.select("page_id", F.concat("header", "body", F.lit(b"\r\n\r\n")).alias("record"))
+    """(page_id, record): every record as a WARC file holds it, header and block and closing blank lines."""
+    body = F.when(F.col("record_type") == "response", F.col("payload")).otherwise(F.lit(b""))
+    return rebuilt(archive).where("payload_digest is not null").select("page_id", F.concat("header", body, F.lit(b"\r\n\r\n")).alias("record"))
 
 
 def warc_files(archive: Archive, target_bytes: int = 64 << 20) -> DataFrame:
@@ -172,10 +179,9 @@ def read_warc(files: DataFrame) -> DataFrame:
 
 
 def op10_warc(spark: SparkSession, sf_dir: str) -> DataFrame:
-    archive = write(common.table(spark, sf_dir, "pages"))
-    back = index(archive).join(verified(archive), "address")
-    digest = F.when(F.col("digest") == F.col("payload_digest"), F.col("digest")).otherwise(F.raise_error(F.lit("a header's digest is not its payload's")).cast("string"))
-    return back.select("page_id", "payload_bytes", digest.alias("payload_digest"), "record_type", "refers_to")
+    """Every page's record, archived, rebuilt from header and payload, and read back."""
+    back = rebuilt(write(common.table(spark, sf_dir, "pages")))
+    return back.select("page_id", F.octet_length("payload").cast("long").alias("payload_bytes"), "payload_digest", "record_type", "refers_to")
 
 
 def oracle() -> str:
