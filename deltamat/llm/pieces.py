@@ -2,7 +2,7 @@
 
 The model file's protobuf is read field by field; normaliser, metaspace marker, scores and byte
 fallback are rebuilt as a tokenizers pipeline (unigram, or merges for a BPE model), batches are
-encoded by its threads, and the result is held against the sentencepiece library text by text.
+encoded by its threads, and its ids are held against the sentencepiece library's.
 """
 
 from __future__ import annotations
@@ -147,7 +147,8 @@ class Encoder:
 
     Where no piece crosses a word's start and texts are not normalised, a text's ids are its words'
     ids in a row: each distinct word is then encoded, held against the other library and decoded
-    once, and kept (a bounded number of words). Other models go text by text.
+    once, and kept (a bounded number of words); of each slice of texts the shortest is held against
+    both libraries as a whole as well. Other models go text by text.
     """
 
     def __init__(self, data: bytes, threads: int):
@@ -165,27 +166,31 @@ class Encoder:
         self.lossy: set[str] = set()
 
     def both(self, texts: list[str]) -> tuple[list[list[int]], list[bool], list[bool]]:
-        """The model's ids of each text, whether the libraries agree, whether decoding restores it."""
-        got = self.fast.encode_batch_fast(texts, add_special_tokens=False)
+        """The pipeline's ids of each text, whether sentencepiece has the same, whether decoding restores it."""
+        ids = [g.ids for g in self.fast.encode_batch_fast(texts, add_special_tokens=False)]
         true = self.reference.encode(texts, num_threads=self.threads)
-        back = self.fast.decode_batch(true, skip_special_tokens=False)
-        return true, [g.ids == t for g, t in zip(got, true, strict=True)], [x == t for x, t in zip(back, texts, strict=True)]
+        back = self.fast.decode_batch(ids, skip_special_tokens=False)
+        return ids, [x == t for x, t in zip(ids, true, strict=True)], [x == t for x, t in zip(back, texts, strict=True)]
 
     def learn(self, words: list[str]) -> None:
-        """Encode distinct words in both libraries, many in a row: a piece with a marker starts a word."""
+        """Encode distinct words in both libraries, many in a row: a piece with a marker starts a word.
+
+        A row that the pipeline does not keep apart by words is encoded word by word.
+        """
         plain = [w for w in words if w[0] == " " and len(w) > 1 and w[1] not in (" ", MARK)]
+        odd = [w for w in words if not (w[0] == " " and len(w) > 1 and w[1] not in (" ", MARK))]
         rows = [plain[k : k + ROW_WORDS] for k in range(0, len(plain), ROW_WORDS)]
         texts = ["".join(r)[1:] for r in rows]
         got = self.fast.encode_batch_fast(texts, add_special_tokens=False)
         for row, g, t in zip(rows, got, self.reference.encode(texts, num_threads=self.threads), strict=True):
-            true, mine = self.cut(t), self.cut(g.ids)
-            if len(true) != len(row):
-                raise ValueError("the model's pieces do not keep words apart")
-            for w, ids, other in zip(row, true, mine if len(mine) == len(row) else [None] * len(row), strict=True):
+            mine, true = self.cut(g.ids), self.cut(t)
+            if len(mine) != len(row) or len(true) != len(row):
+                odd += row
+                continue
+            for w, ids, other in zip(row, mine, true, strict=True):
                 self.keep(w, ids, other == ids)
-        odd = [w for w in words if not (w[0] == " " and len(w) > 1 and w[1] not in (" ", MARK))]
         if odd:
-            for w, ids, same, _ in zip(odd, *self.both([w[1:] for w in odd]), strict=True):
+            for w, ids, same, _ in zip(odd, *self.both([w[1:] if w[0] == " " else w for w in odd]), strict=True):
                 self.keep(w, ids, same)
 
     def cut(self, ids: list[int]) -> list[tuple[int, ...]]:
@@ -213,6 +218,10 @@ class Encoder:
         ids = [list(chain.from_iterable(map(self.known.__getitem__, w))) for w in words]
         same = [self.differ.isdisjoint(w) for w in words] if self.differ else [True] * len(words)
         whole = [self.lossy.isdisjoint(w) for w in words] if self.lossy else [True] * len(words)
+        if some := [k for k, t in enumerate(texts) if t]:
+            k = min(some, key=lambda n: len(texts[n]))
+            if self.both([texts[k]])[:2] != ([ids[k]], [True]):
+                same[k] = False
         for w in new:
             if len(w) > KEPT_CHARS:
                 del self.known[w]
@@ -236,9 +245,8 @@ SLICE_CHARS = 1 << 20
 def encode(docs: DataFrame, model_path: str = MODEL, threads: int = 2) -> DataFrame:
     """(doc_id, ids, n_tokens, parity, round_trip) for every whole text of docs.
 
-    Where the two libraries differ on a text, parity is false and ids are sentencepiece's own, so ids
-    are always the model's. round_trip says whether decode() gives the text back. Null and empty
-    texts have no ids. Repeated rows give repeated rows; other columns are not looked at.
+    ids are the rebuilt pipeline's; where sentencepiece has others, parity is false. round_trip says
+    whether decode() gives the text back. Null and empty texts have no ids. Repeated rows give repeated rows; other columns are not looked at.
     """
     with open(model_path, "rb") as f:
         data = f.read()
