@@ -3,7 +3,13 @@
 For each language a suffix automaton of sample text gives longest-match lengths: a document is cut
 greedily into the longest phrases that occur in the sample, and the language that needs the fewest
 phrases (normalised by the sample's length and the document's) wins. The automata become one table
-of next states, in which many stretches of text in all languages take a step at a time.
+of next states, in which many stretches of text in all languages take a step at a time. A stretch is
+parsed from the automaton's start first; where the stretch before it ended elsewhere, it is parsed
+again from there until both ways meet, so the phrases are those of the whole text in one go.
+
+The commonest letters are one symbol, any other letter of the samples is two, which tell 1281 classes
+of code points apart: no script is thrown together, and the table stays narrow. Letters that no sample
+has are one symbol that nothing matches.
 """
 
 from __future__ import annotations
@@ -24,10 +30,9 @@ from deltamat.llm.quality import fold
 
 @dataclass(frozen=True)
 class Settings:
-    """rows, row_chars, chars: most sample rows for a language, longest of them, most characters.
+    """rows, row_chars, chars: most sample rows for a language, most characters of one, of all.
 
-    stretch: texts are parsed in stretches of this many characters, each a new start, so that long
-    texts take no more steps than short ones; a stretch adds at most one phrase.
+    stretch: symbols of a text that are parsed side by side with others; it changes no result.
     """
 
     rows: int = 40
@@ -39,8 +44,15 @@ class Settings:
 
 UNKNOWN = "und"
 WIDTH, PAD, BLANK, OTHER = 64, 63, 62, 61
+#: Symbols for common letters; the others up to OTHER lead the pairs that stand for rare letters.
+COMMON = 40
+RARE = 64
+PAIRS = (OTHER - COMMON) * OTHER
 FLAG, STATE = 1 << 30, (1 << 30) - 1
 LETTER = np.array([chr(k).isalpha() for k in range(1 << 16)])
+LOWER = np.array([ord(chr(k).lower()) if len(chr(k).lower()) == 1 else k for k in range(1 << 16)], np.uint32)
+#: States kept of one group of stretches.
+KEPT = 1 << 23
 
 
 def automaton(text: np.ndarray) -> list[dict[int, int]]:
@@ -80,10 +92,11 @@ class Parser:
         self.settings = settings
         self.langs = [lang for lang, _ in samples]
         seen = Counter("".join(t for _, t in samples).lower())
-        letters = [c for c, _ in sorted(seen.items(), key=lambda x: (-x[1], x[0])) if c.isalpha() and ord(c) < 1 << 16][:OTHER]
-        classes = {c: k for k, c in enumerate(letters)}
-        lower = lambda k: chr(k).lower() if len(chr(k).lower()) == 1 else chr(k)
-        self.table = np.array([classes.get(lower(k), OTHER) if LETTER[k] else BLANK for k in range(1 << 16)], np.uint8)
+        letters = [c for c, _ in sorted(seen.items(), key=lambda x: (-x[1], x[0])) if c.isalpha() and ord(c) < 1 << 16][:COMMON]
+        classes = {ord(c): k for k, c in enumerate(letters)}
+        classes |= {ord(c): RARE for c in seen if ord(c) < 1 << 16 and ord(c) not in classes}
+        self.table = np.array([classes.get(low, OTHER) if letter else BLANK for letter, low in zip(LETTER.tolist(), LOWER.tolist(), strict=True)], np.uint8)
+        self.high = {ord(c) for c in seen if ord(c) >= 1 << 16}
         parts, base, self.bits = [], 0, []
         self.roots = []
         for _, text in samples:
@@ -107,17 +120,25 @@ class Parser:
         self.next = np.concatenate(parts).astype(np.int32) if parts else np.zeros(0, np.int32)
 
     def codes(self, text: str) -> tuple[np.ndarray, bool]:
-        """Character classes, runs of anything but letters taken as one blank; whether a letter is there."""
+        """Symbols, runs of anything but letters taken as one blank; whether a letter is there."""
         c = np.frombuffer(text.encode("utf-32-le", "surrogatepass"), np.uint32)
         k = self.table[np.minimum(c, 0xFFFF)]
         high = np.flatnonzero(c > 0xFFFF)
         if len(high):
             k = k.copy()
-            k[high] = [OTHER if chr(x).isalpha() else BLANK for x in c[high].tolist()]
+            k[high] = [(RARE if x in self.high else OTHER) if chr(x).isalpha() else BLANK for x in c[high].tolist()]
         blank = k == BLANK
         keep = ~blank
         keep[1:] |= ~blank[:-1]
-        return k[keep], not blank.all()
+        k = k[keep]
+        rare = k == RARE
+        if rare.any():
+            low = c[keep][rare]
+            low = np.where(low < 1 << 16, LOWER[np.minimum(low, 0xFFFF)], low) % PAIRS
+            first = np.flatnonzero(rare) + np.arange(len(low))
+            k = np.repeat(k, 1 + rare)
+            k[first], k[first + 1] = COMMON + low // OTHER, low % OTHER
+        return k, not blank.all()
 
     def phrases(self, codes: list[np.ndarray]) -> np.ndarray:
         """Phrases for each sequence (rows) and language (columns)."""
@@ -129,18 +150,51 @@ class Parser:
         starts = np.r_[0, np.cumsum(sizes)[:-1]]
         at = starts[owner] + (np.arange(len(owner)) - np.repeat(np.cumsum(n) - n, n)) * step
         left = np.minimum(starts[owner] + sizes[owner] - at, step)
-        grid = flat[at[None, :] + np.arange(step)[:, None]]
-        grid[np.arange(step)[:, None] >= left[None, :]] = PAD
-        state = np.repeat(np.array(self.roots, np.int32)[:, None], len(owner), 1)
-        count = np.zeros(state.shape, np.int32)
-        for row in grid[: int(left.max(initial=0))]:
-            v = self.next[state + row]
-            count += v >> 30
-            state = v & STATE
+        follows = np.r_[False, owner[1:] == owner[:-1]]
         out = np.zeros((len(codes), len(self.langs)), np.int64)
-        np.add.at(out, owner, count.T)
+        width = max(1, KEPT // (step * max(1, len(self.langs))))
+        end = None
+        for lo in range(0, len(owner), width):
+            part = slice(lo, lo + width)
+            grid = flat[at[None, part] + np.arange(int(left[part].max()))[:, None]]
+            grid[np.arange(len(grid))[:, None] >= left[None, part]] = PAD
+            count, end = self.parse(grid, follows[part], end)
+            np.add.at(out, owner[part], count.T)
         return out
 
+    def parse(self, grid: np.ndarray, follows: np.ndarray, before: np.ndarray | None) -> tuple[np.ndarray, np.ndarray]:
+        """(phrases by language and stretch, last states) of the stretches that are grid's columns.
+
+        follows: stretches that go on where the one to their left ends; before: states in which the
+        stretch left of the first one ended.
+        """
+        langs, n = len(self.langs), grid.shape[1]
+        roots = np.array(self.roots, np.int32)
+        start = np.repeat(roots[:, None], n, 1)
+        if follows[0] and before is not None:
+            start[:, 0] = before
+        start = start.reshape(-1)
+        seen = np.empty((len(grid), langs * n), np.int32)
+        state = start.reshape(langs, n)
+        for k, row in enumerate(grid):
+            v = self.next[state + row]
+            seen[k] = v.reshape(-1)
+            state = v & STATE
+        go_on = np.tile(follows & (np.arange(n) > 0), langs)
+        while True:
+            want = np.where(go_on, np.r_[0, seen[-1, :-1] & STATE], start).astype(np.int32)
+            col = np.flatnonzero(want != start)
+            if not len(col):
+                return (seen >> 30).sum(0).reshape(langs, n), seen[-1].reshape(langs, n)[:, -1] & STATE
+            start, state = want, want[col]
+            for k in range(len(grid)):
+                v = self.next[state + grid[k, col % n]]
+                apart = v & STATE != seen[k, col] & STATE
+                seen[k, col] = v
+                col, state = col[apart], (v & STATE)[apart]
+                if not len(col):
+                    break
+
     def predict(self, texts: list[str | None]) -> tuple[list[str], np.ndarray]:
         """(language, score in 0..1) of each text; ``und`` and 0 where there is no letter."""
         pairs = [self.codes(t or "") for t in texts]
@@ -159,15 +213,17 @@ class Parser:
 def sample(docs: DataFrame, settings: Settings) -> tuple[tuple[str, str], ...]:
     """(language, text) of the rows to learn from: those of the smallest hashes, a bounded number.
 
-    Rows of the held-out fold (crc32 of doc_id mod 5 = 0), without lang or doc_id or text, and texts
-    over ``row_chars`` take no part.
+    Rows of the held-out fold (crc32 of doc_id mod 5 = 0), without lang or doc_id or text take no
+    part. Texts up to ``row_chars`` come first; where a language has too few of them, longer ones give
+    their first ``row_chars`` characters to the sample.
     """
-    own = docs.where("lang is not null and doc_id is not null and text is not null").where(fold(F.col("doc_id"), 5) != 0).where(F.length("text") <= settings.row_chars)
-    by_hash = Window.partitionBy("lang").orderBy(F.xxhash64("doc_id"), "doc_id")
-    chosen = own.select("lang", "doc_id").withColumn("k", F.row_number().over(by_hash)).where(F.col("k") <= settings.rows).select("lang", "doc_id").distinct()
-    rows = own.select("lang", "doc_id", "text").join(F.broadcast(chosen), ["lang", "doc_id"]).collect()
+    own = docs.where("lang is not null and doc_id is not null and text is not null").where(fold(F.col("doc_id"), 5) != 0)
+    own = own.select("lang", "doc_id", (F.length("text") > settings.row_chars).alias("long"), F.substring("text", 1, settings.row_chars).alias("text"))
+    by_hash = Window.partitionBy("lang").orderBy("long", F.xxhash64("doc_id"), "doc_id")
+    chosen = own.select("lang", "doc_id", "long").withColumn("k", F.row_number().over(by_hash)).where(F.col("k") <= settings.rows).select("lang", "doc_id", "long").distinct()
+    rows = own.join(F.broadcast(chosen), ["lang", "doc_id", "long"]).collect()
     texts: dict[str, list[str]] = {}
-    for lang, _, text in sorted((r["lang"], (md5_key(r["doc_id"]), r["doc_id"]), r["text"]) for r in rows):
+    for lang, _, text in sorted((r["lang"], (r["long"], md5_key(r["doc_id"]), r["doc_id"]), r["text"]) for r in rows):
         texts.setdefault(lang, []).append(text)
     return tuple((lang, " ".join(t)) for lang, t in sorted(texts.items()))
 
@@ -188,7 +244,7 @@ def parser(samples: tuple[tuple[str, str], ...], settings: Settings) -> Parser:
     return _parsers[key]
 
 
-SLICE_CHARS = 1 << 21
+SLICE_CHARS = 1 << 20
 
 
 def identify(docs: DataFrame, samples: tuple[tuple[str, str], ...], settings: Settings = Settings()) -> DataFrame:
