@@ -24,7 +24,11 @@ from deltamat.llm import common
 
 @dataclass(frozen=True)
 class Settings:
-    """sample: most labelled rows to learn from; sample_chars: longest text among them."""
+    """sample: most labelled rows to learn from; sample_chars: longest text among them.
+
+    marks: how many of the sample's commonest marks are character classes of their own; power: votes
+    weigh the cosine to this power, so that the nearest of the neighbours count most.
+    """
 
     sample: int = 3000
     sample_chars: int = 20_000
@@ -32,32 +36,39 @@ class Settings:
     dims: int = 64
     neighbours: int = 24
     threshold: float = 0.7
+    marks: int = 10
+    power: int = 4
     seed: int = 11
 
 
-#: Character classes: letters by case, digits, blanks, and marks that junk is made of, one by one.
-_MARKS = ".,!|*#$%&"
-CLASSES = 5 + len(_MARKS) + 1
-_TABLE = np.full(1 << 16, CLASSES - 1, np.uint8)
-_TABLE[[k for k in range(1 << 16) if chr(k).islower()]] = 0
-_TABLE[[k for k in range(1 << 16) if chr(k).isupper()]] = 1
-_TABLE[[k for k in range(1 << 16) if chr(k).isdigit()]] = 2
-_TABLE[[k for k in range(1 << 16) if chr(k).isspace()]] = 3
-_TABLE[0x0A] = 4
-for _k, _c in enumerate(_MARKS):
-    _TABLE[ord(_c)] = 5 + _k
-SHAPES = CLASSES**3
+#: Character classes before the marks: lower and upper case, digits, blanks, line ends. The last class is any other.
+FIRST_MARK = 5
 REPEATS = 12
-
-
-def shape_counts(text: str) -> np.ndarray:
-    """How often each triple of character classes occurs."""
-    out = np.zeros(SHAPES, np.int64)
+_PLAIN = np.full(1 << 16, 255, np.uint8)
+_PLAIN[[k for k in range(1 << 16) if chr(k).islower()]] = 0
+_PLAIN[[k for k in range(1 << 16) if chr(k).isupper()]] = 1
+_PLAIN[[k for k in range(1 << 16) if chr(k).isdigit()]] = 2
+_PLAIN[[k for k in range(1 << 16) if chr(k).isspace()]] = 3
+_PLAIN[0x0A] = 4
+
+
+def classes(texts: list[str], marks: int) -> np.ndarray:
+    """The class of each code point: the marks are those that occur in most of the texts."""
+    seen = Counter(c for t in texts for c in set(t) if ord(c) < 1 << 16 and _PLAIN[ord(c)] == 255)
+    table = np.where(_PLAIN == 255, np.uint8(FIRST_MARK + marks), _PLAIN)
+    for k, (c, _) in enumerate(sorted(seen.items(), key=lambda x: (-x[1], x[0]))[:marks]):
+        table[ord(c)] = FIRST_MARK + k
+    return table
+
+
+def shape_counts(text: str, table: np.ndarray, n: int) -> np.ndarray:
+    """How often each triple of the n character classes occurs."""
+    out = np.zeros(n**3, np.int64)
     for at in range(0, len(text), 1 << 20):
         c = np.frombuffer(text[max(0, at - 2) : at + (1 << 20)].encode("utf-32-le", "surrogatepass"), np.uint32)
-        k = _TABLE[np.minimum(c, 0xFFFF)].astype(np.int32)
+        k = table[np.minimum(c, 0xFFFF)].astype(np.int32)
         if len(k) > 2:
-            out += np.bincount((k[:-2] * CLASSES + k[1:-1]) * CLASSES + k[2:], minlength=SHAPES)
+            out += np.bincount((k[:-2] * n + k[1:-1]) * n + k[2:], minlength=n**3)
     return out
 
 
@@ -75,6 +86,7 @@ class Space:
 
     def __init__(self, settings: Settings):
         self.settings = settings
+        self.table, self.classes = classes([], settings.marks), FIRST_MARK + settings.marks + 1
         self.vocab: dict[str, int] = {}
         self.idf = np.zeros(0, np.float32)
         self.axes = np.zeros((0, 0), np.float32)
@@ -84,10 +96,10 @@ class Space:
         words = text.lower().split()
         ids = np.fromiter(map(self.vocab.get, words, repeat(-1)), np.int64, len(words))
         counts = np.bincount(ids[ids >= 0], minlength=1)
-        shapes, again = shape_counts(text), np.array(repeats(words), np.int64)
+        shapes, again = shape_counts(text, self.table, self.classes), np.array(repeats(words), np.int64)
         n = len(self.vocab)
         found, values = [], []
-        for base, at, tf in ((0, np.flatnonzero(counts), counts), (n, np.flatnonzero(shapes), shapes), (n + SHAPES, again, None)):
+        for base, at, tf in ((0, np.flatnonzero(counts), counts), (n, np.flatnonzero(shapes), shapes), (n + len(shapes), again, None)):
             if len(at):
                 w = self.idf[base + at] * (1 if tf is None else np.log1p(tf[at]))
                 found.append(base + at)
@@ -103,7 +115,8 @@ class Space:
             df.update(set(t.lower().split()))
         best = sorted((x for x in df.items() if x[1] > 1), key=lambda x: (-x[1], x[0]))[: self.settings.words]
         self.vocab = {w: k for k, (w, _) in enumerate(best)}
-        size = len(self.vocab) + SHAPES + REPEATS
+        self.table = classes(texts, self.settings.marks)
+        size = len(self.vocab) + self.classes**3 + REPEATS
         self.idf = np.ones(size, np.float32)
         rows = [self.terms(t)[0] for t in texts]
         seen = np.bincount(np.concatenate([*rows, np.zeros(0, np.int64)]), minlength=size)
@@ -133,20 +146,23 @@ class Voter:
 
     def __init__(self, settings: Settings, texts: list[str], labels: list[int]):
         self.settings, self.space = settings, Space(settings)
-        self.labels = np.array(labels, np.float32)
+        self.labels = np.array(labels, np.float64)
         self.prior = float(self.labels.mean()) if labels else 0.5
-        self.vectors = np.ascontiguousarray(self.space.fit(texts).T) if labels else None
+        self.vectors = np.ascontiguousarray(self.space.fit(texts).T.astype(np.float64)) if labels else None
 
     def scores(self, texts: list[str]) -> np.ndarray:
         """The similarity-weighted share of label 1 among the nearest; the prior where nothing is near."""
         if self.vectors is None:
             return np.full(len(texts), self.prior)
-        cos = self.space.place(texts) @ self.vectors
+        cos = np.round(self.space.place(texts).astype(np.float64) @ self.vectors, 9)
         k = min(self.settings.neighbours, cos.shape[1])
-        near = np.argpartition(-cos, k - 1, axis=1)[:, :k]
-        weight = np.maximum(np.take_along_axis(cos, near, 1), 0).astype(np.float64) ** 4
+        cut = -np.partition(-cos, k - 1, axis=1)[:, k - 1 : k]
+        above, even = cos > cut, cos == cut  # of neighbours as near as the last, those learned first vote
+        chosen = above | even & (np.cumsum(even, axis=1) <= k - above.sum(1, keepdims=True))
+        weight = np.maximum(cos[chosen].reshape(-1, k), 0) ** self.settings.power
+        labels = np.broadcast_to(self.labels, cos.shape)[chosen].reshape(-1, k)
         total = weight.sum(1)
-        return np.where(total > 1e-12, (weight * self.labels[near]).sum(1) / np.maximum(total, 1e-12), self.prior)
+        return np.where(total > 1e-12, (weight * labels).sum(1) / np.maximum(total, 1e-12), self.prior)
 
 
 def fold(doc_id: Column, folds: int) -> Column:
@@ -192,7 +208,11 @@ def score(docs: DataFrame, voter: Voter) -> DataFrame:
 
 
 def keep_good(docs: DataFrame, voter: Voter) -> DataFrame:
-    """docs without the rows predicted 0; all columns, in one pass."""
+    """docs without the rows predicted 0; all columns, in one pass.
+
+    Rows are judged one by one, repeated ones alike; null and empty texts go by the prior; an empty
+    table stays empty, and columns besides text are carried whatever their names.
+    """
     sent = docs.sparkSession.sparkContext.broadcast(voter)
     where, threshold = docs.columns.index("text"), voter.settings.threshold
 
