@@ -1,6 +1,6 @@
 """Benchmark decontamination: BM25 with block-max WAND, then overlap of question and answer.
 
-Test items are indexed once on the driver (their size is checked) and broadcast. Every passage of
+Test items are indexed on the driver, in shards of a checked size, and broadcast. Every passage of
 every text is a query: a window of words that overlaps the next by half. Scores are shares of the
 score an item gives itself, so one threshold holds for all items. A set of passages is first
 bounded block by block from each term's block maximum; only passages with a block whose bound
@@ -17,6 +17,7 @@ from collections import Counter
 from collections.abc import Iterator
 from dataclasses import dataclass
 from itertools import repeat
+from typing import NamedTuple
 
 import numpy as np
 import pyarrow as pa
@@ -24,10 +25,12 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from deltamat.llm import common
+from deltamat.sources.scratch import discard, materialize
 
 WORDS = re.compile(r"\w+")
 K1, B = 1.2, 0.75
-MAX_INDEX_CHARS = 200_000_000
+#: Characters of test items in one shard of the index.
+MAX_INDEX_CHARS = 50_000_000
 
 
 @dataclass(frozen=True)
@@ -61,10 +64,22 @@ def shingles(ws: list[str], n: int) -> set[tuple[str, ...]]:
     return {tuple(ws[k : k + n]) for k in range(max(1, len(ws) - n + 1))} if ws else set()
 
 
+class Corpus(NamedTuple):
+    """What BM25 asks of all items together: their number, words and longest, and each term's items."""
+
+    n: int
+    words: int
+    longest: int
+    df: dict[str, int]
+
+
 class BlockMaxIndex:
-    """BM25 postings of the items, in blocks of item numbers, with each term's block maxima."""
+    """BM25 postings of the items, in blocks of item numbers, with each term's block maxima.
 
-    def __init__(self, items: list[tuple[int, str]], settings: Settings):
+    corpus: the counts over all items where ``items`` are one shard of them.
+    """
+
+    def __init__(self, items: list[tuple[int, str]], settings: Settings, corpus: Corpus | None = None):
         self.settings = settings
         items = sorted(((i, words(t or ""), t or "") for i, t in items if i is not None), key=lambda x: (x[0], x[2]))
         items = [x for x in items if x[1]]
@@ -74,10 +89,11 @@ class BlockMaxIndex:
             q, a = split_item(t)
             self.verify.append((shingles(words(q), settings.shingle), shingles(words(a), settings.shingle), shingles(words(t), settings.shingle)))
         n = len(items)
-        mean = sum(len(w) for _, w, _ in items) / n if n else 1.0
-        df = Counter(t for _, w, _ in items for t in set(w))
-        idf = {t: math.log(1 + (n - d + 0.5) / (d + 0.5)) for t, d in df.items()}
-        self.longest = max((len(w) for _, w, _ in items), default=1)
+        own = Counter(t for _, w, _ in items for t in set(w))
+        corpus = corpus or Corpus(n, sum(len(w) for _, w, _ in items), max((len(w) for _, w, _ in items), default=1), own)
+        mean, df = corpus.words / max(1, corpus.n), {t: corpus.df[t] for t in own}
+        idf = {t: math.log(1 + (corpus.n - d + 0.5) / (d + 0.5)) for t, d in df.items()}
+        self.longest = corpus.longest
         self.vocab: dict[str, int] = {t: k for k, t in enumerate(sorted(df))}
         postings: list[list[tuple[int, float]]] = [[] for _ in self.vocab]
         blocks = -(-n // settings.block)
@@ -124,9 +140,15 @@ class BlockMaxIndex:
         half, term = pairs // len(self.vocab), pairs % len(self.vocab)
         reps = self.at[term + 1] - self.at[term]
         flat = np.repeat(self.at[term] - np.r_[0, np.cumsum(reps)[:-1]], reps) + np.arange(int(reps.sum()))
-        n = len(self.slack)
-        cells = np.bincount(np.repeat(half, reps) * n + self.block_of[flat], self.bound_of[flat], (total + 1) * n).reshape(-1, n)
-        return ((cells[:-1] + cells[1:] + self.slack) >= self.settings.threshold - 1e-6).any(1)
+        chosen = np.full(total, bool((self.slack >= self.settings.threshold - 1e-6).any()))
+        if len(flat):
+            # A half-window's bounds count for the window that starts with it and for the one before.
+            n, at_half, block = len(self.slack), np.repeat(half, reps), self.block_of[flat]
+            cell, inverse = np.unique(np.r_[at_half * n + block, (at_half - 1) * n + block], return_inverse=True)
+            bound = np.bincount(inverse, np.tile(self.bound_of[flat], 2)) + self.slack[cell % n]
+            hit = cell[bound >= self.settings.threshold - 1e-6] // n
+            chosen[hit[hit >= 0]] = True
+        return chosen
 
     def reaches(self, terms: np.ndarray) -> bool:
         """The same bound for one passage's distinct terms."""
@@ -185,13 +207,41 @@ class BlockMaxIndex:
         return share(q), share(a), share(q) >= self.settings.overlap and share(a) >= self.settings.overlap
 
 
-def index_of(items: DataFrame, settings: Settings) -> BlockMaxIndex:
-    """The index of (item_id, text); refuses items over MAX_INDEX_CHARS characters in all."""
+def usable(items: DataFrame) -> DataFrame:
+    return items.select(F.col("item_id").cast("long").alias("item_id"), F.col("text").cast("string").alias("text")).where("item_id is not null and text is not null")
+
+
+def shards_of(items: DataFrame, settings: Settings) -> Iterator[BlockMaxIndex]:
+    """The index of (item_id, text), one shard of about MAX_INDEX_CHARS characters after the other.
+
+    One shard counts its terms itself. Several are dealt by the items' hashes and share the counts
+    over all items, which Spark makes; the driver holds one shard and its terms' counts at a time.
+    """
+    items = usable(items)
     size = items.agg(F.coalesce(F.sum(F.length("text")), F.lit(0))).first()[0]
-    if size > MAX_INDEX_CHARS:
-        raise ValueError(f"{size} characters of test items are too many to broadcast")
-    rows = items.select(F.col("item_id").cast("long"), "text").collect()
-    return BlockMaxIndex([(r[0], r[1]) for r in rows], settings)
+    shards = max(1, -(-size // MAX_INDEX_CHARS))
+    if shards == 1:
+        yield BlockMaxIndex([(r[0], r[1]) for r in items.collect()], settings)
+        return
+
+    def count(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for b in batches:
+            at = 0
+            for part in common.slices(common.texts_of(b.column(1)), SLICE_CHARS):
+                ws = [words(t) for t in part]
+                yield pa.record_batch({"shard": b.column(0).slice(at, len(part)), "n": pa.array(list(map(len, ws)), pa.int64()), "terms": pa.array([sorted(set(w)) for w in ws], pa.list_(pa.string()))})
+                at += len(part)
+
+    dealt = items.withColumn("shard", F.pmod(F.xxhash64("item_id", "text"), F.lit(shards)).cast("int"))
+    counted = materialize(dealt.select("shard", "text").mapInArrow(count, "shard int, n long, terms array<string>").where("n > 0"), "counted")
+    n, total, longest = counted.agg(F.count("*"), F.sum("n"), F.max("n")).first()
+    seen = counted.select("shard", F.explode("terms").alias("term"))
+    df = materialize(seen.groupBy("term").agg(F.count("*").alias("n")), "df")
+    for k in range(shards):
+        rows = dealt.where(F.col("shard") == k).select("item_id", "text").collect()
+        own = df.join(seen.where(F.col("shard") == k).select("term").distinct(), "term", "left_semi").collect()
+        yield BlockMaxIndex([(r[0], r[1]) for r in rows], settings, Corpus(n, total, longest, {r[0]: r[1] for r in own}))
+    discard(counted, df)
 
 
 def search(index: BlockMaxIndex, texts: list[str]) -> Iterator[tuple[int, int, int, float, float, float]]:
@@ -237,43 +287,63 @@ def contaminated(docs: DataFrame, items: DataFrame, settings: Settings = Setting
 
     Whole texts are searched; words are compared in lower case without punctuation. Null and empty
     texts or items match nothing; repeated rows of docs give repeated rows, repeated items with one
-    id one row for each distinct text. Other columns are not looked at.
+    id one row for each distinct text. Other columns are not looked at. Where the items take several
+    shards, each is a pass of its own over docs, written before the next one.
     """
-    index = docs.sparkSession.sparkContext.broadcast(index_of(items, settings))
-
-    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        idx = index.value
-        for b in batches:
-            at = 0
-            texts = common.texts_of(b.column(1))
-            for part in common.slices(texts, SLICE_CHARS):
-                rows = [(b.column(0)[at + n].as_py(), idx.ids[k], p, s, q, a) for n, k, p, s, q, a in search(idx, part)]
-                at += len(part)
-                if rows:
-                    cols = list(zip(*rows, strict=True))
-                    types = [pa.int64(), pa.int64(), pa.int32(), pa.float64(), pa.float64(), pa.float64()]
-                    yield pa.record_batch([pa.array(c, t) for c, t in zip(cols, types, strict=True)], names=["doc_id", "item_id", "passage", "score", "question_overlap", "answer_overlap"])
-
     schema = "doc_id long, item_id long, passage int, score double, question_overlap double, answer_overlap double"
-    return docs.select(F.col("doc_id").cast("long"), "text").mapInArrow(run, schema)
+    plain, found = docs.select(F.col("doc_id").cast("long"), "text"), []
+
+    def one(index: BlockMaxIndex) -> DataFrame:
+        sent = docs.sparkSession.sparkContext.broadcast(index)
+
+        def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+            idx = sent.value
+            for b in batches:
+                at = 0
+                for part in common.slices(common.texts_of(b.column(1)), SLICE_CHARS):
+                    rows = [(b.column(0)[at + n].as_py(), idx.ids[k], p, s, q, a) for n, k, p, s, q, a in search(idx, part)]
+                    at += len(part)
+                    if rows:
+                        cols = list(zip(*rows, strict=True))
+                        types = [pa.int64(), pa.int64(), pa.int32(), pa.float64(), pa.float64(), pa.float64()]
+                        yield pa.record_batch([pa.array(c, t) for c, t in zip(cols, types, strict=True)], names=["doc_id", "item_id", "passage", "score", "question_overlap", "answer_overlap"])
+
+        return plain.mapInArrow(run, schema)
+
+    for index in shards_of(items, settings):
+        found = [*found[:-1], *(materialize(x, "found") for x in found[-1:])]
+        found.append(one(index))
+    out = found[0]
+    for x in found[1:]:
+        out = out.unionByName(x)
+    return out
 
 
 def drop_contaminated(docs: DataFrame, items: DataFrame, settings: Settings = Settings()) -> DataFrame:
-    """docs without the rows whose text holds an item; all columns are kept, in one pass."""
-    index = docs.sparkSession.sparkContext.broadcast(index_of(items, settings))
-    where = docs.columns.index("text")
+    """docs without the rows whose text holds an item; all columns are kept, whatever their names.
 
-    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        idx = index.value
-        for b in batches:
-            keep, at = np.ones(b.num_rows, bool), 0
-            for part in common.slices(common.texts_of(b.column(where)), SLICE_CHARS):
-                for n, *_ in search(idx, part):
-                    keep[at + n] = False
-                at += len(part)
-            yield b.filter(pa.array(keep))
+    Null and empty texts stay, repeated rows go or stay alike, and without items all rows stay. One
+    pass for each shard of the items, see contaminated().
+    """
+    where, out = docs.columns.index("text"), None
+
+    def one(left: DataFrame, index: BlockMaxIndex) -> DataFrame:
+        sent = docs.sparkSession.sparkContext.broadcast(index)
+
+        def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+            for b in batches:
+                keep, at = np.ones(b.num_rows, bool), 0
+                for part in common.slices(common.texts_of(b.column(where)), SLICE_CHARS):
+                    for n, *_ in search(sent.value, part):
+                        keep[at + n] = False
+                    at += len(part)
+                yield b.filter(pa.array(keep))
+
+        return left.mapInArrow(run, docs.schema)
 
-    return docs.mapInArrow(run, docs.schema)
+    for index in shards_of(items, settings):
+        out = one(docs if out is None else materialize(out, "kept"), index)
+    return out
 
 
 def op7_decontamination(spark: SparkSession, sf_dir: str) -> DataFrame:
