@@ -193,13 +193,16 @@ def search(rows: DataFrame, queries: Column, s: Settings = Settings()) -> DataFr
             if at:
                 yield pa.record_batch([b.column(0).take(pa.array(at)), b.column(1).take(pa.array(at)), pa.array(leaves, pa.int32())], names=["vec", "q", "leaf"])
 
-    walked = distinct.mapInArrow(walk, "vec array<double>, q long, leaf int")
-    count = F.element_at(F.array(*[F.lit(int(p)) for p in pieces]), F.col("leaf") + 1)
-    # Blocks of a leaf's entries and of its queries: neither side of a block grows with the data.
-    total = int(distinct.count())
-    ask_pieces = max(1, -(-total // s.queries_cell))
-    x_side = index.select("vec", "ids", "entry", F.lit(None).cast("long").alias("q"), "leaf", F.pmod(F.xxhash64("entry"), count).cast("int").alias("piece"), F.explode(F.sequence(F.lit(0), F.lit(ask_pieces - 1))).alias("part"))
-    q_side = walked.select("vec", F.lit(None).cast("array<long>").alias("ids"), F.lit(None).cast("long").alias("entry"), "q", "leaf", F.explode(F.sequence(F.lit(0), count - 1)).alias("piece"), F.pmod(F.xxhash64("q"), F.lit(ask_pieces)).cast("int").alias("part"))
+    walked = materialize(distinct.mapInArrow(walk, "vec array<double>, q long, leaf int"), "walked")
+    visited = np.zeros(tree.leaves, np.int64)
+    for leaf, n in walked.groupBy("leaf").count().collect():
+        visited[leaf] = n
+    of_leaf = lambda counts: F.element_at(F.array(*[F.lit(int(p)) for p in counts]), F.col("leaf") + 1)
+    # Blocks of a leaf's entries and of the queries that visit it: neither side of a block grows with
+    # the data, and a leaf is copied for its own visits only; one that none visits takes no part.
+    count, parts = of_leaf(pieces), of_leaf(-(-visited // s.queries_cell))
+    x_side = index.where(parts > 0).select("vec", "ids", "entry", F.lit(None).cast("long").alias("q"), "leaf", F.pmod(F.xxhash64("entry"), count).cast("int").alias("piece"), F.explode(F.sequence(F.lit(0), parts - 1)).alias("part"))
+    q_side = walked.select("vec", F.lit(None).cast("array<long>").alias("ids"), F.lit(None).cast("long").alias("entry"), "q", "leaf", F.explode(F.sequence(F.lit(0), count - 1)).alias("piece"), F.pmod(F.xxhash64("q"), parts).cast("int").alias("part"))
 
     def block(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for _, t in grouped(batches, ("leaf", "piece", "part")):
