@@ -12,7 +12,7 @@ from __future__ import annotations
 import hashlib
 import re
 from collections import deque
-from collections.abc import Iterator
+from collections.abc import Callable, Iterator
 from dataclasses import dataclass, field
 
 import pyarrow as pa
@@ -57,10 +57,11 @@ def count_tokens(text: str) -> int:
 
 @dataclass
 class Budget:
-    """Tokens of a window, and of the history that later windows repeat."""
+    """Tokens of a window, and of the history that later windows repeat; count: a text's tokens."""
 
     window: int = 2048
     history: int = 512
+    count: Callable[[str], int] = count_tokens
 
 
 @dataclass
@@ -75,7 +76,7 @@ class _Conversation:
     no: int = 0
 
     def add(self, role: str, text: str, first: bool) -> Iterator[dict]:
-        tokens = count_tokens(text)
+        tokens = self.budget.count(text)
         fresh = any(not t[3] for t in self.turns)
         if fresh and self.prefix[-1] + tokens > self.budget.window:
             yield self.close()
@@ -167,7 +168,7 @@ def read_back(formatted: str) -> list[tuple[str, str]]:
 
 
 def digests(w: DataFrame) -> DataFrame:
-    """What the windows hold, read back from their text; rows must still stand as windows() left them."""
+    """What the windows hold, read back from their text, one row for each conversation."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         state = None
@@ -197,7 +198,8 @@ def digests(w: DataFrame) -> DataFrame:
         if state is not None:
             yield _rows([done()])
 
-    return w.mapInArrow(run, "conv_id long, n_turns long, turns_sha256 string, loss_chars long, loss_sha256 string, formatted_chars long")
+    dealt = w.repartition("conv_id").sortWithinPartitions("conv_id", "window")
+    return dealt.mapInArrow(run, "conv_id long, n_turns long, turns_sha256 string, loss_chars long, loss_sha256 string, formatted_chars long")
 
 
 def _rows(rows: list) -> pa.RecordBatch:
