@@ -61,18 +61,20 @@ def main() -> None:
     run("construct_order_part", lambda: MAKE["order_part"](spark, SF))
     run("static_product", lambda: multiply.spgemm(old, b))
     run("static_product_grid", lambda: multiply.spgemm_grid(old, b, ga, gb))
+    c_old = materialize(multiply.spgemm(old, b), "c")
+    c_star = materialize(alg.delta_product(old, a.where("u >= 500000 and u < 510000").select("i", "j", "v"), b, None), "c_star")
     for parts in (1000, 10_000, 50_000):
         star = materialize(a.where(f"u >= 500000 and u < {500_000 + parts}").select("i", "j", "v"), "star")
         run(f"delta_product_{parts / 10_000:g}pct", lambda star=star: alg.delta_product(old, star, b, None))
         run(f"delta_by_static_grid_{parts / 10_000:g}pct", lambda star=star: multiply.spgemm_grid(star, b, ga, gb))
-    x = materialize(inst.draw(inst.part_order(spark, SF), 7), "part_order")
-    c = materialize(inst.order_cust(spark, SF), "order_cust")
-    x_old = materialize(x.where("u < 500000").select("i", "j", "v"), "old")
-    view = materialize(gen.product_with_bits(x_old, c, sr.MIN_PLUS), "view")
-    x_new = materialize(x.where("u >= 3000 and u < 503000").select("i", "j", F.when(F.col("u") < 6000, F.col("v") + 100).otherwise(F.col("v")).alias("v")), "new")
-    x_star = materialize(x.where("u < 6000 or u >= 500000 and u < 503000").select("i", "j"), "star")
-    run("general_update_0.9pct", lambda: gen.maintain_general(view, x_old, x_new, x_star, c, None, sr.MIN_PLUS).z)
-    run("general_recompute", lambda: gen.product_with_bits(x_new, c, sr.MIN_PLUS))
+    run("add_delta_1pct_to_product", lambda: alg.maintain(c_old, c_star))
+    # (min, +) on the same operands, whose product has many terms a cell: deletions, raises, insertions.
+    view = materialize(gen.product_with_bits(old, b, sr.MIN_PLUS), "view")
+    run("general_recompute", lambda: gen.product_with_bits(old, b, sr.MIN_PLUS))
+    for name, t in (("0.1pct", 333), ("1pct", 3333), ("5pct", 16_667)):
+        x_new = materialize(a.where(f"u >= {t} and u < {500_000 + t}").select("i", "j", F.when(F.col("u") < 2 * t, F.col("v") + 100).otherwise(F.col("v")).alias("v")), "new")
+        x_star = materialize(a.where(f"u < {2 * t} or u >= 500000 and u < {500_000 + t}").select("i", "j"), "star")
+        run(f"general_update_{name}", lambda x_new=x_new, x_star=x_star: gen.maintain_general(view, old, x_new, x_star, b, None, sr.MIN_PLUS).result)
     batch = updates.UpdateBatch.build(a.where("u >= 500000 and u < 510000").select("i", "j", "v", F.lit("set").alias("op")), 0)
     for kind in (DeltaStore, MatrixStore, StaticStore):
         stores = iter([kind.create(old, new_path(spark, "store"), Grid(n, k, 4)) for _ in range(int(os.environ.get("BENCH_RUNS", "2")))])

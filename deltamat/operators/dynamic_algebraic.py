@@ -17,13 +17,13 @@ FORMS = ("two_term", "mirrored", "expanded")
 
 
 def pairs(a: DataFrame, b: DataFrame, small: str, trans: tuple[bool, bool], cells: int) -> DataFrame:
-    """Joined terms with the named side broadcast where it is checked to be small enough."""
+    """Joined terms (i, j, k, av, bv) with the named side broadcast where it is checked to be small enough."""
     left, right = sides(a, b, trans)
     if small == "left":
         left = F.broadcast(left) if fits(left, cells) else left.hint("shuffle_hash")
     else:
         right = F.broadcast(right) if fits(right, cells) else right.hint("shuffle_hash")
-    return left.join(right, "k").select("i", "j", "av", "bv")
+    return left.join(right, "k").select("i", "j", "k", "av", "bv")
 
 
 def delta_terms(a_old: DataFrame, a_star: DataFrame | None, b_old: DataFrame, b_star: DataFrame | None, a_new: DataFrame | None, b_new: DataFrame | None, form: str, trans: tuple[bool, bool], cells: int) -> DataFrame:

@@ -61,6 +61,18 @@ def needed_bits(c: DataFrame, c_star: DataFrame) -> DataFrame:
     return c_star.join(old, ["i", "j"], "left").select("i", "j", F.col("bits").bitwiseOR(F.coalesce("old", F.lit(0).cast("long"))).alias("bits"))
 
 
+def sized(df: DataFrame, cells: int = BROADCAST_CELLS) -> DataFrame:
+    """The table, marked for broadcast if it is checked to be small enough."""
+    return F.broadcast(df) if fits(df, cells) else df
+
+
+def rows_needed(c: DataFrame, c_star: DataFrame, by: str = "i") -> DataFrame:
+    """row_bits() of needed_bits(), made without moving C where C* is small: C is scanned in place."""
+    cells = sized(c_star.select("i", "j"))
+    old = c.join(cells, ["i", "j"], "left_semi").select(by, "bits")
+    return c_star.select(by, "bits").unionByName(old).groupBy(by).agg(F.bit_or("bits").alias("bits"))
+
+
 def row_bits(e: DataFrame, by: str = "i") -> DataFrame:
     return e.groupBy(by).agg(F.bit_or("bits").alias("bits"))
 
@@ -92,12 +104,12 @@ def exact_left(a_new: DataFrame, b_new: DataFrame, c_star: DataFrame, trans=(Fal
 def masked_with_bits(a_r: DataFrame, b_new: DataFrame, c_star: DataFrame, s: Semiring, ell: int = 64, trans=(False, False)) -> DataFrame:
     """(i, j, v, bits) of A^R·B' at C*; the mask is tested before values are accumulated."""
     left, right = sides(a_r, b_new, trans)
-    return with_bits(left.join(right, "k").join(c_star.select("i", "j"), ["i", "j"], "left_semi"), s, ell)
+    return with_bits(sized(left).join(right, "k").join(sized(c_star.select("i", "j")), ["i", "j"], "left_semi"), s, ell)
 
 
 def replace_in_mask(c: DataFrame, z: DataFrame, c_star: DataFrame) -> DataFrame:
     """C with its cells at C* replaced by Z; cells of C* without a term in Z vanish."""
-    kept = c.join(c_star.select("i", "j"), ["i", "j"], "left_anti")
+    kept = c.join(sized(c_star.select("i", "j")), ["i", "j"], "left_anti")
     return kept.unionByName(z.select(*c.columns))
 
 
@@ -118,11 +130,12 @@ def maintain_general(c: DataFrame, a_old: DataFrame, a_new: DataFrame, a_star: D
 
     variant: bits (fingerprint of the inner index), rows (the bits decide about whole rows only),
     none (all rows of C*), exact (the true inner indices). side: which operand is filtered.
-    C* is used several times and therefore written.
+    C*, the rows' bits and the filtered operand are counted before they are sent, and used again:
+    they are written once. C itself is only scanned where they are small.
     """
     c_star = materialize(compute_pattern(a_old, a_star, b_new, b_star, ell, trans), "pattern")
     e = needed_bits(c, c_star)
-    r = row_bits(e, "i" if side == "left" else "j")
+    r = materialize(rows_needed(c, c_star, "i" if side == "left" else "j"), "rows")
     a_r, b_r = a_new, b_new
     if variant == "bits" and side == "left":
         a_r = filter_left(a_new, r, ell, trans[0])
@@ -134,5 +147,7 @@ def maintain_general(c: DataFrame, a_old: DataFrame, a_new: DataFrame, a_star: D
         row = "j" if trans[0] else "i"
         touched = r.where("bits <> 0") if variant == "rows" else c_star.select("i").distinct()
         a_r = a_new.join(touched.select(F.col("i").alias(row)), row, "left_semi").select("i", "j", "v")
+    if side == "left":
+        a_r = materialize(a_r, "filtered")
     z = masked_with_bits(a_r, b_r, c_star, s, ell, trans)
     return Steps(c_star, e, r, a_r if side == "left" else b_r, z, replace_in_mask(c, z, c_star))

@@ -39,6 +39,25 @@ def triangles(g: DataFrame) -> DataFrame:
     return closed.agg(F.coalesce(F.sum("v"), F.lit(0)).cast("long").alias("triangles"))
 
 
+def _upward(g: DataFrame) -> DataFrame:
+    """(i, j, v) with i < j, each undirected edge once."""
+    return triu(symmetrize(g)).select("i", "j", F.lit(1).cast("long").alias("v"))
+
+
+def triangles_after(count: DataFrame, g: DataFrame, new: DataFrame) -> DataFrame:
+    """(triangles) once the edges ``new`` are there too; count: triangles() of g.
+
+    A triangle that is not old has one, two or three new edges. With U old, N new and W both upward
+    edges it is counted at the first of its edges that is new: N·W at W, U·N at W, U·U at N.
+    """
+    old = materialize(_upward(g), "old")
+    fresh = materialize(_upward(new).join(old, ["i", "j"], "left_anti"), "fresh")
+    both = old.unionByName(fresh)
+    parts = [spgemm_masked(fresh, both, both, COUNT_PAIR), spgemm_masked(old, fresh, both, COUNT_PAIR), spgemm_masked(old, old, fresh, COUNT_PAIR)]
+    more = parts[0].unionByName(parts[1]).unionByName(parts[2]).select(F.col("v").alias("triangles"))
+    return count.select("triangles").unionByName(more).agg(F.sum("triangles").cast("long").alias("triangles"))
+
+
 def contract(g: DataFrame, rows: DataFrame, cols: DataFrame | None = None, s: Semiring = PLUS_TIMES) -> DataFrame:
     """Sᵀ·G·T: entities summed up to labels; rows and cols are entity × label, 1."""
     cols = rows if cols is None else cols

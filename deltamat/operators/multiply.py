@@ -163,6 +163,8 @@ def power(a: DataFrame, t: int, s: Semiring = PLUS_TIMES, n: int | None = None)
 
 def closure(a: DataFrame, s: Semiring, max_rounds: int = 64) -> DataFrame:
     """A ⊕ A² ⊕ ... for an idempotent ⊕, by squaring until nothing changes."""
+    if not s.idempotent:
+        raise ValueError(f"{s.name} does not declare a ⊕ a = a")
     out = materialize(a.select("i", "j", "v"), "closure")
     for _ in range(max_rounds):
         more = materialize(ewise_add(out, spgemm(out, out, s), s), "closure")

@@ -101,10 +101,27 @@ def reasons(a: DataFrame, batch: UpdateBatch, s: Semiring = PLUS_TIMES) -> DataF
         why = F.when(F.col("op") == "add", "add").otherwise("difference")
     else:
         absorbed = s.plus(F.col("v"), F.col("u")).eqNullSafe(F.col("u"))
-        why = F.when(F.col("op") == "add", "add").when(F.col("op") == "del", F.when(absent, "nothing").otherwise("delete")).when(absent, "insert").when(same, "nothing").when(absorbed, "absorbs").otherwise("replace")
+        added = F.when(absent | F.lit(s.distributive), "add").otherwise("replace")
+        absorbed = absorbed & F.lit(s.distributive)
+        why = F.when(F.col("op") == "add", added).when(F.col("op") == "del", F.when(absent, "nothing").otherwise("delete")).when(absent, "insert").when(same, "nothing").when(absorbed, "absorbs").otherwise("replace")
     return seen.groupBy(why.alias("reason")).agg(F.count("*").alias("n"))
 
 
+def additions(a: DataFrame, batch: UpdateBatch, s: Semiring) -> DataFrame:
+    """The update matrix A* with A' = A ⊕ A*, for a batch that classify() calls algebraic.
+
+    In a ring that is the difference. Elsewhere adds give what they add, and sets the new value, which
+    stands where nothing did or takes up the old one (old ⊕ new = new); a set to the value that is
+    there gives nothing, since ⊕ need not be idempotent.
+    """
+    if s.is_ring:
+        touched = a.select("i", "j", "v").join(batch.pattern(), ["i", "j"], "left_semi")
+        return delta_of(apply_ops(touched, batch, s), touched, s)
+    last = batch.last(s).select("i", "j", "op", F.col("v").alias("u")).where("op <> 'del'")
+    seen = last.join(a.select("i", "j", "v"), ["i", "j"], "left")
+    return seen.where((F.col("op") == "add") | ~F.col("v").eqNullSafe(F.col("u"))).select("i", "j", F.col("u").alias("v"))
+
+
 GENERAL = ("delete", "replace")
 
 

@@ -7,7 +7,7 @@ from pyspark.sql import functions as F
 from deltamat.functions.semiring import PLUS_TIMES
 from deltamat.operators import layout, matrix, updates
 from deltamat.operators.layout import Affine, Grid
-from deltamat.queries.base import SQL, drawn, drawn_sql, query
+from deltamat.queries.base import SQL, cells, drawn, drawn_sql, query
 from deltamat.sources import instances as inst
 from deltamat.sources import store
 from deltamat.sources.scratch import new_path
@@ -362,3 +362,69 @@ def _balance(perm):
 query(_balance_sql(True), "grid_balance_perm")(_balance(True))
 query(_balance_sql(False), "grid_balance_plain")(_balance(False))
 
+
+
+# ---- shapes, vectors and dictionaries --------------------------------------------------------
+
+PS, OP = f"p AS ({SQL['part_supp']})", f"o AS ({SQL['order_part']})"
+SIZES = "dims AS (SELECT (SELECT max(p_partkey) + 1 FROM part) AS k, (SELECT max(s_suppkey) + 1 FROM supplier) AS m)"
+
+
+@query(f"WITH {PS}, {SIZES} SELECT i, j, v FROM p UNION ALL SELECT i, j + m, 2 * v FROM p, dims")
+def matrix_hstack(spark, d):
+    x = cells(spark, d, "part_supp")
+    m = inst.dims(spark, d, ("supplier", "s_suppkey"))[0]
+    return matrix.hstack(x, matrix.scale(x, 2), m)
+
+
+@query(f"WITH {PS}, {SIZES} SELECT i, j, v FROM p UNION ALL SELECT i + k, j, 2 * v FROM p, dims")
+def matrix_vstack(spark, d):
+    x = cells(spark, d, "part_supp")
+    k = inst.dims(spark, d, ("part", "p_partkey"))[0]
+    return matrix.vstack(x, matrix.scale(x, 2), k)
+
+
+@query(f"WITH {PS}, {SIZES} SELECT p.i, p.j, p.v FROM p, dims WHERE p.i < k // 2 AND p.j < m // 2")
+def matrix_resize(spark, d):
+    k, m = inst.dims(spark, d, ("part", "p_partkey"), ("supplier", "s_suppkey"))
+    return matrix.SparseMatrix(cells(spark, d, "part_supp"), k, m).resized(k // 2, m // 2).cells
+
+
+@query(f"WITH {OP} SELECT j AS i, sum(v * (i % 5))::BIGINT AS v FROM o GROUP BY 1")
+def matrix_vxm(spark, d):
+    a = cells(spark, d, "order_part")
+    return matrix.vxm(a.select("i", (F.col("i") % 5).alias("v")).distinct(), a)
+
+
+@query("SELECT event_type AS key, count(*)::BIGINT AS n FROM events WHERE event_type IS NOT NULL GROUP BY 1")
+def matrix_dictionary(spark, d):
+    """Rows by the ids of a text column, looked up again in its dictionary."""
+    coded, names = matrix.dictionary_encode(inst.read(spark, d, "events"), "event_type")
+    counts = coded.groupBy(F.col("event_type_id").alias("id")).agg(F.count("*").alias("n"))
+    return counts.join(names, "id").select("key", "n")
+
+
+@query("SELECT max(label)::BIGINT AS most, count(*)::BIGINT AS n, count(DISTINCT label)::BIGINT AS labels FROM (SELECT DISTINCT vec_id, label FROM embeddings)")
+def matrix_ones_and_diagonal(spark, d):
+    """The label vector as a diagonal, and its pattern."""
+    x = matrix.diag_of(inst.vec_label(spark, d).select("i", F.col("j").alias("v")))
+    ones = matrix.ones_pattern(x).groupBy().agg(F.sum("v").alias("n"))
+    return x.agg(F.max("v").alias("most"), F.count_distinct("v").alias("labels")).crossJoin(ones).select("most", "n", "labels")  # single rows
+
+
+TERMS = "SELECT i, w, count(*)::BIGINT AS v FROM (SELECT doc_id AS i, unnest(regexp_extract_all(lower(text), '([a-z0-9]+)', 1)) AS w FROM documents) GROUP BY 1, 2"
+
+
+@query(f"WITH m AS ({TERMS}), f AS (SELECT w FROM m GROUP BY 1 HAVING count(*) >= 2) SELECT i, count(*)::BIGINT AS terms, sum(v)::BIGINT AS words FROM m JOIN f USING (w) GROUP BY 1")
+def instance_doc_term(spark, d):
+    return inst.doc_term(spark, d).groupBy("i").agg(F.count("*").alias("terms"), F.sum("v").alias("words"))
+
+
+@query("SELECT i, count(DISTINCT t)::BIGINT AS targets, count(*)::BIGINT AS links FROM (SELECT page_id AS i, unnest(regexp_extract_all(html, 'href=\"([^\"]+)', 1)) AS t FROM pages) GROUP BY 1")
+def instance_page_link(spark, d):
+    return inst.page_link(spark, d).groupBy("i").agg(F.count("*").alias("targets"), F.sum("v").alias("links"))
+
+
+@query("SELECT conv_id AS i, count(DISTINCT coalesce(role, ''))::BIGINT AS roles, count(*)::BIGINT AS turns FROM conversations GROUP BY 1")
+def instance_turn_role(spark, d):
+    return inst.turn_role(spark, d).groupBy("i").agg(F.count("*").alias("roles"), F.sum("v").alias("turns"))

@@ -12,7 +12,7 @@ from deltamat.plans import cost
 from deltamat.plans.planner import choose, term_count
 from deltamat.plans.view import ProductView
 from deltamat.queries.base import SQL, cells, drawn, drawn_sql, product_sql, query
-from deltamat.queries.products import AB, G6, PATTERN_SQL, SUCC, order_supp, order_supp_grids, sparse_steps, succ
+from deltamat.queries.products import AB, G6, PATTERN_SQL, ROW_BITS, SUCC, order_supp, order_supp_grids, sparse_steps, succ
 from deltamat.sources import instances as inst
 from deltamat.sources.scratch import materialize
 
@@ -80,7 +80,15 @@ def cost_filter_effect(spark, d):
     return cost.filter_effect(x.new, cells(spark, d, "order_cust"), steps.pattern, steps.rows)
 
 
-@query()
+FILTERED = "ar AS (SELECT a.i, a.j, a.v FROM a JOIN r USING (i) WHERE (CASE WHEN r.bits < 0 THEN r.bits::HUGEINT + 18446744073709551616 ELSE r.bits::HUGEINT END // (1::UBIGINT << (a.j % 64)::INT)::HUGEINT) % 2 = 1)"
+COMM = f"""{ROW_BITS}, {FILTERED}, dims AS (SELECT (SELECT max(p_partkey) + 1 FROM part) AS n, (SELECT max(o_orderkey) + 1 FROM orders) AS k),
+z AS (SELECT DISTINCT floor(b.i * 4 / k) AS pi, ar.i, b.j, floor(ar.i * 4 / n) AS bi FROM ar JOIN b ON ar.j = b.i JOIN star ON star.i = ar.i AND star.j = b.j, dims)
+SELECT 'transposed_send' AS step, (SELECT count(*) FROM ar, dims WHERE floor(ar.i * 4 / n) <> floor(ar.j * 4 / k))::BIGINT AS cells
+UNION ALL SELECT 'broadcast', (3 * ((SELECT count(*) FROM ar) + (SELECT count(*) FROM star)))::BIGINT
+UNION ALL SELECT 'reduce', (SELECT count(*) FROM z WHERE pi <> bi)::BIGINT"""
+
+
+@query(COMM)
 def cost_comm_general(spark, d):
     steps, b = sparse_steps(spark, d), cells(spark, d, "order_cust")
     n, k, m = inst.dims(spark, d, ("part", "p_partkey"), ("orders", "o_orderkey"), ("customer", "c_custkey"))
@@ -99,7 +107,19 @@ def cost_bounds(spark, d):
     return cost.bounds(spark, BOUNDS_AT, 64)
 
 
-@query()
+#: The planner's prices from exact counts: cells moved and terms for each process of an 8 x 8 grid.
+CHOICES = f"""WITH a AS ({drawn_sql('order_part')}), b AS ({SQL['part_supp']}), deg AS (SELECT i, count(*) AS e FROM b GROUP BY 1), t AS (SELECT a.u, coalesce(e, 0) AS e FROM a LEFT JOIN deg ON a.j = deg.i),
+parts AS (SELECT unnest([{', '.join(map(str, FRACTIONS))}])::BIGINT AS parts),
+n AS (SELECT parts, (SELECT count(*) FROM a) AS na, (SELECT count(*) FROM b) AS nb, (SELECT sum(e) FROM t) AS f, (SELECT count(*) FROM t WHERE u < parts) AS st, (SELECT coalesce(sum(e), 0) FROM t WHERE u < parts) AS fd FROM parts),
+c AS (SELECT *, 7 * (na + nb) + f / 64 AS recompute, 8 * st + fd + fd / 64 AS algebraic, 7 * (st + nb) + fd / 64 AS delta_static, na * least(1.0, fd / 64) AS needed FROM n),
+g AS (SELECT *, algebraic + 7 * (needed + fd) + needed * (f / na) / 64 AS general FROM c)
+SELECT parts, 'algebraic' AS kind, CASE WHEN st = 0 THEN 'none' WHEN recompute <= algebraic AND recompute <= delta_static THEN 'recompute' WHEN algebraic <= delta_static THEN 'algebraic' ELSE 'delta_static' END AS method,
+CASE WHEN st = 0 THEN 'none' WHEN algebraic < recompute AND algebraic <= delta_static THEN CASE WHEN st <= 1000000 THEN 'broadcast' ELSE 'shuffle_delta' END ELSE 'grid' END AS tier FROM g
+UNION ALL SELECT parts, 'general', CASE WHEN st = 0 THEN 'none' WHEN recompute <= general THEN 'recompute' ELSE 'general' END,
+CASE WHEN st = 0 THEN 'none' WHEN recompute <= general THEN 'grid' WHEN st + needed <= 1000000 THEN 'broadcast' ELSE 'shuffle_delta' END FROM g"""
+
+
+@query(CHOICES)
 def planner_choices(spark, d):
     """Which way the planner goes as the batch grows, from exact counts."""
     a, b = drawn(spark, d, "order_part"), cells(spark, d, "part_supp")
@@ -114,6 +134,16 @@ def planner_choices(spark, d):
     return spark.createDataFrame(rows, "parts long, kind string, method string, tier string")
 
 
+@query(AB + "SELECT (SELECT count(*) FROM a JOIN b ON a.j = b.i)::BIGINT AS flops, (SELECT count(*) FROM (SELECT DISTINCT a.i, b.j FROM a JOIN b ON a.j = b.i)) <= least((SELECT count(*) FROM a JOIN b ON a.j = b.i), (SELECT (max(o_orderkey) + 1) FROM orders) * (SELECT max(s_suppkey) + 1 FROM supplier)) AS bounded")
+def cost_estimate(spark, d):
+    """The scalar products of a product before it is run, and whether the estimate bounds its cells."""
+    a, b = order_supp(spark, d)
+    n, m = inst.dims(spark, d, ("orders", "o_orderkey"), ("supplier", "s_suppkey"))
+    flops, most = multiply.estimate(a, b, n, m)
+    size = multiply.spgemm(a, b).agg(F.count("*").alias("n"))
+    return size.select(F.lit(flops).cast("long").alias("flops"), (F.col("n") <= most).alias("bounded"))
+
+
 # ---- applications ----------------------------------------------------------------------------
 
 UNDIRECTED = f"WITH g AS ({SQL['user_succ']}), e AS (SELECT DISTINCT least(i, j) AS i, greatest(i, j) AS j FROM g WHERE i <> j) "
@@ -175,6 +205,20 @@ def app_dnn_layer(spark, d):
     return graphs.dnn_layer(a, weights, -3000)
 
 
+@query(f"WITH s AS ({SQL['supp_nation']}), b AS ({SQL['part_supp']}), a AS ({SQL['order_part']}) SELECT x.i, s.j, sum(x.v * s.v)::BIGINT AS v FROM (SELECT a.i, b.j, sum(a.v * b.v) AS v FROM a JOIN b ON a.j = b.i GROUP BY 1, 2) x JOIN s ON x.j = s.i GROUP BY 1, 2")
+def app_triple_product(spark, d):
+    """Order × part, part × supplier, supplier × nation in one weighted coarsening."""
+    return graphs.triple_product(cells(spark, d, "order_part"), cells(spark, d, "part_supp"), cells(spark, d, "supp_nation"))
+
+
+@query(f"WITH {SUCC}, e AS (SELECT DISTINCT least(i, j) AS i, greatest(i, j) AS j FROM g WHERE i <> j AND u < 520000) SELECT count(*)::BIGINT AS triangles FROM e x JOIN e y ON x.j = y.i JOIN e z ON z.i = x.i AND z.j = y.j")
+def app_triangles_maintained(spark, d):
+    """The triangle count after insertions: only triangles with a new edge are counted anew."""
+    g = drawn(spark, d, "user_succ")
+    old = g.where("u < 500000").select("i", "j", "v")
+    return graphs.triangles_after(graphs.triangles(old), old, g.where("u between 500000 and 519999").select("i", "j", "v"))
+
+
 @query(f"WITH a AS ({SQL['order_part']}), p AS (SELECT x.j AS i, y.j, count(*)::BIGINT AS v FROM a x JOIN a y ON x.i = y.i WHERE x.j <> y.j GROUP BY 1, 2) SELECT i, j, v, rank FROM (SELECT *, row_number() OVER (PARTITION BY i ORDER BY v DESC, j)::INT AS rank FROM p) WHERE rank <= 5")
 def app_copurchase_topk(spark, d):
     return graphs.top_partners(graphs.cooccurrence(cells(spark, d, "order_part")), 5)

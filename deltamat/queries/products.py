@@ -10,10 +10,11 @@ from deltamat.operators import baselines, matrix, multiply, updates
 from deltamat.operators import dynamic_algebraic as alg
 from deltamat.operators import dynamic_general as gen
 from deltamat.operators.layout import Affine, Grid
+from deltamat.plans.stored import StoredProduct
 from deltamat.plans.view import ProductView
 from deltamat.queries.base import MIN_SQL, SQL, bits_sql, cells, drawn, drawn_sql, product_sql, query
 from deltamat.sources import instances as inst
-from deltamat.sources.scratch import materialize
+from deltamat.sources.scratch import materialize, new_path
 
 G6 = f"WITH a AS ({SQL['user_succ']}), b AS ({SQL['user_succ']}) "
 AB = f"WITH a AS ({SQL['order_part']}), b AS ({SQL['part_supp']}) "
@@ -225,6 +226,58 @@ def dyn_alg_view(spark, d):
     return view.result()
 
 
+def batch_sql(name: str, as_: str, seed: int = 7, t: int = 10_000) -> str:
+    return f"{as_}0 AS ({drawn_sql(name, seed)}), {as_}old AS (SELECT i, j, v FROM {as_}0 WHERE u < 500000), {as_} AS (SELECT i, j, CASE WHEN u < {2 * t} THEN v + 100 ELSE v END AS v FROM {as_}0 WHERE u >= {t} AND u < {500_000 + t}), {as_}star AS (SELECT i, j FROM {as_}0 WHERE u < {2 * t} OR (u >= 500000 AND u < {500_000 + t}))"
+
+
+#: (+, ·) over numbers that know no subtraction: neither a ring nor idempotent.
+NAT = sr.Semiring.define("nat", F.sum, lambda a, b: a + b, lambda a, b: a * b, 0, 1)
+
+
+@query(f"WITH {SUCC}, b AS (SELECT i, j, CASE WHEN u < 10000 THEN v + 3 ELSE v END AS v FROM g), a AS (SELECT i, j, CASE WHEN u < 20000 THEN v + 2 ELSE v END AS v FROM g WHERE u < 520000) {product_sql('a', 'b')}")
+def dyn_alg_nat_add(spark, d):
+    """Adds to cells that are there, insertions, and sets that change nothing, without subtraction."""
+    g = drawn(spark, d, "user_succ")
+    view = ProductView.create(g.where("u < 500000"), g, NAT)
+    op = F.when(F.col("u") < 20000, "add").otherwise("set").alias("op")
+    left = g.where("u < 30000 or u between 500000 and 519999").select("i", "j", F.when(F.col("u") < 20000, 2).otherwise(F.col("v")).cast("long").alias("v"), op)
+    right = g.where("u < 10000").select("i", "j", F.lit(3).cast("long").alias("v"), F.lit("add").alias("op"))
+    view.update(updates.UpdateBatch.build(left), updates.UpdateBatch.build(right), batch_id=0, method="algebraic")
+    return view.result()
+
+
+def _stored(spark, d, s=sr.PLUS_TIMES) -> StoredProduct:
+    a, b = drawn(spark, d, "order_part"), drawn(spark, d, "part_supp", 8)
+    dims = inst.dims(spark, d, ("orders", "o_orderkey"), ("part", "p_partkey"), ("supplier", "s_suppkey"))
+    view = StoredProduct.create(a.where("u < 500000"), b.where("u < 500000"), dims, new_path(spark, "product"), s, q=2)
+    batch = lambda m: updates.UpdateBatch.build(star_of(m).withColumn("op", F.lit("add")))
+    view.update(batch(a), batch(b), batch_id=0)
+    return view
+
+
+@query(BOTH)
+def dyn_view_blocks(spark, d):
+    """Operands and product on block stores, both operands changed by additions."""
+    return _stored(spark, d).result()
+
+
+@query(f"WITH {batch_sql('user_succ', 'a')}, {batch_sql('user_succ', 'b', 8)} " + product_sql("a", "b", "min({})", "a.v + b.v", more=", " + bits_sql("{k}") + " AS bits"))
+def dyn_view_blocks_general(spark, d):
+    """Deletions, raises and insertions in both operands on block stores; the fingerprints follow."""
+    g, h = drawn(spark, d, "user_succ"), drawn(spark, d, "user_succ", 8)
+    n = inst.dims(spark, d, ("events", "user_id"))[0]
+    view = StoredProduct.create(g.where("u < 500000"), h.where("u < 500000"), (n, n, n), new_path(spark, "product"), sr.MIN_PLUS, q=2)
+
+    def batch(m):
+        kind = F.when(F.col("u") < 10_000, "del").otherwise("set")
+        value = F.when(F.col("u") < 20_000, F.col("v") + 100).otherwise(F.col("v"))
+        return updates.UpdateBatch.build(m.where("u < 20000 or u >= 500000 and u < 510000").select("i", "j", value.alias("v"), kind.alias("op")))
+
+    if view.update(batch(g), batch(h), batch_id=0) != "general":
+        raise AssertionError("the batch deletes")
+    return view.c.current()
+
+
 @query(LEFT_ONLY)
 def baseline_delta_static(spark, d):
     a, b = drawn(spark, d, "order_part"), cells(spark, d, "part_supp")
@@ -271,10 +324,6 @@ class Batch:
         self.star = materialize(m.where(f"u < {2 * t} or u >= 500000 and u < {500_000 + t}").select("i", "j"), "star")
 
 
-def batch_sql(name: str, as_: str, seed: int = 7, t: int = 10_000) -> str:
-    return f"{as_}0 AS ({drawn_sql(name, seed)}), {as_}old AS (SELECT i, j, v FROM {as_}0 WHERE u < 500000), {as_} AS (SELECT i, j, CASE WHEN u < {2 * t} THEN v + 100 ELSE v END AS v FROM {as_}0 WHERE u >= {t} AND u < {500_000 + t}), {as_}star AS (SELECT i, j FROM {as_}0 WHERE u < {2 * t} OR (u >= 500000 AND u < {500_000 + t}))"
-
-
 #: part × order times order × customer: long rows, where fingerprints pay.
 SPARSE = ("part_order", "order_cust")
 SPARSE_SQL = f"WITH {batch_sql('part_order', 'a')}, b AS ({SQL['order_cust']})"

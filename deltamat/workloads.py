@@ -23,12 +23,13 @@ from deltamat.operators.layout import Affine, Grid
 from deltamat.plans import cost
 from deltamat.queries.base import MAKE
 from deltamat.sources import instances as inst
-from deltamat.sources.scratch import materialize, new_path
+from deltamat.sources.scratch import discard, materialize, new_path
 from deltamat.sources.store import DeltaStore, MatrixStore, StaticStore
 
 FRACTIONS = (0.001, 0.005, 0.01, 0.05)
 BATCHES = 10
-KEYS = {"order_part": (("orders", "o_orderkey"), ("part", "p_partkey")), "part_supp": (("part", "p_partkey"), ("supplier", "s_suppkey")), "part_order": (("part", "p_partkey"), ("orders", "o_orderkey")), "user_succ": (("events", "user_id"), ("events", "user_id"))}
+_ORDER, _PART, _SUPP, _CUST, _USER = ("orders", "o_orderkey"), ("part", "p_partkey"), ("supplier", "s_suppkey"), ("customer", "c_custkey"), ("events", "user_id")
+KEYS = {"order_part": (_ORDER, _PART), "part_supp": (_PART, _SUPP), "part_order": (_PART, _ORDER), "supp_order": (_SUPP, _ORDER), "order_cust": (_ORDER, _CUST), "user_succ": (_USER, _USER)}
 
 
 def run_all(df: DataFrame) -> None:
@@ -56,7 +57,7 @@ def _affine(n: int) -> Affine:
     return Affine(n, next(a for a in range(7919, 7919 + n + 2) if gcd(a, n) == 1))
 
 
-def construction(spark, d, names=("order_part", "part_supp", "user_succ")) -> list[dict]:
+def construction(spark, d, names=tuple(KEYS)) -> list[dict]:
     """Dynamic blocks against sorted redistribution and static packed rows."""
     rows = []
     for name in names:
@@ -96,74 +97,153 @@ def deletion(spark, d, name="order_part", fractions=FRACTIONS, batches=BATCHES)
     return _stores(spark, d, name, lambda m, f, k: _slice(m, 0, f, k).select("i", "j", "v", F.lit("del").alias("op")), "true", fractions, batches)
 
 
-def scaling_insert(spark, d, name="order_part", processes=(4, 16, 64), per_process: int = 2000) -> list[dict]:
-    """Virtual processes: the batch grows with p; cells moved and seconds by step."""
+def scaling_insert(spark, d, name="order_part", processes=(4, 16, 64), per_process: int = 2000, batches: int = 3) -> list[dict]:
+    """Virtual processes: each of several batches grows with p; cells moved, and seconds by step.
+
+    first and second are the two exchanges, sort the order within a block, insert the appended blocks.
+    """
     m, rows = drawn(spark, d, name), []
     total = m.count()
     for p in processes:
         q = round(p**0.5)
-        u = materialize(_slice(m, 500_000, min(0.5, per_process * p / total), 0).select("i", "j", "v"), "batch")
-        g, n = grid(spark, d, name, q), u.count()
-        trace = materialize(updates.redistribute(u, g, "two_step"), "trace")
-        moved = {r.step: r.moved for r in cost.redistribution(trace).collect()}
-        s = MatrixStore.create(m.where("u < 500000").select("i", "j", "v"), new_path(spark, "w"), g)
-        exchange = timed(lambda u=u, g=g: run_all(updates.redistribute(u, g, "two_step")))
-        insert = timed(lambda s=s, u=u: s.apply(updates.UpdateBatch.build(u.withColumn("op", F.lit("set")), 0)))
-        rows.append({"p": p, "cells": n, "redistribution": exchange, "local_insert": insert, "per_cell": (exchange + insert) / n, **{f"moved_{k}": v for k, v in moved.items()}})
+        g = grid(spark, d, name, q)
+        s = DeltaStore.create(m.where("u < 500000").select("i", "j", "v"), new_path(spark, "w"), g)
+        for k in range(batches):
+            share = min(0.5 / batches, per_process * p / total)
+            u = materialize(_slice(m, 500_000, share, k).select("i", "j", "v"), "batch")
+            trace = materialize(updates.redistribute(u, g, "two_step"), "trace")
+            moved = {r.step: r.moved for r in cost.redistribution(trace).collect()}
+            laid = materialize(updates.redistribute(u, g, "one_step"), "laid")
+            n, steps = u.count(), {
+                "first": lambda trace=trace: run_all(trace.repartition("mid")),
+                "second": lambda trace=trace: run_all(trace.repartition("dst")),
+                "sort": lambda laid=laid: run_all(laid.sortWithinPartitions("bi", "bj", "i", "j")),
+                "insert": lambda s=s, u=u, k=k: s.apply(updates.UpdateBatch.build(u.withColumn("op", F.lit("set")), k)),
+            }
+            seconds = {name_: timed(f) for name_, f in steps.items()}
+            rows.append({"p": p, "batch": k, "cells": n, **seconds, "per_cell": sum(seconds.values()) / max(1, n), **{f"moved_{k_}": v for k_, v in moved.items()}})
     return rows
 
 
-def rmat(spark, d, scale: int = 16, edges: int = 1 << 18, parts: int = 4) -> list[dict]:
-    """Insertions of a generated power-law graph in batches; the block balance with and without permutation."""
-    e = materialize(inst.rmat(spark, scale, edges), "edges")
-    n = 1 << scale
-    p = Affine(n)
-    s = MatrixStore.create(matrix.empty(spark), new_path(spark, "w"), Grid(n, n, 4, None, p, p))
-    rows = []
-    for k in range(parts):
-        u = e.where(F.pmod("e", F.lit(parts)) == k).select("i", "j", F.lit(1).cast("long").alias("v"), F.lit("add").alias("op"))
-        seconds = timed(lambda u=u, k=k: s.apply(updates.UpdateBatch.build(u, k)))
-        rows.append({"batch": k, "seconds": seconds, "per_cell": seconds * parts / edges})
-    cells = e.groupBy("i", "j").agg(F.count("*").alias("v"))
-    for name, x in (("permuted", p), ("plain", None)):
-        rows.append({"balance": name, "ratio": cost.balance(cells, n, n, 4, x, x).first().ratio})
+def rmat(spark, d, scale: int = 16, edges: int = 1 << 18, parts: int = 4, processes=(4, 16, 64), weak: bool = False) -> list[dict]:
+    """Insertions of a generated power-law graph in batches, for each number of virtual processes.
+
+    Strong: the same edges for every p. weak: ``edges`` for each process, so the graph grows with p.
+    The blocks' balance is told with and without the permutation.
+    """
+    rows, n = [], 1 << scale
+    perm = Affine(n)
+    for p in processes:
+        q, total = round(p**0.5), edges * (p if weak else 1)
+        e = materialize(inst.rmat(spark, scale, total), "edges")
+        s = DeltaStore.create(matrix.empty(spark), new_path(spark, "w"), Grid(n, n, q, None, perm, perm))
+        for k in range(parts):
+            part = e.where(F.pmod("e", F.lit(parts)) == k).groupBy("i", "j").agg(F.count("*").alias("v"))
+            u = materialize(part.withColumn("op", F.lit("add")), "batch")
+            seconds = timed(lambda u=u, k=k: s.apply(updates.UpdateBatch.build(u, k)))
+            rows.append({"p": p, "edges": total, "batch": k, "seconds": seconds, "per_cell": seconds * parts / total})
+        cells = e.groupBy("i", "j").agg(F.count("*").alias("v"))
+        for name, x in (("permuted", perm), ("plain", None)):
+            rows.append({"p": p, "balance": name, "ratio": cost.balance(cells, n, n, q, x, x).first().ratio})
+        discard(e)
     return rows
 
 
-def dynamic_product(spark, d, left="order_part", right="part_supp", fractions=FRACTIONS, contenders=("delta", "delta_static", "recompute", "generic", "rowpart")) -> list[dict]:
-    """(+, ·), insertions into the left operand: the delta product against static products."""
+def rmat_weak(spark, d, scale: int = 16, edges: int = 1 << 14, parts: int = 2, processes=(4, 16)) -> list[dict]:
+    return rmat(spark, d, scale, edges, parts, processes, weak=True)
+
+
+def dynamic_product(spark, d, left="order_part", right="part_supp", fractions=FRACTIONS, batches: int = BATCHES, contenders=("delta", "delta_static", "recompute", "generic", "rowpart")) -> list[dict]:
+    """(+, ·): the left operand starts empty and takes ten batches, the right one is there in full.
+
+    A method's time covers the new left operand, the product's change and its addition to the product;
+    the contenders that know no change make the product of the new operands.
+    """
     m, b = drawn(spark, d, left), materialize(MAKE[right](spark, d), right)
     n, k, c = *inst.dims(spark, d, *KEYS[left]), inst.dims(spark, d, KEYS[right][1])[0]
     grids, rows = (Grid(n, k, 2), Grid(k, c, 2)), []
-    old = materialize(m.where("u < 500000").select("i", "j", "v"), "old")
     for f in fractions:
-        star = materialize(_slice(m, 500_000, f, 0).select("i", "j", "v"), "star")
-        new = materialize(updates.apply_add(old, star), "new")
-        ways = {
-            "delta": lambda star=star: run_all(alg.delta_product(old, star, b, None)),
-            "delta_static": lambda star=star: multiply.spgemm_grid(star, b, *grids),
-            "recompute": lambda new=new: multiply.spgemm_grid(new, b, *grids),
-            "generic": lambda new=new: run_all(multiply.spgemm_generic(new, b)),
-            "rowpart": lambda new=new: run_all(multiply.spgemm_rowpart(new, b, 8)),
+        a = materialize(matrix.empty(spark), "a")
+        held = {w: materialize(multiply.spgemm(a, b), "c") for w in ("delta", "delta_static")}
+        for t in range(batches):
+            star = materialize(_slice(m, 0, f, t).select("i", "j", "v"), "star")
+            new = materialize(updates.apply_add(a, star), "new")
+            cells, after = star.count(), {}
+
+            def kept(w, change, after=after, held=held):
+                after[w] = materialize(alg.maintain(held[w], change), "c")
+
+            ways = {
+                "delta": lambda a=a, star=star, kept=kept: kept("delta", alg.delta_product(a, star, b, None)),
+                "delta_static": lambda star=star, kept=kept: kept("delta_static", multiply.spgemm_grid(star, b, *grids)),
+                "recompute": lambda new=new: multiply.spgemm_grid(new, b, *grids),
+                "generic": lambda new=new: materialize(multiply.spgemm_generic(new, b), "c"),
+                "rowpart": lambda new=new: materialize(multiply.spgemm_rowpart(new, b, 8), "c"),
+            }
+            insert = timed(lambda a=a, star=star: run_all(updates.apply_add(a, star)))
+            for w in contenders:
+                seconds = insert + timed(ways[w])
+                rows.append({"fraction": f, "batch": t, "contender": w, "seconds": seconds, "per_cell": seconds / max(1, cells)})
+            discard(a, *(held[w] for w in after))
+            held, a = held | after, new
+    return rows
+
+
+def product_breakdown(spark, d, left="order_part", right="part_supp", processes=(4, 16, 64), per_process: int = 100) -> list[dict]:
+    """Seconds and cells of each step of a delta product on virtual processes, as the batch grows with p."""
+    m, b, rows = drawn(spark, d, left), materialize(MAKE[right](spark, d), right), []
+    n, k, c = *inst.dims(spark, d, *KEYS[left]), inst.dims(spark, d, KEYS[right][1])[0]
+    old = materialize(m.where("u < 500000").select("i", "j", "v"), "old")
+    product, total = materialize(multiply.spgemm(old, b), "c"), m.count()
+    for p in processes:
+        q = round(p**0.5)
+        ga = Grid(n, k, q, None, _affine(n), _affine(k))
+        gb = Grid(k, c, q, None, _affine(k), _affine(c))
+        star = materialize(_slice(m, 500_000, min(0.5, per_process * p / total), 0).select("i", "j", "v"), "star")
+        laid = star.withColumns({"bi": ga.bi(F.col("i")), "bj": ga.bj(F.col("j"))})
+        across = laid.where("bi <> bj").repartition("bj", "bi")
+        copied = laid.withColumn("to", F.explode(F.sequence(F.lit(0), F.lit(q - 1)))).repartition("bj", "to")
+        terms = alg.pairs(star, b, "left", (False, False), multiply.BROADCAST_CELLS)
+        c_star = materialize(multiply.folded(terms, sr.PLUS_TIMES), "c_star")
+        moved = {r.step: r.cells for r in alg.simulate_rounds(old, star, b, matrix.empty(spark), ga, gb)[1].collect()}
+        steps = {
+            "send": lambda across=across: run_all(across),
+            "broadcast": lambda copied=copied: run_all(copied),
+            "multiply": lambda terms=terms: run_all(terms),
+            "multiply_reduce": lambda terms=terms: run_all(multiply.folded(terms, sr.PLUS_TIMES)),
+            "add": lambda c_star=c_star: run_all(alg.maintain(product, c_star)),
         }
-        cells = star.count()
-        for w in contenders:
-            seconds = timed(ways[w])
-            rows.append({"fraction": f, "contender": w, "seconds": seconds, "per_cell": seconds / max(1, cells)})
+        rows.append({"p": p, "cells": star.count(), **{name: timed(f) for name, f in steps.items()}, **{f"cells_{k_}": v for k_, v in moved.items()}})
     return rows
 
 
-def general_product(spark, d, left="part_order", right="order_cust", fractions=FRACTIONS) -> list[dict]:
-    """(min, +) with deletions, raises and insertions: the masked product against recomputation."""
+def general_product(spark, d, left="part_order", right="order_cust", fractions=FRACTIONS, batches: int = BATCHES, contenders=("masked", "recompute", "generic")) -> list[dict]:
+    """(min, +) with deletions, raises and insertions in every batch: the masked product against recomputation."""
     m, b = drawn(spark, d, left), materialize(MAKE[right](spark, d), right)
-    old, rows = materialize(m.where("u < 500000").select("i", "j", "v"), "old"), []
-    c = materialize(gen.product_with_bits(old, b, sr.MIN_PLUS), "c")
+    rows = []
     for f in fractions:
         t = int(f * inst.PARTS / 3)
-        star = materialize(m.where(f"u < {2 * t} or u >= 500000 and u < {500_000 + t}").select("i", "j"), "star")
-        new = materialize(m.where(f"u >= {t} and u < {500_000 + t}").select("i", "j", F.when(F.col("u") < 2 * t, F.col("v") + 100).otherwise(F.col("v")).alias("v")), "new")
-        ways = {"masked": lambda star=star, new=new: run_all(gen.maintain_general(c, old, new, star, b, None, sr.MIN_PLUS).z), "recompute": lambda new=new: run_all(multiply.spgemm(new, b, sr.MIN_PLUS))}
-        rows += [{"fraction": f, "contender": w, "seconds": timed(x)} for w, x in ways.items()]
+        a = materialize(m.where("u < 500000").select("i", "j", "v"), "a")
+        c = materialize(gen.product_with_bits(a, b, sr.MIN_PLUS), "c")
+        for k in range(batches):
+            lo, up = k * 2 * t, 500_000 + k * t
+            star = materialize(m.where(f"u >= {lo} and u < {lo + 2 * t} or u >= {up} and u < {up + t}").select("i", "j"), "star")
+            gone, raised = m.where(f"u >= {lo} and u < {lo + t}").select("i", "j"), m.where(f"u >= {lo + t} and u < {lo + 2 * t}").select("i", "j", F.lit(100).cast("long").alias("more"))
+            kept = a.join(gone, ["i", "j"], "left_anti").join(raised, ["i", "j"], "left").select("i", "j", (F.col("v") + F.coalesce("more", F.lit(0))).alias("v"))
+            new = materialize(kept.unionByName(m.where(f"u >= {up} and u < {up + t}").select("i", "j", "v")), "new")
+            after = []
+            ways = {
+                "masked": lambda a=a, new=new, star=star, c=c, after=after: after.append(materialize(gen.maintain_general(c, a, new, star, b, None, sr.MIN_PLUS).result, "c")),
+                "recompute": lambda new=new: materialize(multiply.spgemm(new, b, sr.MIN_PLUS), "c"),
+                "generic": lambda new=new: materialize(multiply.spgemm_generic(new, b, sr.MIN_PLUS), "c"),
+            }
+            cells = star.count()
+            for w in contenders:
+                seconds = timed(ways[w])
+                rows.append({"fraction": f, "batch": k, "contender": w, "seconds": seconds, "per_cell": seconds / max(1, cells)})
+            if after:
+                discard(a, c)
+                a, c = new, after[0]
     return rows
 
 
@@ -220,7 +300,7 @@ def threads(spark, d, name="order_part", t: int = 6) -> list[dict]:
     return [r.asDict() for r in layout.thread_buckets(drawn(spark, d, name), t).collect()]
 
 
-ALL = {f.__name__: f for f in (construction, insertion, value_updates, deletion, scaling_insert, rmat, dynamic_product, general_product, scaling_product, crossover, filter_ablation, both_sides, balance, threads)}
+ALL = {f.__name__: f for f in (construction, insertion, value_updates, deletion, scaling_insert, rmat, rmat_weak, dynamic_product, product_breakdown, general_product, scaling_product, crossover, filter_ablation, both_sides, balance, threads)}
 
 
 def main(args: list[str]) -> None:
