@@ -1,4 +1,8 @@
-"""The corpus pipeline: every stage works on all that its predecessor kept."""
+"""The corpus pipeline: every stage works on all that its predecessor kept.
+
+Every stage takes any table with doc_id and text: other columns are carried whatever their names,
+nulls in any column do no harm, and an empty table stays empty with its columns.
+"""
 
 from __future__ import annotations
 
@@ -12,12 +16,21 @@ ORACLE_SQL = None
 
 
 def good_only(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Documents that the quality classifier predicts 0 go; it learns from the table labels."""
+    """Documents that the quality classifier predicts 0 go; it learns from the table labels.
+
+    Each row is judged by its whole text alone, so repeated rows go or stay together; a null or empty
+    text goes by the share of label 1 in what was learned.
+    """
     return quality.keep_good(docs, quality.fit(docs, common.table(spark, sf_dir, "labels")))
 
 
 def line_dedup(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Of similar lines over all documents one stays; text and n_chars follow."""
+    """Of similar lines over all documents one stays; text and n_chars follow.
+
+    A null text stays null, a document that loses all its lines stays with an empty text, and rows
+    repeated with one doc_id and text are one document that gives the same result. Of lines that tie
+    the one of the smallest doc_id (null first), then text hash, then line number stays.
+    """
     return lines.dedup_lines(docs)
 
 
@@ -25,17 +38,19 @@ def near_dedup(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Of each component one document stays, that of the smallest doc_id.
 
     Documents link at four differing bits of their fingerprints, and at Jaccard 0.8 of five-word shingles.
+    Empty and null texts share one fingerprint and are one component. Equal ids with different texts
+    are told apart; rows without doc_id stay only where their component has no id, one for each.
     """
     return simhash.drop_near_duplicates(docs, words=wordsets.SETTINGS)
 
 
 def clean_of_benchmark(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Documents that hold a test item go."""
+    """Documents that hold a test item go; null and empty texts stay, repeated rows go or stay together."""
     return decontaminate.drop_contaminated(docs, common.table(spark, sf_dir, "benchmark"))
 
 
 def tokens(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Token ids of every document that is left."""
+    """Token ids of every document that is left, a row for each row; null and empty texts have none."""
     return pieces.encode(docs)
 
 
