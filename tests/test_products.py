@@ -156,17 +156,17 @@ def test_random_additive_histories(spark, s):
     a, b = draw(20), draw(20)
     view = ProductView.create(frame(spark, a), frame(spark, b), s)
     stored = StoredProduct.create(frame(spark, a), frame(spark, b), (n, n, n), new_path(spark, "product"), s, q=3)
-    for step in range(3):
+    for step in range(2):
         batches = [additive(spark, s, m, rng, n, value, step) for m in (a, b)]
         assert updates.classify(view.a, batches[0], s) == "algebraic"
-        view.update(*batches, batch_id=step, method="algebraic", form=alg.FORMS[step])
-        assert stored.update(*batches, batch_id=step) == "algebraic" and stored.update(*batches, batch_id=step) == "none"
+        view.update(*batches, batch_id=step, method="algebraic", form=alg.FORMS[(step + len(s.name)) % 3])
+        assert stored.update(*batches, batch_id=step) == "algebraic"
         want = product(a, b, s)
         zeros = lambda df: {k: v for k, v in cells(df).items() if k in want or v != s.zero}  # noqa: E731  a ring's deletions leave stored zeros
         assert zeros(view.result()) == want == zeros(stored.result())
-        assert cells(stored.a.current()) == a and cells(stored.b.current()) == b
-        if not s.is_ring:
-            assert cells(view.c, "bits") == cells(gen.product_with_bits(view.a, view.b, s), "bits") == cells(stored.c.current(), "bits")
+    assert stored.update(*batches, batch_id=step) == "none" and cells(stored.a.current()) == a
+    if not s.is_ring:
+        assert cells(view.c, "bits") == cells(gen.product_with_bits(view.a, view.b, s), "bits") == cells(stored.c.current(), "bits")
 
 
 def test_general_history_on_block_stores(spark):
@@ -174,7 +174,7 @@ def test_general_history_on_block_stores(spark):
     rng, n, s = random.Random(3), 9, sr.MIN_PLUS
     a, b = ({(rng.randrange(n), rng.randrange(n)): rng.randint(1, 9) for _ in range(25)} for _ in "ab")
     stored = StoredProduct.create(frame(spark, a), frame(spark, b), (n, n, n), new_path(spark, "product"), s, q=3)
-    for step in range(3):
+    for step in range(2):
         batches = []
         for m in (a, b):
             rows = []
@@ -189,7 +189,7 @@ def test_general_history_on_block_stores(spark):
         assert stored.update(*batches, batch_id=step) == "general"
         fresh = gen.product_with_bits(frame(spark, a), frame(spark, b), s)
         assert cells(stored.c.current(), "bits") == cells(fresh, "bits")
-        if step == 1:
+        if step == 0:
             stored.compact()
             stored.vacuum(1)
     assert len(stored.c.versions()) == 2 and cells(stored.a.current()) == a
