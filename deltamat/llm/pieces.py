@@ -190,7 +190,7 @@ class Encoder:
             for w, ids, other in zip(row, mine, true, strict=True):
                 self.keep(w, ids, other == ids)
         if odd:
-            for w, ids, same, _ in zip(odd, *self.both([w[1:] if w[0] == " " else w for w in odd]), strict=True):
+            for w, ids, same, _ in zip(odd, *self.both([w[1:] for w in odd]), strict=True):
                 self.keep(w, ids, same)
 
     def cut(self, ids: list[int]) -> list[tuple[int, ...]]:
@@ -266,7 +266,7 @@ def encode(docs: DataFrame, model_path: str = MODEL, threads: int = 2) -> DataFr
                 yield pa.record_batch({"doc_id": b.column(0).slice(at, len(texts)), "ids": lists, "n_tokens": pa.array(sizes), "parity": pa.array(same), "round_trip": pa.array(whole)})
                 at += len(texts)
 
-    return docs.select(F.col("doc_id").cast("long"), "text").mapInArrow(run, "doc_id long, ids array<int>, n_tokens int, parity boolean, round_trip boolean")
+    return common.mapped(docs.select(F.col("doc_id").cast("long"), "text"), run, "doc_id long, ids array<int>, n_tokens int, parity boolean, round_trip boolean")
 
 
 def decode(encoded: DataFrame, model_path: str = MODEL) -> DataFrame:
@@ -281,7 +281,7 @@ def decode(encoded: DataFrame, model_path: str = MODEL) -> DataFrame:
             texts = fast.decode_batch([x or [] for x in b.column(1).to_pylist()], skip_special_tokens=False)
             yield pa.record_batch({"doc_id": b.column(0), "text": pa.array(texts, pa.string())})
 
-    return encoded.select(F.col("doc_id").cast("long"), "ids").mapInArrow(run, "doc_id long, text string")
+    return common.mapped(encoded.select(F.col("doc_id").cast("long"), "ids"), run, "doc_id long, text string")
 
 
 def op5_sentencepiece(spark: SparkSession, sf_dir: str) -> DataFrame:
