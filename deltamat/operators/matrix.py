@@ -12,6 +12,7 @@ from pyspark.sql import Column, DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from deltamat.functions.semiring import PLUS_TIMES, Semiring
+from deltamat.sources.scratch import materialize
 
 CELL = ("i", "j")
 
@@ -78,18 +79,29 @@ def transpose(x: DataFrame) -> DataFrame:
     return x.select(F.col("j").alias("i"), F.col("i").alias("j"), *rest)
 
 
+def positions(index: DataFrame, name: str) -> DataFrame:
+    """(name, _to): distinct indices numbered from 0 in their order, range by range; no task sees them all.
+
+    Only the ranges' sizes, one number for each partition, meet in one place.
+    """
+    ranged = materialize(index.select(name).distinct().repartitionByRange(name).withColumn("_part", F.spark_partition_id()), "ranges")
+    sizes = ranged.groupBy("_part").agg(F.count("*").alias("_n"))
+    before = sizes.select("_part", (F.sum("_n").over(Window.orderBy("_part")) - F.col("_n")).alias("_before"))
+    inner = F.row_number().over(Window.partitionBy("_part").orderBy(name))
+    return ranged.withColumn("_at", inner).join(F.broadcast(before), "_part").select(name, (F.col("_before") + F.col("_at") - 1).alias("_to"))
+
+
 def extract(x: DataFrame, rows: DataFrame | None = None, cols: DataFrame | None = None, relabel: bool = False) -> DataFrame:
     """The submatrix of rows(i) and cols(j); relabel numbers the kept indices from 0 in their order.
 
-    Relabelling ranks the given index lists, which are vectors, not cells.
+    Relabelling numbers the given index lists by ranges, see positions().
     """
     for names, index in (("i", rows), ("j", cols)):
         if index is None:
             continue
         index = index.select(names).distinct()
         if relabel:
-            index = index.withColumn("_to", F.row_number().over(Window.orderBy(names)) - 1)
-            x = x.join(index, names).drop(names).withColumn(names, F.col("_to").cast("long")).drop("_to")
+            x = x.join(positions(index, names), names).drop(names).withColumn(names, F.col("_to").cast("long")).drop("_to")
         else:
             x = x.join(index, names, "left_semi")
     return x.select("i", "j", "v")

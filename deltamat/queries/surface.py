@@ -8,6 +8,7 @@ from pyspark.sql import functions as F
 from deltamat.functions import udfs
 from deltamat.functions.semiring import PLUS_TIMES
 from deltamat.operators import layout, matrix, multiply, updates
+from deltamat.plans.stored import StoredProduct
 from deltamat.plans.view import ProductView
 from deltamat.queries.base import SQL, cells, drawn, drawn_sql, product_sql, query
 from deltamat.sources import instances as inst
@@ -337,3 +338,16 @@ def stream_events_maintain(spark, d):
     adds = e.select(F.col("user_id").alias("i"), F.get_json_object("props", "$.k").cast("long").alias("j"), F.lit(1).cast("long").alias("v"), F.lit("add").alias("op"), F.col("event_id").alias("seq"))
     st.stream_maintain(view, adds, method="algebraic")
     return view.result()
+
+
+@query(f"WITH a AS ({SQL['user_prop']}), b AS (SELECT j AS i, i AS j, v FROM a) " + product_sql("a", "b"))
+def stream_events_stored(spark, d):
+    """stream_events_maintain on block stores; the stream is started a second time and changes nothing."""
+    m = cells(spark, d, "user_prop")
+    n, k = inst.dims(spark, d, ("events", "user_id"))[0], m.agg(F.max("j")).first()[0] + 1
+    product = StoredProduct.create(matrix.empty(spark), matrix.transpose(m).select("i", "j", "v"), (n, k, n), new_path(spark, "product"), q=2)
+    e, place = st.events(spark, d), new_path(spark, "maintain")
+    adds = e.select(F.col("user_id").alias("i"), F.get_json_object("props", "$.k").cast("long").alias("j"), F.lit(1).cast("long").alias("v"), F.lit("add").alias("op"), F.col("event_id").alias("seq"))
+    for _ in range(2):
+        st.stream_maintain(product, adds, checkpoint=place)
+    return product.result()
