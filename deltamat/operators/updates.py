@@ -18,11 +18,13 @@ OPS = ("add", "set", "del")
 class UpdateBatch:
     """Rows (i, j, v, op, seq); of several rows for a cell the last by seq holds, adds are ⊕-combined.
 
-    Ties of seq go to the row that sorts last by (op, v). A batch may be empty.
+    Ties of seq go to the row that sorts last by (op, v). A batch may be empty. plain: a batch built
+    without op, of sets only, which need no join to be resolved.
     """
 
     rows: DataFrame
     batch_id: int = 0
+    plain: bool = False
 
     @classmethod
     def build(cls, df: DataFrame, batch_id: int = 0) -> UpdateBatch:
@@ -30,7 +32,7 @@ class UpdateBatch:
         op = F.col("op") if "op" in have else F.lit("set")
         seq = F.col("seq") if "seq" in have else F.lit(0)
         value = F.col("v") if "v" in have else F.lit(1)
-        return cls(df.select(F.col("i").cast("long"), F.col("j").cast("long"), value.alias("v"), op.alias("op"), seq.cast("long").alias("seq")).where("i is not null and j is not null"), batch_id)
+        return cls(df.select(F.col("i").cast("long"), F.col("j").cast("long"), value.alias("v"), op.alias("op"), seq.cast("long").alias("seq")).where("i is not null and j is not null"), batch_id, "op" not in have)
 
     def last(self, s: Semiring = PLUS_TIMES) -> DataFrame:
         """(i, j, op, v): one row for each cell, in which the batch's rows for it are resolved.
@@ -39,6 +41,9 @@ class UpdateBatch:
         themselves where there is none.
         """
         order = F.struct("seq", "op", "v")
+        if self.plain:
+            only = self.rows.groupBy("i", "j").agg(F.max_by(F.struct("op", "v"), order).alias("x"))
+            return only.select("i", "j", F.col("x.op").alias("op"), F.col("x.v").alias("v"))
         fixed = self.rows.where("op <> 'add'").groupBy("i", "j").agg(F.max_by(F.struct("op", "v", "seq"), order).alias("x"))
         fixed = fixed.select("i", "j", F.col("x.op").alias("op"), F.col("x.v").alias("v"), F.col("x.seq").alias("at"))
         adds = self.rows.where("op = 'add'").join(fixed.select("i", "j", "at"), ["i", "j"], "left").where("at is null or seq > at")
