@@ -168,7 +168,7 @@ def search(rows: DataFrame, queries: Column, s: Settings = Settings()) -> DataFr
             if b.num_rows:
                 yield pa.record_batch([*b.columns, pa.array(sent.value.route(matrix(b.column(0))))], names=["vec", "ids", "entry", "leaf"])
 
-    index = materialize(table.mapInArrow(route, "vec array<double>, ids array<long>, entry long, leaf int"), "index")
+    index = materialize(common.mapped(table, route, "vec array<double>, ids array<long>, entry long, leaf int"), "index")
     sizes = np.zeros(tree.leaves, np.int64)
     for leaf, n in index.groupBy("leaf").count().collect():
         sizes[leaf] = n
@@ -193,7 +193,7 @@ def search(rows: DataFrame, queries: Column, s: Settings = Settings()) -> DataFr
             if at:
                 yield pa.record_batch([b.column(0).take(pa.array(at)), b.column(1).take(pa.array(at)), pa.array(leaves, pa.int32())], names=["vec", "q", "leaf"])
 
-    walked = materialize(distinct.mapInArrow(walk, "vec array<double>, q long, leaf int"), "walked")
+    walked = materialize(common.mapped(distinct, walk, "vec array<double>, q long, leaf int"), "walked")
     visited = np.zeros(tree.leaves, np.int64)
     for leaf, n in walked.groupBy("leaf").count().collect():
         visited[leaf] = n
@@ -229,7 +229,7 @@ def search(rows: DataFrame, queries: Column, s: Settings = Settings()) -> DataFr
             yield pa.record_batch([pa.array(out_q, pa.int64()), t.column("ids").take(pa.array(out_at, pa.int64())), pa.array(out_d)], names=["q", "ids", "d"])
 
     both = q_side.unionByName(x_side).repartition("leaf", "piece", "part").sortWithinPartitions("leaf", "piece", "part")
-    partial = both.mapInArrow(block, "q long, ids array<long>, d double")
+    partial = common.mapped(both, block, "q long, ids array<long>, d double")
     near = partial.withColumn("k", F.row_number().over(Window.partitionBy("q").orderBy("d", F.element_at("ids", 1)))).where(F.col("k") <= want)
     listed = near.groupBy("q").agg(F.array_sort(F.collect_list(F.struct("d", "ids"))).alias("near"))
     pairs = F.flatten(F.transform("near", lambda e: F.transform(e["ids"], lambda i: F.struct(e["d"].alias("d"), i.alias("vec_id")))))
@@ -279,7 +279,7 @@ def calibrate(index: DataFrame, tree: Tree, sizes: np.ndarray, s: Settings) -> i
             fine = np.isfinite(dist)
             yield pa.record_batch({"probe": pa.array(probe[fine]), "d": pa.array(dist[fine]), "leaf": pa.array(leaf[near.reshape(-1)][fine])})
 
-    found = index.select("vec", "entry", "leaf").mapInArrow(run, "probe long, d double, leaf int")
+    found = common.mapped(index.select("vec", "entry", "leaf"), run, "probe long, d double, leaf int")
     best = found.withColumn("k", F.row_number().over(Window.partitionBy("probe").orderBy("d"))).where(F.col("k") <= k).groupBy("probe", "leaf").count().collect()
     order = [tree.best_bins(np.array(v, np.float64), tree.leaves, 0, sizes) for _, v in probes]
     hits, total = np.zeros(tree.leaves + 1), 0

@@ -153,7 +153,7 @@ def windows(turns: DataFrame, budget: Budget | None = None) -> DataFrame:
     empty = F.lit("")
     t = turns.select(F.col("conv_id").cast("long"), F.col("turn").cast("long"), F.coalesce("role", empty).alias("role"), F.coalesce("text", empty).alias("text"))
     dealt = t.repartition("conv_id").sortWithinPartitions("conv_id", "turn", "role", "text")
-    return dealt.select("conv_id", "role", "text").mapInArrow(run, SCHEMA)
+    return common.mapped(dealt.select("conv_id", "role", "text"), run, SCHEMA)
 
 
 def read_back(formatted: str) -> list[tuple[str, str]]:
@@ -199,7 +199,7 @@ def digests(w: DataFrame) -> DataFrame:
             yield _rows([done()])
 
     dealt = w.repartition("conv_id").sortWithinPartitions("conv_id", "window")
-    return dealt.mapInArrow(run, "conv_id long, n_turns long, turns_sha256 string, loss_chars long, loss_sha256 string, formatted_chars long")
+    return common.mapped(dealt, run, "conv_id long, n_turns long, turns_sha256 string, loss_chars long, loss_sha256 string, formatted_chars long")
 
 
 def _rows(rows: list) -> pa.RecordBatch:

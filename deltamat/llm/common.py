@@ -25,6 +25,16 @@ def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
     return spark.read.parquet(f"{sf_dir}/{name}.parquet")
 
 
+#: Bytes of a batch that goes to a Python worker; a single longer row is a batch of its own.
+BATCH_BYTES = 8 << 20
+
+
+def mapped(df: DataFrame, run: Callable, schema) -> DataFrame:
+    """mapInArrow() in batches bounded by bytes as well, so that many long texts never travel at once."""
+    df.sparkSession.conf.set("spark.sql.execution.arrow.maxBytesPerBatch", BATCH_BYTES)
+    return df.mapInArrow(run, schema)
+
+
 def mix(node: Column) -> Column:
     """A bijection of 64-bit numbers (xor-shifts) that breaks the order of ids."""
     for n, right in ((13, False), (7, True), (17, False)):
@@ -248,7 +258,7 @@ def link(cells: DataFrame, linker: Linker) -> DataFrame:
             yield out(t, starts)
 
     dealt = cells.repartition("key", "i", "j").sortWithinPartitions("key", "i", "j", "node")
-    return dealt.mapInArrow(run, "a long, b long")
+    return mapped(dealt, run, "a long, b long")
 
 
 def texts_of(column: pa.Array) -> list[str]:

@@ -233,7 +233,7 @@ def shards_of(items: DataFrame, settings: Settings) -> Iterator[BlockMaxIndex]:
                 at += len(part)
 
     dealt = items.withColumn("shard", F.pmod(F.xxhash64("item_id", "text"), F.lit(shards)).cast("int"))
-    counted = materialize(dealt.select("shard", "text").mapInArrow(count, "shard int, n long, terms array<string>").where("n > 0"), "counted")
+    counted = materialize(common.mapped(dealt.select("shard", "text"), count, "shard int, n long, terms array<string>").where("n > 0"), "counted")
     n, total, longest = counted.agg(F.count("*"), F.sum("n"), F.max("n")).first()
     seen = counted.select("shard", F.explode("terms").alias("term"))
     df = materialize(seen.groupBy("term").agg(F.count("*").alias("n")), "df")
@@ -308,7 +308,7 @@ def contaminated(docs: DataFrame, items: DataFrame, settings: Settings = Setting
                         types = [pa.int64(), pa.int64(), pa.int32(), pa.float64(), pa.float64(), pa.float64()]
                         yield pa.record_batch([pa.array(c, t) for c, t in zip(cols, types, strict=True)], names=["doc_id", "item_id", "passage", "score", "question_overlap", "answer_overlap"])
 
-        return plain.mapInArrow(run, schema)
+        return common.mapped(plain, run, schema)
 
     for index in shards_of(items, settings):
         found = [*found[:-1], *(materialize(x, "found") for x in found[-1:])]
@@ -339,7 +339,7 @@ def drop_contaminated(docs: DataFrame, items: DataFrame, settings: Settings = Se
                     at += len(part)
                 yield b.filter(pa.array(keep))
 
-        return left.mapInArrow(run, docs.schema)
+        return common.mapped(left, run, docs.schema)
 
     for index in shards_of(items, settings):
         out = one(docs if out is None else materialize(out, "kept"), index)

@@ -265,7 +265,7 @@ def identify(docs: DataFrame, samples: tuple[tuple[str, str], ...], settings: Se
                 at += len(part)
 
     held = F.coalesce(fold(F.col("doc_id"), 5) == 0, F.lit(False))
-    return docs.select(F.col("doc_id").cast("long"), held.alias("held_out"), "text").mapInArrow(run, "doc_id long, held_out boolean, lang_pred string, score double")
+    return common.mapped(docs.select(F.col("doc_id").cast("long"), held.alias("held_out"), "text"), run, "doc_id long, held_out boolean, lang_pred string, score double")
 
 
 def op2_language_id(spark: SparkSession, sf_dir: str) -> DataFrame:

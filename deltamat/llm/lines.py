@@ -177,7 +177,7 @@ def signature_table(docs: DataFrame, s: Settings, units: Units = distinct_lines,
                 at += len(part)
 
     schema = f"node long, kind int, size long, {AT}, " + ", ".join(f"{n} long" for n in names)
-    return docs.select("_doc", "_text", "text").mapInArrow(run, schema)
+    return common.mapped(docs.select("_doc", "_text", "text"), run, schema)
 
 
 def buckets(sigs: DataFrame, s: Settings) -> tuple[DataFrame, DataFrame]:
@@ -201,7 +201,7 @@ def buckets(sigs: DataFrame, s: Settings) -> tuple[DataFrame, DataFrame]:
                 if len(hit):
                     yield pa.record_batch([b.column(k).take(hit), b.column(0).take(hit), b.column(1).take(hit)], names=["key", "node", "size"])
 
-    near = sigs.select("node", "size", *names).mapInArrow(run, "key long, node long, size long").distinct()
+    near = common.mapped(sigs.select("node", "size", *names), run, "key long, node long, size long").distinct()
     own = materialize(near.join(several.hint("merge"), "key"), "own")
     stats = materialize(common.bucket_stats(own), "stats")
     discard(several)
@@ -280,7 +280,7 @@ def line_texts(docs: DataFrame, wanted: DataFrame, bits: int) -> DataFrame:
                 if len(hit):
                     yield pa.record_batch({"node": pa.array(nodes[hit]), "line": pa.array([lines[k] for k in hit.tolist()])})
 
-    found = docs.select("text").mapInArrow(run, "node long, line string")
+    found = common.mapped(docs.select("text"), run, "node long, line string")
     return found.join(wanted, "node", "left_semi").groupBy("node").agg(F.min("line").alias("line"))
 
 

@@ -141,6 +141,10 @@ class Space:
         return out / np.maximum(np.linalg.norm(out, axis=1, keepdims=True), 1e-9)
 
 
+#: Documents compared with all labelled vectors at a time.
+BLOCK = 256
+
+
 class Voter:
     """Scores from the labelled vectors."""
 
@@ -154,11 +158,20 @@ class Voter:
         """The similarity-weighted share of label 1 among the nearest; the prior where nothing is near."""
         if self.vectors is None:
             return np.full(len(texts), self.prior)
-        cos = np.round(self.space.place(texts).astype(np.float64) @ self.vectors, 9)
+        place = self.space.place(texts).astype(np.float64)
+        parts = [self.votes(place[k : k + BLOCK]) for k in range(0, len(place), BLOCK)]
+        return np.concatenate(parts) if parts else np.zeros(0)
+
+    def votes(self, place: np.ndarray) -> np.ndarray:
+        """The votes on a block of unit vectors."""
+        cos = np.round(place @ self.vectors, 9)
         k = min(self.settings.neighbours, cos.shape[1])
-        cut = -np.partition(-cos, k - 1, axis=1)[:, k - 1 : k]
-        above, even = cos > cut, cos == cut  # of neighbours as near as the last, those learned first vote
-        chosen = above | even & (np.cumsum(even, axis=1) <= k - above.sum(1, keepdims=True))
+        cut = np.partition(cos, -k, axis=1)[:, -k:].min(1, keepdims=True)
+        chosen = cos > cut
+        even, room = cos == cut, k - chosen.sum(1)
+        several = np.flatnonzero(even.sum(1) > room)  # of neighbours as near as the last, those learned first vote
+        even[several] &= np.cumsum(even[several], axis=1, dtype=np.int32) <= room[several, None]
+        chosen |= even
         weight = np.maximum(cos[chosen].reshape(-1, k), 0) ** self.settings.power
         labels = np.broadcast_to(self.labels, cos.shape)[chosen].reshape(-1, k)
         total = weight.sum(1)
@@ -204,7 +217,7 @@ def score(docs: DataFrame, voter: Voter) -> DataFrame:
             yield pa.record_batch({"doc_id": b.column(0), "held_out": b.column(1), "score": pa.array(s, pa.float64()), "predicted": pa.array((s >= threshold).astype(np.int32))})
 
     held = F.coalesce(fold(F.col("doc_id"), 4) == 2, F.lit(False))
-    return docs.select(F.col("doc_id").cast("long"), held.alias("held_out"), "text").mapInArrow(run, "doc_id long, held_out boolean, score double, predicted int")
+    return common.mapped(docs.select(F.col("doc_id").cast("long"), held.alias("held_out"), "text"), run, "doc_id long, held_out boolean, score double, predicted int")
 
 
 def keep_good(docs: DataFrame, voter: Voter) -> DataFrame:
@@ -220,7 +233,7 @@ def keep_good(docs: DataFrame, voter: Voter) -> DataFrame:
         for b in batches:
             yield b.filter(pa.array(_scored(sent.value, common.texts_of(b.column(where))) >= threshold))
 
-    return docs.mapInArrow(run, docs.schema)
+    return common.mapped(docs, run, docs.schema)
 
 
 def op6_quality(spark: SparkSession, sf_dir: str) -> DataFrame:

@@ -61,7 +61,8 @@ def fingerprints(docs: DataFrame) -> DataFrame:
             fp = np.array([fingerprint(t.as_py()) for t in b.column(1)], np.uint64)
             yield pa.record_batch({"doc_id": b.column(0), "fp": pa.array(fp.view(np.int64)), "text_hash": b.column(2)})
 
-    return docs.select(F.col("doc_id").cast("long"), "text", F.xxhash64("text").alias("text_hash")).mapInArrow(run, "doc_id long, fp long, text_hash long")
+    plain = docs.select(F.col("doc_id").cast("long"), "text", F.xxhash64("text").alias("text_hash"))
+    return common.mapped(plain, run, "doc_id long, fp long, text_hash long")
 
 
 def segments(radius: int) -> list[tuple[int, int]]:
