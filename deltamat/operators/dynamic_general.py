@@ -135,7 +135,9 @@ def maintain_general(c: DataFrame, a_old: DataFrame, a_new: DataFrame, a_star: D
     """
     c_star = materialize(compute_pattern(a_old, a_star, b_new, b_star, ell, trans), "pattern")
     e = needed_bits(c, c_star)
-    r = materialize(rows_needed(c, c_star, "i" if side == "left" else "j"), "rows")
+    r = rows_needed(c, c_star, "i" if side == "left" else "j")
+    if variant in ("bits", "rows"):  # the others do not read the stored product
+        r = materialize(r, "rows")
     a_r, b_r = a_new, b_new
     if variant == "bits" and side == "left":
         a_r = filter_left(a_new, r, ell, trans[0])
