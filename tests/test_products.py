@@ -119,6 +119,8 @@ def test_adds_without_subtraction_are_not_counted_twice(spark):
     assert updates.classify(view.a, batch, NAT) == "algebraic"
     view.update(batch, batch_id=0, method="algebraic")
     assert cells(view.result()) == {(0, 0): 3} and view.verify().isEmpty()
+    assert "method algebraic" in view.explain() and "HashAggregate" in view.explain()
+    assert [(r.version, r.method, r.nnz_c) for r in view.snapshots().collect()] == [(0, "algebraic", 1)]
     assert updates.classify(view.a, batch, sr.COUNT_PAIR) == "general"  # counts pairs of cells, whatever they hold
 
 
