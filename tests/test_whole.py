@@ -61,3 +61,18 @@ def test_closure_over_all_edges(spark, small):
                 want.add((a, x))
                 todo += g.get(x, ())
     assert {(r.i, r.j) for r in catalog.queries()["closure_reachability_whole"](spark, d).collect()} == want
+
+
+@pytest.mark.parametrize("name", ["rmat_edges", "grid_balance_perm", "grid_balance_plain"])
+def test_power_law_graphs_have_an_edge_for_every_event(spark, small, name):
+    d, _, users = small
+    r = catalog.queries()[name](spark, d).collect()
+    assert {x.e for x in r} == set(range(len(users))) if name == "rmat_edges" else 1 <= r[0].most <= len(users) and r[0].mean <= len(users) / 16
+
+
+def test_bounds_follow_the_given_tables(spark, tmp_path):
+    d = str(tmp_path)
+    spark.createDataFrame([(k, k % 3) for k in range(40)], "o_orderkey long, o_custkey long").write.parquet(f"{d}/orders.parquet")
+    spark.createDataFrame([(k, k % 2) for k in range(3)], "c_custkey long, c_nationkey int").write.parquet(f"{d}/customer.parquet")
+    got = {r.method: r for r in catalog.queries()["cost_bounds"](spark, d).collect()}
+    assert (got["static"].bandwidth, got["static"].work, got["static"].memory) == (43 / 8, 40 / 64, 40 / 64)
