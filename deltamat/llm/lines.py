@@ -30,6 +30,10 @@ SEED = 42
 SLICE_CHARS = 1 << 19
 COLUMNS = 1 << 15
 SEEN = 1 << 10
+#: Characters rolled at a time, so that they stay in the processor's cache.
+RUN = 1 << 14
+#: Band keys, with their nodes, that a task sorts at a time.
+PAGE_KEYS = 1 << 19
 _M, _N = np.array([0x9E3779B97F4A7C15]), np.array([0xC2B2AE3D27D4EB4F])  # uint64; arrays wrap around in silence
 
 
@@ -50,9 +54,17 @@ class Settings:
 
 
 def mixed(h: np.ndarray) -> np.ndarray:
-    h = (h ^ (h >> np.uint64(31))) * _N
-    h = (h ^ (h >> np.uint64(29))) * _M
-    return h ^ (h >> np.uint64(32))
+    return _mix(h.copy(), np.empty_like(h))
+
+
+def _mix(h: np.ndarray, scratch: np.ndarray) -> np.ndarray:
+    """Mixes h in place."""
+    for n, factor in ((31, _N), (29, _M), (32, None)):
+        np.right_shift(h, np.uint64(n), out=scratch)
+        np.bitwise_xor(h, scratch, out=h)
+        if factor is not None:
+            np.multiply(h, factor, out=h)
+    return h
 
 
 Hashes = Callable[[list[str], int], tuple[np.ndarray, np.ndarray]]
@@ -61,18 +73,37 @@ Hashes = Callable[[list[str], int], tuple[np.ndarray, np.ndarray]]
 def shingle_hashes(lines: list[str], k: int) -> tuple[np.ndarray, np.ndarray]:
     """64-bit hashes of all k-character shingles and the number of them for each line (1 at least)."""
     padded = [s if len(s) >= k else s.ljust(k, "\0") for s in lines]
-    c = np.frombuffer("".join(padded).encode("utf-32-le", "surrogatepass"), np.uint32).astype(np.uint64)
+    c = np.frombuffer("".join(padded).encode("utf-32-le", "surrogatepass"), np.uint32)
     sizes = np.fromiter(map(len, padded), np.int64, len(padded))
-    h, width, power = c + np.uint64(1), 1, _M
+    out = np.empty(max(len(c) - k + 1, 0), np.uint64)
+    for lo in range(0, len(out), RUN):
+        hi = min(lo + RUN, len(out))
+        out[lo:hi] = _rolled(c[lo : hi + k - 1], k)
+    inside = np.ones(len(out), bool)
+    ends = np.cumsum(sizes)[:-1]
+    for n in range(1, k):  # shingles that start in one line and end in the next
+        inside[ends - n] = False
+    return out[inside], sizes - k + 1
+
+
+def _rolled(c: np.ndarray, k: int) -> np.ndarray:
+    """Mixed hashes of all windows of k characters."""
+    c = c.astype(np.uint64)
+    c += np.uint64(1)
+    h, width, power = c.copy(), 1, _M
+    scratch = np.empty_like(h)
     for bit in bin(k)[3:]:  # doubles the width, and adds one character where k's bit is set
-        h = h[: len(h) - width] * power + h[width:]
+        n = len(h) - width
+        np.multiply(h[:n], power, out=scratch[:n])
+        h = np.add(scratch[:n], h[width:], out=scratch[:n])
+        scratch = np.empty_like(h)
         width, power = 2 * width, power * power
         if bit == "1":
-            h = h[: len(c) - width] * _M + c[width:] + np.uint64(1)
+            h = h[: len(c) - width]
+            np.multiply(h, _M, out=h)
+            np.add(h, c[width:], out=h)
             width, power = width + 1, power * _M
-    counts = sizes - k + 1
-    skip = np.repeat(np.r_[0, np.cumsum(sizes)[:-1]] - np.r_[0, np.cumsum(counts)[:-1]], counts)
-    return mixed(h[skip + np.arange(len(skip))]), counts
+    return _mix(h, np.empty_like(h))
 
 
 def band_keys(values: np.ndarray, kind: int, s: Settings) -> np.ndarray:
@@ -91,11 +122,14 @@ def distinct(h: np.ndarray) -> np.ndarray:
 def set_sizes(h: np.ndarray, counts: np.ndarray, s: Settings) -> np.ndarray:
     """Distinct shingles of each line; a lower bound where that alone makes the line long only."""
     out, ends = counts.copy(), np.cumsum(counts)
-    many = counts >= s.long_from
-    which = np.flatnonzero(many)
-    seen = np.zeros((len(which), SEEN), bool)
-    seen[np.repeat(np.arange(len(which)), counts[which]), (h[np.repeat(many, counts)] & np.uint64(SEEN - 1)).astype(np.int64)] = True
-    out[which] = seen.sum(1)
+    which = np.flatnonzero(counts >= s.long_from)
+    # Twice what is asked for, from the line's beginning, is enough to tell; the last one stands in for those missing.
+    at = np.minimum(np.arange(2 * s.long_from), counts[which, None] - 1) + (ends - counts)[which, None]
+    place = (h[at] & np.uint64(SEEN - 1)).view(np.int64)
+    place += np.arange(len(which))[:, None] * SEEN
+    seen = np.zeros(len(which) * SEEN, bool)
+    seen[place.reshape(-1)] = True
+    out[which] = seen.reshape(-1, SEEN).sum(1)
     for k in which[out[which] < s.long_from / s.similarity].tolist():
         out[k] = len(distinct(h[ends[k] - counts[k] : ends[k]]))
     return out
@@ -105,19 +139,21 @@ def signatures(lines: list[str], s: Settings, hashes: Hashes = shingle_hashes) -
     """(kind, numbers of lines, their band keys) for the kinds of signature."""
     h, counts = hashes(lines, s.shingle)
     places = s.bands * s.rows
-    of = np.repeat(np.arange(len(lines)), counts)
     sizes = set_sizes(h, counts, s)
     long = sizes >= s.long_from
     if long.any():
-        inside = long[of]
-        v, rank = h[inside], (np.cumsum(long) - 1)[of[inside]]
-        place = ((v >> np.uint64(32)) * np.uint64(places) >> np.uint64(32)).astype(np.int64)
+        v = h if long.all() else h[np.repeat(long, counts)]
+        place = v >> np.uint64(32)
+        place *= np.uint64(places)
+        place >>= np.uint64(32)
+        place = place.view(np.int64)
+        place += np.repeat(np.arange(int(long.sum())) * places, counts[long])
         least = np.full(int(long.sum()) * places, 0xFFFFFFFF, np.uint32)
-        np.minimum.at(least, rank * places + place, v.astype(np.uint32))
+        np.minimum.at(least, place, v.astype(np.uint32))
         yield 1, np.flatnonzero(long), band_keys(least, 1, s)
     short = sizes < s.long_from / s.similarity
     if short.any():
-        v, n = h[short[of]].astype(np.uint32), counts[short]
+        v, n = h[np.repeat(short, counts)].astype(np.uint32), counts[short]
         starts = np.r_[0, np.cumsum(n)[:-1]]
         rng = np.random.default_rng(7)
         factors, terms = rng.integers(0, 1 << 31, places, np.uint32) * np.uint32(2) + np.uint32(1), rng.integers(0, 1 << 32, places, np.uint32)
@@ -180,6 +216,70 @@ def signature_table(docs: DataFrame, s: Settings, units: Units = distinct_lines,
     return common.mapped(docs.select("_doc", "_text", "text"), run, schema)
 
 
+def shared_keys(keyed: DataFrame, page_keys: int = PAGE_KEYS) -> DataFrame:
+    """(key): the keys that stand beside two nodes or more in keyed(node, b0, b1, ...).
+
+    Keys are hashes, nearly all of one node, so adding up rows saves nothing before they are exchanged.
+    They travel packed instead: a task sorts about ``page_keys`` of them, leaves at most two nodes beside
+    each and cuts them into pages by ranges of keys; of a range, all pages meet and are sorted again.
+    """
+    names = keyed.columns[1:]
+    ranges = max(1, -(-keyed.count() * len(names) // page_keys))
+    cuts = np.array([(k << 64) // ranges - (1 << 63) for k in range(1, ranges)], np.int64)
+
+    def ends(key: np.ndarray, node: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+        """Each key with its smallest and its largest node."""
+        order = np.argsort(key)
+        key, node = key[order], node[order]
+        at = np.flatnonzero(np.r_[True, key[1:] != key[:-1]])
+        return key[at], np.minimum.reduceat(node, at), np.maximum.reduceat(node, at)
+
+    def paged(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        held, size = [], 0
+
+        def out() -> Iterator[pa.RecordBatch]:
+            key, lo, hi = ends(np.concatenate([k for k, _ in held]), np.concatenate([n for _, n in held]))
+            twice = 1 + (lo != hi)
+            last = np.cumsum(twice) - 1
+            key, node = np.repeat(key, twice), np.repeat(lo, twice)
+            node[last] = hi
+            at = np.r_[0, np.searchsorted(key, cuts), len(key)]
+            for k in np.flatnonzero(np.diff(at)).tolist():
+                cut = slice(at[k], at[k + 1])
+                yield pa.record_batch({"part": pa.array([k], pa.int32()), "keys": pa.array([key[cut].tobytes()]), "nodes": pa.array([node[cut].tobytes()])})
+
+        for b in batches:
+            node = b.column(0).to_numpy()
+            for k in range(1, 1 + len(names)):
+                held.append((b.column(k).to_numpy(), node))
+                size += len(node)
+            if size >= page_keys:
+                yield from out()
+                held, size = [], 0
+        if size:
+            yield from out()
+
+    def several(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        now, held = None, []
+
+        def out() -> pa.RecordBatch:
+            key, lo, hi = ends(*(np.concatenate([np.frombuffer(x[k], np.int64) for x in held]) for k in (0, 1)))
+            return pa.record_batch({"key": pa.array(key[lo != hi])})
+
+        for b in batches:
+            for part, *page in zip(*(c.to_pylist() for c in b.columns), strict=True):
+                if part != now and held:
+                    yield out()
+                    held = []
+                now = part
+                held.append(page)
+        if held:
+            yield out()
+
+    pages = common.mapped(keyed, paged, "part int, keys binary, nodes binary")
+    return common.mapped(pages.repartition("part").sortWithinPartitions("part"), several, "key long")
+
+
 def buckets(sigs: DataFrame, s: Settings) -> tuple[DataFrame, DataFrame]:
     """(own, stats) of the bands for common.link_buckets().
 
@@ -187,9 +287,7 @@ def buckets(sigs: DataFrame, s: Settings) -> tuple[DataFrame, DataFrame]:
     them leaves out most others where the signatures stand, and a join the rest, at any size.
     """
     names = [f"b{k}" for k in range(s.bands)]
-    bands = sigs.select("node", F.explode(F.array(*names)).alias("key"))
-    several = bands.groupBy("key").agg(F.min("node").alias("lo"), F.max("node").alias("hi")).where("lo <> hi").select("key")
-    several = materialize(several, "several")
+    several = materialize(shared_keys(sigs.select("node", *names)), "several")
     bits = common.bits_for(several.count())
     sent = sigs.sparkSession.sparkContext.broadcast(common.bitmap(several, "key", bits))
 
@@ -249,9 +347,10 @@ def linker(s: Settings, hashes: Hashes = shingle_hashes) -> common.Linker:
                 shared = (n > 1)[at]
                 row, column = np.repeat(np.arange(hi - lo), sizes)[shared], column[at[shared]]
                 both = np.zeros((hi - lo, hi - lo), np.float32)
-                for k in range(0, int((n > 1).sum()), COLUMNS):  # bounds the matrix, however many shingles are shared
+                total = int((n > 1).sum())
+                for k in range(0, total, COLUMNS):  # bounds the matrix, however many shingles are shared
                     now = (column >= k) & (column < k + COLUMNS)
-                    m = np.zeros((hi - lo, COLUMNS), np.float32)
+                    m = np.zeros((hi - lo, min(COLUMNS, total - k)), np.float32)
                     m[row[now], column[now] - k] = 1
                     both += m @ m.T
                 near = both >= s.similarity * (sizes[:, None] + sizes[None, :] - both) - 1e-4
