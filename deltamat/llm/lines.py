@@ -30,6 +30,8 @@ SEED = 42
 SLICE_CHARS = 1 << 19
 COLUMNS = 1 << 15
 SEEN = 1 << 10
+#: Lines of a cell at most for its pairs to be compared one by one.
+SMALL = 6
 #: Characters rolled at a time, so that they stay in the processor's cache.
 RUN = 1 << 14
 #: Band keys, with their nodes, that a task sorts at a time.
@@ -184,13 +186,27 @@ def nodes_of(lines: Iterable[str]) -> np.ndarray:
 AT = "at struct<_doc:long,_text:long,no:int>"
 
 
+def packed(keys: np.ndarray) -> pa.Array:
+    """Rows of 64-bit numbers as binary values: one value a row costs Spark much less than one for each number."""
+    ends = np.arange(len(keys) + 1, dtype=np.int32) * np.int32(8 * keys.shape[1])
+    return pa.Array.from_buffers(pa.binary(), len(keys), [None, pa.py_buffer(ends), pa.py_buffer(np.ascontiguousarray(keys))])
+
+
+def unpacked(b: pa.RecordBatch, at: int) -> list[np.ndarray]:
+    """The numbers in the columns from ``at`` on, column by column; one binary column holds packed ones."""
+    if not pa.types.is_binary(b.column(at).type) or not len(b):
+        return [c.to_numpy() for c in b.columns[at:]] if len(b) else []
+    c = b.column(at)
+    ends = np.frombuffer(c.buffers()[1], np.int32)[c.offset : c.offset + len(c) + 1]
+    return list(np.frombuffer(c.buffers()[2], np.uint8)[ends[0] : ends[-1]].view(np.int64).reshape(len(c), -1).T)
+
+
 def signature_table(docs: DataFrame, s: Settings, units: Units = distinct_lines, hashes: Hashes = shingle_hashes) -> DataFrame:
-    """(node, kind, size, at, b0, b1, ...) for the distinct lines (or other units) of docs(_doc, _text, text).
+    """(node, kind, size, at, keys) for the distinct lines (or other units) of docs(_doc, _text, text).
 
-    size: a line's characters; at: the first place where it stands. Lines are told apart slice by slice
+    size: a line's characters; at: the first place where it stands; keys: its band keys, packed. Lines are told apart slice by slice
     of the documents, so one that many slices hold has a row for each. Blank lines are no nodes.
     """
-    names = [f"b{k}" for k in range(s.bands)]
     place = pa.struct([("_doc", pa.int64()), ("_text", pa.int64()), ("no", pa.int32())])
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -208,23 +224,21 @@ def signature_table(docs: DataFrame, s: Settings, units: Units = distinct_lines,
                     for kind, which, keys in signatures(lines, s, hashes):
                         r = row[which] + at
                         first = pa.StructArray.from_arrays([pa.array(docs_[r]), pa.array(hashes_[r]), pa.array(no[which].astype(np.int32))], fields=list(place))
-                        cols = [pa.array(nodes[which]), pa.array(np.full(len(which), kind, np.int32)), pa.array(sizes[which]), first, *(pa.array(keys[:, k].copy()) for k in range(s.bands))]
-                        yield pa.record_batch(cols, names=["node", "kind", "size", "at", *names])
+                        cols = [pa.array(nodes[which]), pa.array(np.full(len(which), kind, np.int32)), pa.array(sizes[which]), first, packed(keys)]
+                        yield pa.record_batch(cols, names=["node", "kind", "size", "at", "keys"])
                 at += len(part)
 
-    schema = f"node long, kind int, size long, {AT}, " + ", ".join(f"{n} long" for n in names)
-    return common.mapped(docs.select("_doc", "_text", "text"), run, schema)
+    return common.mapped(docs.select("_doc", "_text", "text"), run, f"node long, kind int, size long, {AT}, keys binary")
 
 
-def shared_keys(keyed: DataFrame, page_keys: int = PAGE_KEYS) -> DataFrame:
-    """(key): the keys that stand beside two nodes or more in keyed(node, b0, b1, ...).
+def shared_keys(keyed: DataFrame, page_keys: int = PAGE_KEYS, bands: int | None = None) -> DataFrame:
+    """(key): the keys that stand beside two nodes or more in keyed(node, b0, b1, ...) or, packed, keyed(node, keys).
 
     Keys are hashes, nearly all of one node, so adding up rows saves nothing before they are exchanged.
     They travel packed instead: a task sorts about ``page_keys`` of them, leaves at most two nodes beside
     each and cuts them into pages by ranges of keys; of a range, all pages meet and are sorted again.
     """
-    names = keyed.columns[1:]
-    ranges = max(1, -(-keyed.count() * len(names) // page_keys))
+    ranges = max(1, -(-keyed.count() * (bands or len(keyed.columns) - 1) // page_keys))
     cuts = np.array([(k << 64) // ranges - (1 << 63) for k in range(1, ranges)], np.int64)
 
     def ends(key: np.ndarray, node: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
@@ -250,8 +264,8 @@ def shared_keys(keyed: DataFrame, page_keys: int = PAGE_KEYS) -> DataFrame:
 
         for b in batches:
             node = b.column(0).to_numpy()
-            for k in range(1, 1 + len(names)):
-                held.append((b.column(k).to_numpy(), node))
+            for keys in unpacked(b, 1):
+                held.append((keys, node))
                 size += len(node)
             if size >= page_keys:
                 yield from out()
@@ -286,26 +300,73 @@ def buckets(sigs: DataFrame, s: Settings) -> tuple[DataFrame, DataFrame]:
     Most bands are a line's alone. Those of several nodes are counted first; a bitmap of fixed size of
     them leaves out most others where the signatures stand, and a join the rest, at any size.
     """
-    names = [f"b{k}" for k in range(s.bands)]
-    several = materialize(shared_keys(sigs.select("node", *names)), "several")
+    several = materialize(shared_keys(sigs.select("node", "keys"), bands=s.bands), "several")
     bits = common.bits_for(several.count())
     sent = sigs.sparkSession.sparkContext.broadcast(common.bitmap(several, "key", bits))
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
-            for k in range(2, 2 + len(names)):
-                keys = b.column(k).to_numpy()
-                hit = pa.array(np.flatnonzero(common.marked(sent.value, keys, bits)))
+            for keys in unpacked(b, 2):
+                hit = np.flatnonzero(common.marked(sent.value, keys, bits))
                 if len(hit):
-                    yield pa.record_batch([b.column(k).take(hit), b.column(0).take(hit), b.column(1).take(hit)], names=["key", "node", "size"])
+                    yield pa.record_batch([pa.array(keys[hit]), b.column(0).take(hit), b.column(1).take(hit)], names=["key", "node", "size"])
 
-    near = common.mapped(sigs.select("node", "size", *names), run, "key long, node long, size long").distinct()
+    near = common.mapped(sigs.select("node", "size", "keys"), run, "key long, node long, size long").distinct()
     own = materialize(near.join(several.hint("merge"), "key"), "own")
     stats = materialize(common.bucket_stats(own), "stats")
     discard(several)
     return own.select("key", "node"), stats
 
 
+def similar_pairs(h: np.ndarray, counts: np.ndarray, x: np.ndarray, y: np.ndarray, similarity: float) -> np.ndarray:
+    """Whether the sets of lines x[k] and y[k] are similar, given all lines' hashes and their numbers.
+
+    A pair's hashes are sorted together, their lowest bit telling the lines apart; the rest is done for all pairs at once.
+    """
+    if not len(x):
+        return np.zeros(0, bool)
+    row = np.stack([x, y], 1).reshape(-1)
+    n = counts[row]
+    ends, begin = np.cumsum(n), (np.cumsum(counts) - counts)[row]
+    z = h[np.repeat(begin - (ends - n), n) + np.arange(ends[-1])] & np.uint64(2**64 - 2)
+    z |= np.repeat(np.tile(np.array([0, 1], np.uint64), len(x)), n)
+    starts = np.r_[0, ends[1::2]]
+    for a, b in zip(starts[:-1].tolist(), starts[1:].tolist(), strict=True):
+        z[a:b].sort()
+    new = np.r_[True, z[1:] != z[:-1]]
+    new[starts[:-1]] = True
+    total = np.add.reduceat(new, starts[:-1], dtype=np.int64)
+    z = z[new] >> np.uint64(1)
+    twice = np.r_[False, z[1:] == z[:-1]]
+    starts = np.r_[0, np.cumsum(total)[:-1]]
+    twice[starts] = False
+    both = np.add.reduceat(twice, starts, dtype=np.int64)
+    return both >= similarity * (total - both) - 1e-9
+
+
+def small_cells(h: np.ndarray, counts: np.ndarray, starts: np.ndarray, n: int, similarity: float) -> tuple[list[int], list[int]]:
+    """Links that connect what is similar in the cells of n lines that begin at ``starts``."""
+    i, j = np.triu_indices(n, 1)
+    x, y = (starts[:, None] + i).reshape(-1), (starts[:, None] + j).reshape(-1)
+    near = similar_pairs(h, counts, x, y, similarity)
+    x, y = x[near].tolist(), y[near].tolist()
+    if n == 2:
+        return x, y
+    up: dict[int, int] = {}
+    a_out, b_out = [], []
+    for a, b in zip(x, y, strict=True):
+        u, v = a, b
+        while u in up:
+            u = up[u]
+        while v in up:
+            v = up[v]
+        if u != v:
+            up[v] = u
+            a_out.append(a)
+            b_out.append(b)
+    return a_out, b_out
+
+
 def linker(s: Settings, hashes: Hashes = shingle_hashes) -> common.Linker:
     def run(t: pa.Table, starts: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
         """Cells are taken in runs of about SLICE_CHARS characters, which bounds the hashes held."""
@@ -326,37 +387,32 @@ def linker(s: Settings, hashes: Hashes = shingle_hashes) -> common.Linker:
         h, counts = hashes(t.column("line").to_pylist(), s.shingle)
         cuts = np.r_[0, np.cumsum(counts)].tolist()
         side = t.column("side").to_numpy()
-        sets = [distinct(h[a:b]) for a, b in zip(cuts, cuts[1:], strict=False)]
+        ends = np.r_[starts[1:], len(node)]
+        size, sided = ends - starts, np.logical_or.reduceat(side != 0, starts)
         a_out, b_out = [], []
-        for lo, hi in zip(starts.tolist(), [*starts[1:].tolist(), len(node)], strict=True):
-            if hi - lo == 2:
-                x, y = sets[lo], sets[lo + 1]
-                if min(len(x), len(y)) < s.similarity * max(len(x), len(y)) - 1e-9:
-                    continue
-                z = np.concatenate((x, y))
-                z.sort()
-                both = int(np.count_nonzero(z[1:] == z[:-1]))
-                if both >= s.similarity * (len(z) - both) - 1e-9:
-                    a_out.append(node[lo])
-                    b_out.append(node[lo + 1])
-            elif hi - lo > 2:
-                own = sets[lo:hi]
-                sizes = np.array([len(x) for x in own])
-                _, at, n = np.unique(np.concatenate(own), return_inverse=True, return_counts=True)
-                column = np.cumsum(n > 1) - 1
-                shared = (n > 1)[at]
-                row, column = np.repeat(np.arange(hi - lo), sizes)[shared], column[at[shared]]
-                both = np.zeros((hi - lo, hi - lo), np.float32)
-                total = int((n > 1).sum())
-                for k in range(0, total, COLUMNS):  # bounds the matrix, however many shingles are shared
-                    now = (column >= k) & (column < k + COLUMNS)
-                    m = np.zeros((hi - lo, min(COLUMNS, total - k)), np.float32)
-                    m[row[now], column[now] - k] = 1
-                    both += m @ m.T
-                near = both >= s.similarity * (sizes[:, None] + sizes[None, :] - both) - 1e-4
-                i, j = common.cell_edges(near, side[lo:hi])
-                a_out += node[lo:hi][i].tolist()
-                b_out += node[lo:hi][j].tolist()
+        for n in range(2, SMALL + 1):
+            a, b = small_cells(h, counts, starts[(size == n) & ~sided], n, s.similarity)
+            a_out += node[a].tolist()
+            b_out += node[b].tolist()
+        rest = (size > SMALL) | sided & (size > 1)
+        for lo, hi in zip(starts[rest].tolist(), ends[rest].tolist(), strict=True):
+            own = [distinct(h[a:b]) for a, b in zip(cuts[lo:hi], cuts[lo + 1 : hi + 1], strict=True)]
+            sizes = np.array([len(x) for x in own])
+            _, at, n = np.unique(np.concatenate(own), return_inverse=True, return_counts=True)
+            column = np.cumsum(n > 1) - 1
+            shared = (n > 1)[at]
+            row, column = np.repeat(np.arange(hi - lo), sizes)[shared], column[at[shared]]
+            both = np.zeros((hi - lo, hi - lo), np.float32)
+            total = int((n > 1).sum())
+            for k in range(0, total, COLUMNS):  # bounds the matrix, however many shingles are shared
+                now = (column >= k) & (column < k + COLUMNS)
+                m = np.zeros((hi - lo, min(COLUMNS, total - k)), np.float32)
+                m[row[now], column[now] - k] = 1
+                both += m @ m.T
+            near = both >= s.similarity * (sizes[:, None] + sizes[None, :] - both) - 1e-4
+            i, j = common.cell_edges(near, side[lo:hi])
+            a_out += node[lo:hi][i].tolist()
+            b_out += node[lo:hi][j].tolist()
         return np.array(a_out, np.int64), np.array(b_out, np.int64)
 
     return run
@@ -424,8 +480,8 @@ def dedup_lines(docs: DataFrame, s: Settings = Settings()) -> DataFrame:
     # The caller's columns travel inside a struct, where no name can clash with those used here.
     carried = F.struct(F.lit(True).alias("_"), *[F.col(f"`{c}`") for c in names if c != "text"])
     keyed = docs.select(carried.alias("carried"), F.split("text", "\n").alias("lines"), *key_columns(docs)).join(kept.hint("shuffle_hash"), ["_doc", "_text"], "left")
-    blank = F.filter(F.transform("lines", lambda x, k: F.when(F.btrim(x, F.lit(BLANK)) == "", k)), lambda k: k.isNotNull())
-    order = F.array_sort(F.concat(F.coalesce("kept", F.array().cast("array<int>")), blank))
+    blank = F.filter(F.transform("lines", lambda x, k: F.when(F.ltrim(x, F.lit(BLANK)) == "", k)), lambda k: k.isNotNull())
+    order = F.sort_array(F.concat(F.coalesce("kept", F.array().cast("array<int>")), blank))
     text = F.array_join(F.transform(order, lambda k: F.get("lines", k)), "\n")
     out = {c: F.col("carried")[c] for c in names if c != "text"} | {"text": F.col("text")}
     if "n_chars" in names:
